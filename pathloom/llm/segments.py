@@ -182,13 +182,28 @@ def _segments(plan: Plan):
             _, codes = np.unique(pairs, return_inverse=True)
             keep = np.flatnonzero(np.isin(codes[len(wanted) :], codes[: len(wanted)]))
             doc, begin, count, mini, content = (x[keep] for x in (doc, begin, count, mini, content))
-            for i in range(0, len(doc), 50_000):
-                s = slice(i, i + 50_000)
-                packed = [units.packed(b, b + n + plan.span - 1) for b, n in zip(begin[s].tolist(), count[s].tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(mini[s]), pa.array(content[s]), pa.array(ids[doc[s]]), pa.array((begin - units.at[doc])[s].astype(np.int32)), pa.array(count[s].astype(np.int32)), pa.array(packed, pa.binary())],
-                    names=["mini", "content", "doc_id", "begin", "n", "packed"],
-                )
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(mini), pa.array(content), pa.array(ids[doc]), pa.array((begin - units.at[doc]).astype(np.int32)), pa.array(count.astype(np.int32))],
+                names=["mini", "content", "doc_id", "begin", "n"],
+            )
+
+    return run
+
+
+def _packed(plan: Plan):
+    """The packed strings of chosen segments, cut from their documents."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in text_chunks(batches):
+            units = plan.units(_encoded(batch))
+            rows = []
+            for doc, at, chosen in zip(batch.column("doc_id").to_pylist(), units.at.tolist(), batch.column("chosen").to_pylist(), strict=False):
+                rows += [(c["mini"], c["hot"], doc, c["begin"], units.packed(at + c["begin"], at + c["begin"] + c["n"] + plan.span - 1)) for c in chosen]
+            for i in range(0, len(rows), 50_000):
+                columns = zip(*rows[i : i + 50_000], strict=True)
+                yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.bool_(), pa.int64(), pa.int32(), pa.binary()), strict=True)], names=["mini", "hot", "doc_id", "begin", "packed"])
 
     return run
 
@@ -247,18 +262,24 @@ def covered(docs: DataFrame, plan: Plan, scratch: Scratch) -> DataFrame:
     shared = seen.groupBy("mini").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), F.max("again").alias("again"))
     shared = shared.where(F.col("a") < F.col("b") if not plan.within else (F.col("a") < F.col("b")) | F.col("again")).select("mini")
     wanted = scratch.stage(seen.select("mini", "doc_id").join(shared, "mini").groupBy("doc_id").agg(F.collect_set("mini").alias("minis")), "wanted")
-    found = scratch.stage(docs.join(wanted, "doc_id").mapInArrow(_segments(plan), "mini long, content long, doc_id long, begin int, n int, packed binary"), "segments")
+    found = scratch.stage(docs.join(wanted, "doc_id").mapInArrow(_segments(plan), "mini long, content long, doc_id long, begin int, n int"), "segments")
     scratch.drop("wanted")
     key = ["mini", "content", "n"]
     firsts = scratch.stage(found.groupBy(*key).agg(F.min(F.struct("doc_id", "begin")).alias("first")), "firsts")
     kinds = firsts.groupBy("mini").agg(F.count("*").alias("kinds")).where("kinds > 1")
     first = F.col("first")
     later = (F.col("doc_id") > first["doc_id"]) | ((F.col("doc_id") == first["doc_id"]) & (F.col("begin") > first["begin"])) if plan.within else F.col("doc_id") > first["doc_id"]
-    at_first = (F.col("doc_id") == first["doc_id"]) & (F.col("begin") == first["begin"]) if plan.within else F.col("doc_id") == first["doc_id"]
-    whole = found.drop("packed").join(firsts, key).where(later).select("doc_id", "begin", "n")
-    strings = scratch.stage(found.join(firsts.join(kinds, "mini"), key).where(at_first).select("mini", "kinds", "doc_id", "begin", "packed"), "strings")
-    partial = strings.where(F.col("kinds") <= HOT).repartition("mini").sortWithinPartitions("mini").select("mini", "doc_id", "begin", "packed").mapInArrow(_buckets(plan), "doc_id long, begin int, n int")
-    windows = strings.where(F.col("kinds") > HOT).select("doc_id", "begin", "packed").mapInArrow(_fingerprints(plan), "f1 long, f2 long, doc_id long, begin int")
+    whole = found.join(firsts, key).where(later).select("doc_id", "begin", "n")
+    several = firsts.join(kinds, "mini").withColumn("hot", F.col("kinds") > HOT)
+    if plan.within:
+        several = several.select(first["doc_id"].alias("doc_id"), "mini", "hot", first["begin"].alias("begin"), "n")
+    else:
+        several = found.join(several, key).where(F.col("doc_id") == first["doc_id"]).select("doc_id", "mini", "hot", "begin", "n")
+    chosen = scratch.stage(several.groupBy("doc_id").agg(F.collect_list(F.struct("mini", "hot", "begin", "n")).alias("chosen")), "chosen")
+    strings = scratch.stage(docs.join(chosen, "doc_id").mapInArrow(_packed(plan), "mini long, hot boolean, doc_id long, begin int, packed binary"), "strings")
+    scratch.drop("chosen")
+    partial = strings.where("NOT hot").select("mini", "doc_id", "begin", "packed").repartition("mini").sortWithinPartitions("mini").mapInArrow(_buckets(plan), "doc_id long, begin int, n int")
+    windows = strings.where("hot").select("doc_id", "begin", "packed").mapInArrow(_fingerprints(plan), "f1 long, f2 long, doc_id long, begin int")
     earliest = windows.groupBy("f1", "f2").agg(F.min(F.struct("doc_id", "begin")).alias("first"))
     hot = windows.join(earliest, ["f1", "f2"]).where(later).select("doc_id", "begin", F.lit(1).alias("n"))
     runs = whole.unionByName(partial).unionByName(hot).groupBy("doc_id").agg(F.collect_list(F.struct("begin", "n")).alias("runs"))
