@@ -8,13 +8,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions import measures
-from .operators import verify
+from .operators import relational, verify
 from .operators.closure import closure, closure_with_witness, minus, union
-from .operators.engine import GraphUpdate, LabeledGraph, apply_update, canonical, compose_updates, delta_rows, diff_as_update, maintain, match_body, materialize, replace_label, run_pass, updated
+from .operators.engine import GraphUpdate, LabeledGraph, ViewStore, apply_update, canonical, compose_updates, delta_rows, diff_as_update, maintain, match_body, materialize, replace_label, run_pass, updated
 from .plans.rules import Program, complete, parse_rules, program, slice_labels
 from .plans.sql import program_sql
 from .sources.graphs import DUCK, activity_sql, commerce_sql, relations
 from .sources.staging import Stage
+from .streaming.maintenance import maintain_stream
 from .views import AUDIENCE, DENSE, RING, SPARSE, VIEWS
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -392,3 +393,22 @@ def baseline_nested_loop_d4(spark: SparkSession, sf_dir: str) -> DataFrame:
 def entry(spark: SparkSession) -> DataFrame:
     return full_view(spark, "/root/testdata/sf0.001", "d7")
 
+
+
+@query("stream_incr_s3", view_sql("s3"))
+def stream_incr_s3(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """S3 kept by a stream of the relay edges in three files, each micro-batch one update of a stored view."""
+    stage = Stage(spark, "stream")
+    _, p, label = VIEWS["s3"]
+    edges = relations(spark, sf_dir, activity_sql(), {"relay_click"})["relay_click"].select(F.lit("+").alias("op"), F.lit("relay_click").alias("label"), "src", "dst")
+    for k in range(3):
+        edges.where(f"(src * 31 + dst) % 3 = {k}").coalesce(1).write.mode("append").parquet(f"{stage.root}/in")
+    store = ViewStore(spark, f"{stage.root}/store", p)
+    store.create(LabeledGraph.from_relations(spark, {"relay_click": spark.createDataFrame([], "src long, dst long")}))
+    feed = spark.readStream.schema(edges.schema).option("maxFilesPerTrigger", 1).parquet(f"{stage.root}/in")
+    maintain_stream(feed, store, f"{stage.root}/state").awaitTermination()
+    return store.read(label)
+
+
+QUERIES |= relational.QUERIES
+SQL |= relational.SQL
