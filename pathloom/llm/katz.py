@@ -15,6 +15,7 @@ from __future__ import annotations
 
 import math
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -78,12 +79,12 @@ def _slices(keys: np.ndarray):
             yield int(keys[b]), slice(b, e)
 
 
-ASKED = "bucket int, block int, kind int, a binary, b binary, c binary"
-BIGRAMS, WORDS = 0, 1
+#: Passes over the text that ask for bigrams, each for its share of the buckets, so that a share is on disk at a time.
+PASSES = 2
 
 
-def _ask(n_buckets: int, hot: np.ndarray):
-    """A block's questions: distinct bigrams with their training counts by bucket, and distinct words by bucket."""
+def _ask(n_buckets: int, hot: np.ndarray, turn: int):
+    """A block's questions: distinct bigrams with their training counts, by bucket."""
 
     def run(table):
         import pyarrow as pa
@@ -96,16 +97,29 @@ def _ask(n_buckets: int, hot: np.ndarray):
         times = np.bincount(where, weights=train[doc], minlength=len(first)).astype(np.int32)
         h1, h2 = before[first], word[first]
         bucket = _bucket(np.where(np.isin(h1, hot), codes[first], mix(h1)), n_buckets)
-        order = np.lexsort((h2, h1, bucket))
+        own = np.flatnonzero(bucket % PASSES == turn)
+        order = own[np.lexsort((h2[own], h1[own], bucket[own]))]
         bucket, h1, h2, times = bucket[order], h1[order], h2[order], times[order]
         rows = []
         for k, s in _slices(bucket):
             own = h1[s]
             at = np.flatnonzero(np.concatenate([[True], own[1:] != own[:-1]]))
             runs = np.diff(np.concatenate([at, [len(own)]])).astype(np.int32)
-            rows.append((k, block, BIGRAMS, own[at].tobytes() + runs.tobytes(), h2[s].tobytes(), times[s].tobytes()))
-        rows += [(k, block, WORDS, ws.tobytes(), None, None) for k, ws in asked_words(word, n_buckets)]
-        return pa.table([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), (pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["bucket", "block", "kind", "a", "b", "c"])
+            rows.append((k, block, own[at].tobytes() + runs.tobytes(), h2[s].tobytes(), times[s].tobytes()))
+        columns = zip(*rows, strict=True) if rows else ((),) * 5
+        return pa.table([pa.array(x, t) for x, t in zip(columns, (pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["bucket", "block", "a", "b", "c"])
+
+    return run
+
+
+def _ask_words(n_buckets: int):
+    def run(table):
+        import pyarrow as pa
+
+        block = table.column("block")[0].as_py()
+        word, _, _ = _tokens(_encoded(table.column("text").combine_chunks()))
+        rows = [(k, block, ws.tobytes()) for k, ws in asked_words(word, n_buckets)]
+        return pa.table([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), (pa.int32(), pa.int32(), pa.binary()), strict=True)], names=["bucket", "block", "a"])
 
     return run
 
@@ -268,9 +282,12 @@ def katz_scores(docs: DataFrame, least: int = 2) -> DataFrame:
     hot = np.array([int(START), *(r["w"] & (2**64 - 1) for r in hot)], dtype=U)
 
     blocked = docs.withColumn("block", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n_blocks)).cast("int"))
-    asked = scratch.stage(blocked.groupBy("block").applyInArrow(_ask(n_blocks, hot), ASKED), "asked")
-    bigrams = asked.where(F.col("kind") == BIGRAMS).groupBy("bucket").applyInArrow(_answer_bigrams(least), "block int, a binary, b binary, c binary, few binary")
-    bigrams = scratch.stage(bigrams, "bigrams")
+    parts = []
+    for turn in range(PASSES):
+        asked = blocked.groupBy("block").applyInArrow(_ask(n_blocks, hot, turn), "bucket int, block int, a binary, b binary, c binary")
+        asked = asked.groupBy("bucket").applyInArrow(_answer_bigrams(least), "block int, a binary, b binary, c binary, few binary")
+        parts.append(scratch.stage(asked, f"bigrams{turn}"))
+    bigrams = reduce(DataFrame.unionByName, parts)
     own = bigrams.where("block = -1")
     few = np.sum([np.frombuffer(r["few"], dtype=np.int64) for r in own.select("few").toLocalIterator()] or [np.zeros(DISCOUNTED + 2, dtype=np.int64)], axis=0).tolist()
     model = Model(tokens, vocabulary, unigram, tuple(discounts(few)), unseen)
@@ -289,9 +306,9 @@ def katz_scores(docs: DataFrame, least: int = 2) -> DataFrame:
     total = F.greatest(F.col("c").cast("double"), F.coalesce(F.col("mass") + 0.5, F.lit(0.0)))
     alpha = F.when(F.col("h1").isNull(), 0.0).otherwise(F.log10((1 - F.col("mass") / F.col("total")) / F.greatest(1 - F.col("lower"), F.lit(1e-12))))
     weights = weighed.select("*", total.alias("total")).select("w", "c", "total", alpha.alias("alpha")).mapInArrow(_with_bucket(n_blocks), "w long, c long, total double, alpha double, bucket int")
-    known = asked.where(F.col("kind") == WORDS).select("bucket", "block", "a").groupBy("bucket").cogroup(weights.groupBy("bucket")).applyInArrow(_answer_words, "block int, bucket int, a binary, b binary, c binary")
+    known = blocked.groupBy("block").applyInArrow(_ask_words(n_blocks), "bucket int, block int, a binary").groupBy("bucket").cogroup(weights.groupBy("bucket")).applyInArrow(_answer_words, "block int, bucket int, a binary, b binary, c binary")
     known = scratch.stage(known, "known")
-    scratch.drop("asked")
+    scratch.drop("words")
     answers = known.unionByName(bigrams.where("block >= 0").select("block", F.lit(-1).alias("bucket"), "a", "b", "c"))
     return blocked.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(_score(model, n_blocks), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
