@@ -83,19 +83,41 @@ def revised(old: DataFrame, new: DataFrame) -> DataFrame:
 
 
 class Rollup:
-    """Totals in a folder that all executors share. A batch's name decides whether it is new."""
+    """Totals in a folder that all executors share, with one writer at a time. A batch's name decides whether it is new.
+
+    A compaction lists what it stands for in a table of its own, which holds once the compacted batch is complete: from
+    then on the listed batches are committed but no longer summed, whether or not their folders are removed already.
+    """
 
     def __init__(self, spark: SparkSession, folder: str):
         self.spark, self.folder = spark, folder.rstrip("/")
 
-    def _path(self, name: str):
-        path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/batch={name}")
+    def _path(self, kind: str, name: str):
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{kind}={name}")
         return path, path.getFileSystem(self.spark._jsc.hadoopConfiguration())
 
-    def committed(self, batch: str) -> bool:
-        path, fs = self._path(batch)
+    def _complete(self, kind: str, name: str) -> bool:
+        path, fs = self._path(kind, name)
         return fs.exists(self.spark._jvm.org.apache.hadoop.fs.Path(path, "_SUCCESS"))
 
+    def _names(self, kind: str) -> list[str]:
+        path, fs = self._path(kind, "x")
+        top = path.getParent()
+        names = [s.getPath().getName() for s in fs.listStatus(top)] if fs.exists(top) else []
+        return sorted(n[len(kind) + 1 :] for n in names if n.startswith(f"{kind}="))
+
+    def _drop(self, kind: str, name: str) -> None:
+        path, fs = self._path(kind, name)
+        fs.delete(path, True)
+
+    def _covered(self) -> set[str]:
+        """Names of batches that a complete compaction stands for."""
+        paths = [f"{self.folder}/covers={n}" for n in self._names("covers") if self._complete("covers", n) and self._complete("batch", n)]
+        return {r["name"] for r in self.spark.read.schema("name string").parquet(*paths).collect()} if paths else set()
+
+    def committed(self, batch: str) -> bool:
+        return self._complete("batch", batch) or batch in self._covered()
+
     def commit(self, batch: str, changes: DataFrame) -> bool:
         """Add signed rows of KEYS and MEASURES under a batch's name; False if it is committed already.
 
@@ -109,10 +131,9 @@ class Rollup:
         return True
 
     def batches(self) -> list[str]:
-        path, fs = self._path("x")
-        top = path.getParent()
-        names = [s.getPath().getName() for s in fs.listStatus(top)] if fs.exists(top) else []
-        return sorted(n[6:] for n in names if n.startswith("batch=") and self.committed(n[6:]))
+        """The committed batches that totals are the sums of."""
+        covered = self._covered()
+        return [n for n in self._names("batch") if n not in covered and self._complete("batch", n)]
 
     def totals(self) -> DataFrame:
         """KEYS and MEASURES over all committed batches; keys whose measures are all zero are absent."""
@@ -122,16 +143,18 @@ class Rollup:
         return out.where(" OR ".join(f"{m} <> 0" for m in MEASURES))
 
     def compact(self, batch: str) -> bool:
-        """Write the totals as one batch named `batch` and remove the others; False if there is nothing to do.
+        """Write the totals as one batch of a new name and remove those it stands for; False if there is nothing to do.
 
-        The batches it stands for are listed in the folder first, so that an interrupted compaction can be seen.
+        Their names stay committed, so a replay counts nothing. An interrupted compaction leaves the totals as they are.
         """
         old = self.batches()
-        if len(old) < 2 or batch in old:
+        if len(old) < 2 or self.committed(batch):
             return False
-        totals = self.totals().collect()  # a row for each key, which the rollup is small by design for
-        self.spark.createDataFrame(totals, SCHEMA).coalesce(1).write.mode("overwrite").parquet(f"{self.folder}/batch={batch}")
-        for b in old:
-            path, fs = self._path(b)
-            fs.delete(path, True)
+        covered = self._covered() | set(old)
+        self._drop("batch", batch)
+        self.spark.createDataFrame([(n,) for n in sorted(covered)], "name string").coalesce(1).write.mode("overwrite").parquet(f"{self.folder}/covers={batch}")
+        self.totals().coalesce(1).write.mode("overwrite").parquet(f"{self.folder}/batch={batch}")
+        for name in covered:
+            self._drop("batch", name)
+            self._drop("covers", name)
         return True

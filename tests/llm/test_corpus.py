@@ -161,6 +161,15 @@ def test_rollups(spark, tmp_path):
     roll.commit("three", token_counts.revised(token_counts.word_counts(d.where("doc_id = 1")), token_counts.word_counts(docs(spark, [(1, "a")], SCHEMA))))
     assert total() == {"s1": (2, 2), "s0": (1, 0)}
     assert roll.compact("all") and roll.batches() == ["all"] and total() == {"s1": (2, 2), "s0": (1, 0)}
+    assert not roll.commit("one", token_counts.inserted(counts)) and not roll.compact("one")
+    assert roll.commit("four", token_counts.inserted(counts)) and roll.compact("again") and not roll.commit("two", token_counts.inserted(counts))
+    assert roll.batches() == ["again"] and total() == {"s1": (4, 6), "s2": (1, 2), "s0": (2, 0)}
+    # Compactions that stopped before their batch was complete, and before what they stand for was removed.
+    roll.commit("five", token_counts.deleted(counts))
+    spark.createDataFrame([("again",), ("five",)], "name string").write.parquet(str(tmp_path / "roll" / "covers=later"))
+    assert roll.batches() == ["again", "five"] and total() == {"s1": (2, 2), "s0": (1, 0)}
+    roll.totals().write.parquet(str(tmp_path / "roll" / "batch=later"))
+    assert roll.batches() == ["later"] and roll.committed("five") and total() == {"s1": (2, 2), "s0": (1, 0)}
     encoding = token_counts._encoding(token_counts.RANKS)
     long = prose(random.Random(9), 30_000)
     assert token_counts.byte_pair_counts(docs(spark, [(1, long), (2, None)], SCHEMA)).agg({"tokens": "sum"}).first()[0] == len(encoding.encode_ordinary(long))
