@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACES, ascii_lower, text_or_empty
+from .common import SPACES, Scratch, ascii_lower, text_or_empty
 
 
 def line_key(line: Column) -> Column:
@@ -22,6 +22,8 @@ def dropped_lines(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> Da
     keys = F.filter(F.transform(F.split(text_or_empty(), "\n"), line_key), lambda k: F.length(k) >= min_chars)
     held = docs.where("doc_id IS NOT NULL").select("doc_id", F.explode(F.array_distinct(F.transform(keys, _code))).alias("code")).select("doc_id", "code.*")
     often = held.groupBy("h1", "h2").agg(F.countDistinct("doc_id").alias("n"), F.max("doc_id").alias("keeper")).where(F.col("n") >= min_docs).drop("n")
+    # Staged, so that the join's sides are plain exchanges (or one is small by its files): Spark can split a hot line.
+    often = Scratch(docs.sparkSession, "lines").stage(often, "often")
     lost = held.join(often, ["h1", "h2"]).where(F.col("doc_id") != F.col("keeper"))
     return lost.groupBy("doc_id").agg(F.collect_set(F.struct("h1", "h2")).alias("gone"))
 
