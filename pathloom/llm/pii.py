@@ -217,7 +217,15 @@ def negatives(rng: random.Random) -> tuple[str, list[tuple[int, int]], list]:
 def trained(docs: DataFrame, sample: int = SAMPLE) -> Field:
     """A field trained on at most `sample` documents with base spans, the first by hash of doc_id."""
     marked = docs.where("doc_id IS NOT NULL").where(F.col("text").rlike(r"@[A-Za-z0-9-]+\.[A-Za-z0-9]|[0-9]{2}\.[0-9]+\.[0-9]+\.[0-9]|[0-9]{16}|\+[0-9] ?\(?[0-9]{3}"))
-    texts = [r["text"] for r in marked.select("text", F.xxhash64("doc_id").alias("h"), "doc_id").where(F.length("text") < 20_000).orderBy("h", "doc_id").limit(sample).select("text").toLocalIterator()]
+    marked = marked.where(F.length("text") < 20_000).select("text", F.xxhash64("doc_id").alias("h"), "doc_id")
+    # Hashes under a bound that about twice the sample has: else each task would send `sample` texts to the one that sorts.
+    share = 2 * sample / max(marked.count(), 1)
+    while True:
+        under = marked if share >= 1 else marked.where(F.col("h") < -(1 << 63) + int(share * (1 << 64)))
+        texts = [r["text"] for r in under.orderBy("h", "doc_id").limit(sample).select("text").toLocalIterator()]
+        if len(texts) >= sample or share >= 1:
+            break
+        share *= 4
     rng, examples = random.Random(11), []
     for text in texts:
         base = base_spans(text)

@@ -108,6 +108,8 @@ def test_personal_data(spark):
     rng = random.Random(6)
     more = [f"{prose(rng, 5)} +1 ({rng.randint(200, 999)}) 555-{rng.randint(1000, 9999)} {prose(rng, 5)} u{k}@mail.example.com {prose(rng, 4)}" for k in range(40)]
     field = pii.trained(docs(spark, list(enumerate(more))))
+    # A sample that has to be drawn by the bound, and one that the bound misses at first as all rows hash alike.
+    assert pii.trained(docs(spark, list(enumerate(more * 5))), sample=10).weights and pii.trained(docs(spark, [(7, t) for t in more]), sample=5).weights
     got = {r["doc_id"]: r for r in pii.personal_data(docs(spark, list(enumerate(texts))), field=field).collect()}
     assert [got[k]["n_email"] for k in range(6)] == [2, 0, 0, 0, 0, 0] and got[1]["n_ip"] == 1 and got[2]["n_card"] == 1 and got[3]["n_phone"] == 1
     pattern = r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"
