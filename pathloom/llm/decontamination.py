@@ -22,6 +22,9 @@ WINDOW, LITERALS, RUN = 8, 4, 5
 #: Benchmark windows that are broadcast at most; beyond, Spark joins by shuffle.
 BROADCAST_WINDOWS = 200_000
 
+#: Slots that ids of matched documents hash to; at most so many are broadcast, whatever the input.
+SLOTS = 1 << 20
+
 
 def plain(text: Column) -> Column:
     """Text without tokens of punctuation alone, so that template and text have the same tokens."""
@@ -80,7 +83,10 @@ def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     hits = found.join(F.broadcast(wanted) if few else wanted, "code").groupBy("doc_id").agg(F.collect_set(F.struct("place", "code")).alias("hits"))
     hits = scratch.stage(hits, "hits")
     # Only matched documents are read for their tokens; each window goes on with its own eight.
-    raw = docs.join(hits, "doc_id").select("doc_id", tokens(F.col("text")).alias("raw"), "hits").dropDuplicates(["doc_id"])
+    # Texts whose ids hash to no matched slot stay out of the join's shuffle.
+    slot = F.pmod(F.xxhash64("doc_id"), F.lit(SLOTS)).cast("int").alias("slot")
+    near = docs.select("*", slot).join(F.broadcast(hits.select(slot).distinct()), "slot", "left_semi").drop("slot")
+    raw = near.join(hits, "doc_id").select("doc_id", tokens(F.col("text")).alias("raw"), "hits").dropDuplicates(["doc_id"])
     piece = lambda h: F.struct(h["place"].alias("place"), h["code"].alias("code"), F.slice(F.col("raw"), h["place"] + 1, F.lit(WINDOW)).alias("words"))
     pieces = raw.select("doc_id", F.explode(F.transform("hits", piece)).alias("h")).select("doc_id", "h.*")
     matched = pieces.join(F.broadcast(own) if few else own, "code")
