@@ -34,8 +34,29 @@ START, END = U(1), U(2)
 _PAIR = U(0x9E3779B97F4A7C15)
 
 
+#: Bytes of text that are split and hashed at a time.
+PIECE = 1_000_000
+
+
+def _pieces(texts: list[bytes]):
+    """Stretches of texts of about PIECE bytes, one text at least; one empty stretch if there are no texts."""
+    begin = total = 0
+    for i, t in enumerate(texts):
+        if i > begin and total + len(t) > PIECE:
+            yield texts[begin:i]
+            begin, total = i, 0
+        total += len(t)
+    yield texts[begin:]
+
+
 def _tokens(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Hashes of all tokens with the end of each document, the hashes before them, and the document of each."""
+    word, before, sizes = (np.concatenate(x) for x in zip(*map(_piece_tokens, _pieces(texts)), strict=True))
+    return word, before, np.repeat(np.arange(len(texts)), sizes)
+
+
+def _piece_tokens(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes of the tokens of a stretch, the hashes before them, and how many each document has."""
     units: Units = word_units([t.translate(_lower) for t in texts])
     sizes = np.diff(units.at) + 1
     ends = np.cumsum(sizes) - 1
@@ -46,11 +67,26 @@ def _tokens(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     before = np.empty_like(word)
     before[1:] = word[:-1]
     before[ends - sizes + 1] = START
-    return word, before, np.repeat(np.arange(len(texts)), sizes)
+    return word, before, sizes
 
 
 def _encoded(column) -> list[bytes]:
-    return [(t or "").encode() for t in column.to_pylist()]
+    import pyarrow as pa
+
+    return [t or b"" for t in column.cast(pa.binary()).to_pylist()]
+
+
+def _grouped(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """An order that brings equal keys together, where each of them begins in it, and how many there are."""
+    order = np.argsort(keys)
+    own = keys[order]
+    at = np.flatnonzero(np.concatenate([[True], own[1:] != own[:-1]])) if len(keys) else np.zeros(0, dtype=np.int64)
+    return order, at, np.diff(np.concatenate([at, [len(keys)]])) if len(keys) else at
+
+
+def _in_sorted(x: np.ndarray, members: np.ndarray) -> np.ndarray:
+    """Which x are among members, which are sorted and not empty."""
+    return members[np.minimum(np.searchsorted(members, x), len(members) - 1)] == x
 
 
 def _bucket(codes: np.ndarray, n: int) -> np.ndarray:
@@ -61,14 +97,31 @@ def _pairs(before: np.ndarray, word: np.ndarray) -> np.ndarray:
     return mix(before * _PAIR + word)
 
 
+#: Distinct words of chunks that a task holds before it adds them up and sends them on.
+HELD = 1_000_000
+
+
 def _count_words(batches):
     import pyarrow as pa
 
-    for batch in text_chunks(batches, most=16_000_000):
+    def added_up():
+        words, times = (np.concatenate(x) for x in zip(*held, strict=True))
+        order, at, _ = _grouped(words)
+        return pa.RecordBatch.from_arrays([pa.array(words[order[at]].view(np.int64)), pa.array(np.add.reduceat(times[order], at))], names=["w", "c"])
+
+    held, n = [], 0
+    for batch in text_chunks(batches):
         train = batch.column("held_out").to_numpy(zero_copy_only=False).astype(bool) ^ True
         word, _, doc = _tokens(_encoded(batch.column("text")))
         distinct, times = np.unique(word[train[doc]], return_counts=True)
-        yield pa.RecordBatch.from_arrays([pa.array(distinct.view(np.int64)), pa.array(times)], names=["w", "c"])
+        if len(distinct):
+            held.append((distinct, times))
+            n += len(distinct)
+        if n >= HELD:
+            yield added_up()
+            held, n = [], 0
+    if held:
+        yield added_up()
 
 
 def _slices(keys: np.ndarray):
