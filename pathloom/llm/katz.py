@@ -146,12 +146,14 @@ def _ask(n_buckets: int, hot: np.ndarray, turn: int):
         train = table.column("held_out").to_numpy().astype(bool) ^ True
         word, before, doc = _tokens(_encoded(table.column("text").combine_chunks()))
         codes = _pairs(before, word)
-        _, first, where = np.unique(codes, return_index=True, return_inverse=True)
-        times = np.bincount(where, weights=train[doc], minlength=len(first)).astype(np.int32)
-        h1, h2 = before[first], word[first]
-        bucket = _bucket(np.where(np.isin(h1, hot), codes[first], mix(h1)), n_buckets)
+        bucket = _bucket(np.where(_in_sorted(before, hot), codes, mix(before)), n_buckets)
         own = np.flatnonzero(bucket % PASSES == turn)
-        order = own[np.lexsort((h2[own], h1[own], bucket[own]))]
+        order, at, _ = _grouped(codes[own])
+        times = np.add.reduceat(train[doc[own]][order], at, dtype=np.int32) if len(own) else np.zeros(0, dtype=np.int32)
+        first = own[order[at]]
+        bucket, h1, h2 = bucket[first].astype(np.min_scalar_type(n_buckets)), before[first], word[first]
+        order = np.argsort(h1)
+        order = order[np.argsort(bucket[order], kind="stable")]
         bucket, h1, h2, times = bucket[order], h1[order], h2[order], times[order]
         rows = []
         for k, s in _slices(bucket):
@@ -204,12 +206,14 @@ def _answer_bigrams(least: int):
         sizes = np.array([len(x) for x in h2s])
         h1, h2 = np.concatenate(h1s), np.concatenate(h2s)
         codes = _pairs(h1, h2)
-        distinct, first, where = np.unique(codes, return_index=True, return_inverse=True)
-        total = np.bincount(where, weights=times, minlength=len(distinct)).astype(np.int64)
-        known = total >= least
+        order, at, runs = _grouped(codes)
+        total = np.add.reduceat(times[order], at, dtype=np.int64)
+        count = np.empty(len(codes), dtype=np.int64)
+        count[order] = np.repeat(total, runs)
         few = np.bincount(total[total <= DISCOUNTED + 1], minlength=DISCOUNTED + 2).astype(np.int64)
-        rows = [(-1, h1[first][known].tobytes(), h2[first][known].tobytes(), total[known].tobytes(), few.tobytes())]
-        count = total[where]
+        known = order[at[total >= least]]
+        known = known[np.argsort(h1[known])]  # equal contexts side by side take less room
+        rows = [(-1, h1[known].tobytes(), h2[known].tobytes(), count[known].tobytes(), few.tobytes())]
         ends = np.cumsum(sizes)
         for block, e, n in zip(blocks, ends.tolist(), sizes.tolist(), strict=True):
             own = np.flatnonzero(count[e - n : e] >= least) + (e - n)
@@ -288,7 +292,9 @@ def _score(model: Model, n_buckets: int):
                 alphas.append(np.frombuffer(c, dtype=np.float64))
         order = np.argsort(words := np.concatenate(words))
         words, counts, totals, alphas = (x[order] for x in (words, *map(np.concatenate, (counts, totals, alphas))))
-        at, context = np.searchsorted(words, word), np.searchsorted(words, before)
+        at = np.searchsorted(words, word)
+        context = np.concatenate([at[:1], at[:-1]])
+        context[before == START] = np.searchsorted(words, START)
         c = counts[at]
         ratio = np.array([*model.unigram, 1.0])[np.minimum(c, DISCOUNTED + 1)]
         lower = np.where(c > 0, np.log10(np.maximum(c * ratio, 1e-300) / max(model.tokens, 1)), math.log10(max(model.unseen, 1e-300)))
@@ -332,7 +338,7 @@ def katz_scores(docs: DataFrame, least: int = 2) -> DataFrame:
     unigram = tuple(discounts(few))
     unseen = sum(r * few[r] * (1 - unigram[r]) for r in range(1, DISCOUNTED + 1)) / tokens if tokens else 1.0
     hot = words.where(F.col("c") >= max(tokens * HOT_SHARE, 1000)).select("w").collect()  # 1 / HOT_SHARE rows at most
-    hot = np.array([int(START), *(r["w"] & (2**64 - 1) for r in hot)], dtype=U)
+    hot = np.array(sorted([int(START), *(r["w"] & (2**64 - 1) for r in hot)]), dtype=U)
 
     blocked = docs.withColumn("block", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n_blocks)).cast("int"))
     parts = []
