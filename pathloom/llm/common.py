@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -59,6 +60,27 @@ def collect_garbage(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+#: A runtime setting of Spark: shuffle files of a command's plan go as soon as the command has ended.
+FREE_SHUFFLES = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+@contextmanager
+def freed_shuffles(spark: SparkSession):
+    """Commands in the block free their shuffle files at once; the session's own setting holds again afterwards.
+
+    Garbage collection alone leaves those of the last plan until the next one has run.
+    """
+    own = spark.conf.get(FREE_SHUFFLES, None)
+    spark.conf.set(FREE_SHUFFLES, "true")
+    try:
+        yield
+    finally:
+        if own is None:
+            spark.conf.unset(FREE_SHUFFLES)
+        else:
+            spark.conf.set(FREE_SHUFFLES, own)
+
+
 class Scratch:
     """Tables written to the shared folder, which cut lineage and survive the loss of executors."""
 
@@ -67,7 +89,8 @@ class Scratch:
 
     def stage(self, df: DataFrame, name: str) -> DataFrame:
         path = f"{self.root}/{name}"
-        df.write.mode("overwrite").parquet(path)
+        with freed_shuffles(self.spark):
+            df.write.mode("overwrite").parquet(path)
         self.paths[name] = path
         schema = df.schema
         del df
