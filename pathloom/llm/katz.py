@@ -364,10 +364,12 @@ def katz_scores(docs: DataFrame, least: int = 2) -> DataFrame:
     weighed = words.unionByName(start).join(seen, F.col("w") == F.col("h1"), "left")
     total = F.greatest(F.col("c").cast("double"), F.coalesce(F.col("mass") + 0.5, F.lit(0.0)))
     alpha = F.when(F.col("h1").isNull(), 0.0).otherwise(F.log10((1 - F.col("mass") / F.col("total")) / F.greatest(1 - F.col("lower"), F.lit(1e-12))))
-    weights = weighed.select("*", total.alias("total")).select("w", "c", "total", alpha.alias("alpha")).mapInArrow(_with_bucket(n_blocks), "w long, c long, total double, alpha double, bucket int")
+    weights = scratch.stage(weighed.select("*", total.alias("total")).select("w", "c", "total", alpha.alias("alpha")), "weights")
+    scratch.drop("words")
+    weights = weights.mapInArrow(_with_bucket(n_blocks), "w long, c long, total double, alpha double, bucket int")
     known = blocked.groupBy("block").applyInArrow(_ask_words(n_blocks), "bucket int, block int, a binary").groupBy("bucket").cogroup(weights.groupBy("bucket")).applyInArrow(_answer_words, "block int, bucket int, a binary, b binary, c binary")
     known = scratch.stage(known, "known")
-    scratch.drop("words")
+    scratch.drop("weights")
     answers = known.unionByName(bigrams.where("block >= 0").select("block", F.lit(-1).alias("bucket"), "a", "b", "c"))
     return blocked.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(_score(model, n_blocks), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
