@@ -49,14 +49,27 @@ def _codes(toks: Column) -> Column:
     return F.when(F.size(toks) >= WINDOW, let(hashed, window))
 
 
+def _fillers(text: Column) -> Column:
+    """Tokens of a plain text in lower case without punctuation at their ends, one for each token of its template."""
+    return tokens(F.lower(F.regexp_replace(text, r"(?<!\S)[^\p{L}\p{N}\s]+|[^\p{L}\p{N}\s]+(?!\S)", "")))
+
+
 def _is_slot(token: Column) -> Column:
     return token.rlike(f"[{NUMBER}{UNIT}{NAME}]")
 
 
+def _consistent(windows: str) -> Column:
+    """The windows of an alignment without those that hold a filler which the alignment fills in more than one way."""
+    pairs = F.array_distinct(F.flatten(F.transform(windows, lambda w: w["pairs"])))
+    twice = lambda ofs: F.filter(ofs, lambda x, i: F.array_position(ofs, x) != i + 1)
+    clashing = let(F.transform(pairs, lambda p: p["of"]), twice)
+    return let(clashing, lambda bad: F.filter(windows, lambda w: ~F.arrays_overlap(F.transform(w["pairs"], lambda p: p["of"]), bad)))
+
+
 def benchmark_windows(benchmark: DataFrame) -> DataFrame:
     """item_id, at (place of the window), code, slots (places in the window), filled (the item's tokens), n_windows."""
     text = plain(text_or_empty(F.col("text").cast("string")))
-    rows = benchmark.where("item_id IS NOT NULL").select("item_id", tokens(template(text)).alias("t"), tokens(text).alias("raw"))
+    rows = benchmark.where("item_id IS NOT NULL").select("item_id", tokens(template(text)).alias("t"), _fillers(text).alias("raw"))
     rows = rows.where(F.size("t") >= WINDOW).select("item_id", "t", "raw", F.posexplode(_codes(F.col("t"))).alias("at", "code"))
     piece = F.slice("t", F.col("at") + 1, WINDOW)
     rows = rows.select("item_id", "at", "code", F.slice("raw", F.col("at") + 1, WINDOW).alias("filled"), F.transform(piece, _is_slot).alias("slots"))
@@ -68,8 +81,8 @@ def benchmark_windows(benchmark: DataFrame) -> DataFrame:
 def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """doc_id, item_id, n_matched (the item's windows found), n_windows, for each document that holds a benchmark item.
 
-    An item is held if RUN of its windows (all, if it has fewer), that is 12 tokens in a row, match on alignments whose slots are
-    consistent. Windows with fewer than LITERALS literal tokens and items of fewer than WINDOW tokens are not searched.
+    An item is held if RUN of its windows (all, if it has fewer), that is 12 tokens in a row, match. A window does not count where
+    its alignment fills one of its slots' fillers in more than one way. Windows with fewer than LITERALS literal tokens and items of fewer than WINDOW tokens are not searched.
     Rows without doc_id or item_id, null and empty texts match nothing; repeated rows give one row. Other columns are
     ignored.
     """
@@ -86,15 +99,15 @@ def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     # Texts whose ids hash to no matched slot stay out of the join's shuffle.
     slot = F.pmod(F.xxhash64("doc_id"), F.lit(SLOTS)).cast("int").alias("slot")
     near = docs.select("*", slot).join(F.broadcast(hits.select(slot).distinct()), "slot", "left_semi").drop("slot")
-    raw = near.join(hits, "doc_id").select("doc_id", tokens(F.col("text")).alias("raw"), "hits").dropDuplicates(["doc_id"])
+    raw = near.join(hits, "doc_id").select("doc_id", _fillers(F.col("text")).alias("raw"), "hits").dropDuplicates(["doc_id"])
     piece = lambda h: F.struct(h["place"].alias("place"), h["code"].alias("code"), F.slice(F.col("raw"), h["place"] + 1, F.lit(WINDOW)).alias("words"))
     pieces = raw.select("doc_id", F.explode(F.transform("hits", piece)).alias("h")).select("doc_id", "h.*")
     matched = pieces.join(F.broadcast(own) if few else own, "code")
     pairs = F.zip_with(F.zip_with("filled", "slots", lambda f, s: F.when(s, f)), "words", lambda f, w: F.when(f.isNotNull(), F.struct(f.alias("of"), w.alias("by"))))
     matched = matched.select("doc_id", "item_id", "n_windows", "at", (F.col("place") - F.col("at")).alias("shift"), F.filter(pairs, lambda p: p.isNotNull()).alias("pairs"))
-    aligned = matched.groupBy("doc_id", "item_id", "shift").agg(F.first("n_windows").alias("n_windows"), F.collect_set("at").alias("ats"), F.array_distinct(F.flatten(F.collect_list("pairs"))).alias("pairs"))
-    clashes = F.size("pairs") - F.size(F.array_distinct(F.transform("pairs", lambda p: p["of"])))
-    held = aligned.where(2 * clashes <= F.size("pairs")).groupBy("doc_id", "item_id").agg(F.first("n_windows").alias("n_windows"), F.size(F.array_distinct(F.flatten(F.collect_list("ats")))).cast("long").alias("n_matched"))
+    aligned = matched.groupBy("doc_id", "item_id", "shift").agg(F.first("n_windows").alias("n_windows"), F.collect_set(F.struct("at", "pairs")).alias("windows"))
+    held = aligned.select("doc_id", "item_id", "n_windows", F.transform(_consistent("windows"), lambda w: w["at"]).alias("ats"))
+    held = held.groupBy("doc_id", "item_id").agg(F.first("n_windows").alias("n_windows"), F.size(F.array_distinct(F.flatten(F.collect_list("ats")))).cast("long").alias("n_matched"))
     return held.where(F.col("n_matched") >= F.least(F.lit(RUN), F.col("n_windows"))).select("doc_id", "item_id", "n_matched", "n_windows")
 
 

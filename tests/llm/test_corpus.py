@@ -96,6 +96,16 @@ def test_templates(spark):
     assert decontamination.contaminated(docs(spark, rows), bench.limit(0)).count() == 0
 
 
+def test_clashing_slots(spark):
+    item = "A train with 12 wagons leaves Boston at noon and each of the 12 wagons holds 40 quiet people who read"
+    alike = "A train with 17, wagons leaves DENVER at noon and each of the 17 wagons holds 12 quiet people who read"
+    clash = "A train with 17 wagons leaves Denver at noon and each of the 99 wagons holds 12 quiet people who read"
+    bench = spark.createDataFrame([(0, item)], "item_id long, text string")
+    got = decontamination.contaminated(docs(spark, [(1, alike), (2, clash), (3, item)]), bench)
+    assert sorted(r["doc_id"] for r in got.collect()) == [1, 3]
+    assert [r["doc_id"] for r in decontamination.decontaminate(docs(spark, [(2, clash)]), bench).collect()] == [2]
+
+
 def test_katz(spark, corpus, monkeypatch):
     monkeypatch.setattr(katz, "BLOCK", 4000)
     got = {r["doc_id"]: tuple(r)[1:] for r in katz.katz_scores(docs(spark, corpus)).collect()}
