@@ -2,7 +2,8 @@
 
 Numbers, units and names become typed placeholders. Windows of template tokens of the documents meet those of the
 benchmark in a hash join; runs of matched windows on one alignment count if the slots fill consistently, i.e. what the
-benchmark repeats is repeated alike in the document. Copies with other numbers or names are caught, too.
+benchmark repeats is repeated alike in the document. Copies with other numbers or names are caught, too. Windows that are mostly
+slots, and items shorter than a window, are searched as they are filled.
 """
 
 from __future__ import annotations
@@ -18,6 +19,7 @@ NUMBER, UNIT, NAME = "\ue000", "\ue001", "\ue002"  # private-use characters
 UNITS = "km|kilometers|kilometres|m|meters|metres|cm|mm|miles|mile|feet|ft|inches|kg|kilograms|g|grams|mg|lb|lbs|pounds|tons|l|liters|litres|ml|hours|hour|h|minutes|minute|min|seconds|second|s|days|day|weeks|months|years|year|percent|dollars|euros|cents|degrees|kw|kwh|mb|gb|tb"
 
 WINDOW, LITERALS, RUN = 8, 4, 5
+EXACT = "exact"  # tells codes of fillers from codes of templates
 
 #: Benchmark windows that are broadcast at most; beyond, Spark joins by shuffle.
 BROADCAST_WINDOWS = 200_000
@@ -49,6 +51,20 @@ def _codes(toks: Column) -> Column:
     return F.when(F.size(toks) >= WINDOW, let(hashed, window))
 
 
+def _exact_code(fillers: list[Column]) -> Column:
+    return F.xxhash64(F.lit(EXACT), *fillers)
+
+
+def _exact_codes(raw: Column, widths: list[int]) -> Column:
+    """(place, code) of the windows of each width of an array of fillers."""
+
+    def of(width: int) -> Column:
+        at = F.when(F.size(raw) >= width, F.sequence(F.lit(0), F.size(raw) - width)).otherwise(F.array().cast("array<int>"))
+        return F.transform(at, lambda i: F.struct(i.alias("place"), _exact_code([F.element_at(raw, (i + k + 1).cast("int")) for k in range(width)]).alias("code")))
+
+    return F.concat(*map(of, widths))
+
+
 def _fillers(text: Column) -> Column:
     """Tokens of a plain text in lower case without punctuation at their ends, one for each token of its template."""
     return tokens(F.lower(F.regexp_replace(text, r"(?<!\S)[^\p{L}\p{N}\s]+|[^\p{L}\p{N}\s]+(?!\S)", "")))
@@ -67,14 +83,19 @@ def _consistent(windows: str) -> Column:
 
 
 def benchmark_windows(benchmark: DataFrame) -> DataFrame:
-    """item_id, at (place of the window), code, slots (places in the window), filled (the item's tokens), n_windows."""
+    """item_id, at (place of the window), code, width, exact (by its fillers?), slots (places in the window), filled (the
+    item's tokens), n_windows, n_templates (those that are not exact)."""
     text = plain(text_or_empty(F.col("text").cast("string")))
-    rows = benchmark.where("item_id IS NOT NULL").select("item_id", tokens(template(text)).alias("t"), _fillers(text).alias("raw"))
-    rows = rows.where(F.size("t") >= WINDOW).select("item_id", "t", "raw", F.posexplode(_codes(F.col("t"))).alias("at", "code"))
-    piece = F.slice("t", F.col("at") + 1, WINDOW)
-    rows = rows.select("item_id", "at", "code", F.slice("raw", F.col("at") + 1, WINDOW).alias("filled"), F.transform(piece, _is_slot).alias("slots"))
-    rows = rows.where(F.size(F.filter("slots", lambda s: ~s)) >= LITERALS)
-    sizes = rows.groupBy("item_id").agg(F.count("*").alias("n_windows"))
+    rows = benchmark.where("item_id IS NOT NULL").select("item_id", tokens(template(text)).alias("t"), _fillers(text).alias("raw")).where(F.size("t") > 0)
+    codes = F.when(F.size("t") >= WINDOW, _codes(F.col("t"))).otherwise(F.array(F.lit(0).cast("long")))
+    rows = rows.select("item_id", "t", "raw", F.posexplode(codes).alias("at", "code"))
+    rows = rows.select("item_id", "at", "code", F.slice("raw", F.col("at") + 1, WINDOW).alias("filled"), F.transform(F.slice("t", F.col("at") + 1, WINDOW), _is_slot).alias("slots"))
+    rows = rows.withColumn("width", F.size("filled")).withColumn("exact", (F.size("filled") < WINDOW) | (F.size(F.filter("slots", lambda s: ~s)) < LITERALS))
+    code = F.col("code")
+    for width in range(1, WINDOW + 1):
+        code = F.when(F.col("exact") & (F.col("width") == width), _exact_code([F.get("filled", F.lit(k)) for k in range(width)])).otherwise(code)
+    rows = rows.withColumn("code", code)
+    sizes = rows.groupBy("item_id").agg(F.count("*").alias("n_windows"), F.sum((~F.col("exact")).cast("long")).alias("n_templates"))
     return rows.join(sizes, "item_id")
 
 
@@ -82,8 +103,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """doc_id, item_id, n_matched (the item's windows found), n_windows, for each document that holds a benchmark item.
 
     An item is held if RUN of its windows (all, if it has fewer), that is 12 tokens in a row, match. A window does not count where
-    its alignment fills one of its slots' fillers in more than one way. Windows with fewer than LITERALS literal tokens and items of fewer than WINDOW tokens are not searched.
-    Rows without doc_id or item_id, null and empty texts match nothing; repeated rows give one row. Other columns are
+    @@    Rows without doc_id or item_id, null and empty texts match nothing; repeated rows give one row. Other columns are
     ignored.
     """
     spark = docs.sparkSession
@@ -92,7 +112,11 @@ def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     docs = docs.where("doc_id IS NOT NULL").select("doc_id", plain(text_or_empty(F.col("text").cast("string"))).alias("text"))
     few = own.limit(BROADCAST_WINDOWS + 1).count() <= BROADCAST_WINDOWS
     wanted = own.select("code").distinct()
+    widths = [r["width"] for r in own.where("exact").select("width").distinct().collect()]
     found = docs.select("doc_id", tokens(template(F.col("text"))).alias("t")).select("doc_id", F.posexplode(_codes(F.col("t"))).alias("place", "code"))
+    if widths:
+        filled = docs.select("doc_id", _fillers(F.col("text")).alias("raw"))
+        found = found.unionByName(filled.select("doc_id", F.inline(_exact_codes(F.col("raw"), sorted(widths)))))
     hits = found.join(F.broadcast(wanted) if few else wanted, "code").groupBy("doc_id").agg(F.collect_set(F.struct("place", "code")).alias("hits"))
     hits = scratch.stage(hits, "hits")
     # Only matched documents are read for their tokens; each window goes on with its own eight.
@@ -103,12 +127,15 @@ def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     piece = lambda h: F.struct(h["place"].alias("place"), h["code"].alias("code"), F.slice(F.col("raw"), h["place"] + 1, F.lit(WINDOW)).alias("words"))
     pieces = raw.select("doc_id", F.explode(F.transform("hits", piece)).alias("h")).select("doc_id", "h.*")
     matched = pieces.join(F.broadcast(own) if few else own, "code")
-    pairs = F.zip_with(F.zip_with("filled", "slots", lambda f, s: F.when(s, f)), "words", lambda f, w: F.when(f.isNotNull(), F.struct(f.alias("of"), w.alias("by"))))
-    matched = matched.select("doc_id", "item_id", "n_windows", "at", (F.col("place") - F.col("at")).alias("shift"), F.filter(pairs, lambda p: p.isNotNull()).alias("pairs"))
-    aligned = matched.groupBy("doc_id", "item_id", "shift").agg(F.first("n_windows").alias("n_windows"), F.collect_set(F.struct("at", "pairs")).alias("windows"))
-    held = aligned.select("doc_id", "item_id", "n_windows", F.transform(_consistent("windows"), lambda w: w["at"]).alias("ats"))
-    held = held.groupBy("doc_id", "item_id").agg(F.first("n_windows").alias("n_windows"), F.size(F.array_distinct(F.flatten(F.collect_list("ats")))).cast("long").alias("n_matched"))
-    return held.where(F.col("n_matched") >= F.least(F.lit(RUN), F.col("n_windows"))).select("doc_id", "item_id", "n_matched", "n_windows")
+    pairs = F.zip_with(F.zip_with("filled", "slots", lambda f, s: F.when(s, f)), F.slice("words", F.lit(1), F.col("width")), lambda f, w: F.when(f.isNotNull(), F.struct(f.alias("of"), w.alias("by"))))
+    matched = matched.select("doc_id", "item_id", "n_windows", "n_templates", "at", "exact", (F.col("place") - F.col("at")).alias("shift"), F.filter(pairs, lambda p: p.isNotNull()).alias("pairs"))
+    sizes = [F.first(n).alias(n) for n in ("n_windows", "n_templates")]
+    aligned = matched.groupBy("doc_id", "item_id", "shift").agg(*sizes, F.collect_set(F.struct("at", "exact", "pairs")).alias("windows"))
+    held = aligned.select("doc_id", "item_id", "n_windows", "n_templates", F.transform(_consistent("windows"), lambda w: F.struct(w["at"].alias("at"), w["exact"].alias("exact"))).alias("ats"))
+    held = held.groupBy("doc_id", "item_id").agg(*sizes, F.array_distinct(F.flatten(F.collect_list("ats"))).alias("ats"))
+    held = held.withColumn("n_matched", F.size("ats").cast("long")).withColumn("n_alike", F.size(F.filter("ats", lambda w: ~w["exact"])))
+    by_template = (F.col("n_templates") > 0) & (F.col("n_alike") >= F.least(F.lit(RUN), F.col("n_templates")))
+    return held.where((F.col("n_matched") >= F.least(F.lit(RUN), F.col("n_windows"))) | by_template).select("doc_id", "item_id", "n_matched", "n_windows")
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame) -> DataFrame:

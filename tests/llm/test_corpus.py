@@ -106,6 +106,14 @@ def test_clashing_slots(spark):
     assert [r["doc_id"] for r in decontamination.decontaminate(docs(spark, [(2, clash)]), bench).collect()] == [2]
 
 
+def test_items_of_slots(spark):
+    sums, short = "Compute 12 + 45 - 7 * 3 / 9 and 8 to 5", "What is 12 % of 250 km ?"
+    rows = [(1, f"First: {sums}, so"), (2, f"Then. {short} Well"), (3, "Compute 13 + 45 - 7 * 3 / 9 and 8 to 5"), (4, "What is 12 % of 251 km ?"), (5, "what is 12% of 250 km")]
+    bench = spark.createDataFrame([(0, sums), (1, short), (2, "..."), (3, "")], "item_id long, text string")
+    got = decontamination.contaminated(docs(spark, rows), bench).collect()
+    assert sorted(tuple(r) for r in got) == [(1, 0, 3, 3), (2, 1, 1, 1), (5, 1, 1, 1)]
+
+
 def test_katz(spark, corpus, monkeypatch):
     monkeypatch.setattr(katz, "BLOCK", 4000)
     got = {r["doc_id"]: tuple(r)[1:] for r in katz.katz_scores(docs(spark, corpus)).collect()}
