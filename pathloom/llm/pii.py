@@ -243,11 +243,10 @@ def all_spans(field: Field, text: str) -> tuple[list[tuple[str, int, int]], list
     base = base_spans(text)
     every, used = list(base), sorted((a, b) for _, a, b in base)
     for tokens in windows(text):
-        for i in range(0, len(tokens), 200):
-            for kind, a, b in field.decode(text, tokens[i : i + 200]):
-                k = bisect.bisect_left(used, (a, b))
-                if all(b <= x or a >= y for x, y in used[max(k - 2, 0) : k + 1]):
-                    every.append((kind, a, b))
+        for kind, a, b in field.decode(text, tokens):
+            k = bisect.bisect_left(used, (a, b))
+            if all(b <= x or a >= y for x, y in used[max(k - 2, 0) : k + 1]):
+                every.append((kind, a, b))
     return base, every
 
 

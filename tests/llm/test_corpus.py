@@ -137,6 +137,13 @@ def test_personal_data(spark):
     assert pii.all_spans(field, "on 2021-03-04 at 10:22:33 we paid 1,234.00")[1] == []
 
 
+def test_long_windows():
+    field = pii.Field({("phone", "grouped"): 9.0} | {(kind, "bias"): -1.0 for kind in pii.KINDS})
+    for before in (*range(190, 201), 399):
+        text = "7 " * before + "(555) 123 4567" + " 8" * 50
+        assert pii.all_spans(field, text)[1] == [("phone", 2 * before, 2 * before + 14)], before
+
+
 def test_simhash(spark, corpus, monkeypatch):
     monkeypatch.setattr(simhash, "HOT", 3)
     got = {r["doc_id"]: (r["fp"] & (2**64 - 1), r["component_id"]) for r in simhash.simhash_components(docs(spark, corpus)).collect()}
