@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathloom.llm import curriculum, decontamination, line_dedup, quality_rules, simhash
+from pathloom.llm import curriculum, decontamination, line_dedup, quality_rules, similar
 from pathloom.llm.common import Scratch, table
 
 
@@ -26,8 +26,8 @@ def _lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def _near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies stays."""
-    return simhash.near_dedup(docs, shingle=5)
+    """One document of each group of near copies stays: of those linked by a similarity of 4/5 of their 5-word shingles."""
+    return similar.similar_dedup(docs, shingle=5)
 
 
 def _benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

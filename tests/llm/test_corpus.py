@@ -6,7 +6,7 @@ import re
 
 import pytest
 
-from pathloom.llm import curriculum, decontamination, katz, line_dedup, pii, quality_rules, segments, simhash, substring_dedup, suffix_dedup, token_counts
+from pathloom.llm import curriculum, decontamination, katz, line_dedup, pii, quality_rules, segments, similar, simhash, substring_dedup, suffix_dedup, token_counts
 from pathloom.llm.components import components
 from pathloom.llm.common import Scratch
 
@@ -157,6 +157,40 @@ def test_simhash(spark, corpus, monkeypatch):
     assert sorted(r["doc_id"] for r in kept.collect()) == sorted(set(root.values()))
 
 
+@pytest.mark.parametrize("small", [32, 2])
+def test_similar(spark, corpus, monkeypatch, small):
+    monkeypatch.setattr(similar, "SMALL", small)
+    monkeypatch.setattr(similar, "FREQUENT", 3)
+    rng = random.Random(12)
+    base = prose(rng, 150).split()
+    rows = [*corpus, (None, corpus[3][1]), (None, "only here")]
+    for k in range(24):
+        own = list(base)
+        for i in range(0, 1 + k // 4):
+            own[(7 * k + 20 * i) % 150] = f"w{k}x{i}"
+        rows.append((100 + k, " ".join(own)))
+    got = similar.similar_components(docs(spark, rows)).collect()
+    sets = {d: set(similar.shingle_set((t or "").encode(), 5).tolist()) for d, t in rows if d is not None}
+    root = {d: d for d in sets}
+    for _ in range(6):
+        for a in sets:
+            root[a] = min(root[b] for b in sets if 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]))
+    assert {r["doc_id"]: r["component_id"] for r in got if r["doc_id"] is not None} == root and len(got) == len(rows)
+    assert sorted(r["component_id"] or -1 for r in got if r["doc_id"] is None) == [-1, 3]
+    kept = similar.similar_dedup(docs(spark, [(d, t) for d, t in rows if d is not None])).collect()
+    assert {r["doc_id"] for r in kept} == {*root.values()}
+
+
+def test_pipeline_links_near_copies(spark):
+    import corpus_pipeline
+
+    rng = random.Random(13)
+    base = prose(rng, 200).split()
+    rows = [(1, " ".join(base)), (2, " ".join("changed" if i in (30, 80, 130, 170) else w for i, w in enumerate(base))), (3, prose(rng, 200))]
+    assert (simhash.fingerprint(rows[0][1].encode(), 5) ^ simhash.fingerprint(rows[1][1].encode(), 5)).bit_count() > simhash.NEAR
+    assert {r["doc_id"] for r in corpus_pipeline._near_copies(spark, docs(spark, rows), "").collect()} == {1, 3}
+
+
 def test_anchors_meet():
     import numpy as np
 
