@@ -91,6 +91,16 @@ for _hint, _name in (("broadcast", "broadcast"), ("merge", "merge"), ("shuffle_h
     op(f"join_{_name}", _join)(_hinted)
 
 
+@op("join_nested_loop_whole", _join)
+def nested_whole(s, d):
+    """The published matching strategy over whole relations: an edge meets each edge of its block of nodes in turn."""
+    t, c = com(s, d, "transfer", "connected")
+    block = lambda x: F.floor(F.col(x) / 25).alias("block")
+    blocks = c.groupBy(block("src")).agg(F.collect_list(F.struct("src", "dst")).alias("edges"))
+    met = t.select("src", "dst", block("dst")).join(blocks, "block")
+    return met.select("src", F.explode(F.filter("edges", lambda e: e["src"] == F.col("dst"))).alias("e")).select("src", F.col("e.dst").alias("dst")).distinct()
+
+
 @op("join_nested_loop", f"SELECT DISTINCT a.src, b.dst FROM (SELECT * FROM {T} WHERE src < {CUST + 100}) AS a JOIN (SELECT * FROM {C} WHERE src < {CUST + 100}) AS b ON a.dst = b.src")
 def nested(s, d):
     """The published matching strategy, on the nodes of four communities."""
@@ -168,11 +178,21 @@ op("null_guard", "SELECT coalesce(lang, 'none') AS lang, count(*) AS n, sum(CASE
 op("digest", f"SELECT count(*) AS n, sum((src * 31 + dst) % 1000003)::BIGINT AS digest FROM {T}")(lambda s, d: com(s, d, "transfer")[0].agg(F.count("*").alias("n"), F.sum((F.col("src") * 31 + F.col("dst")) % 1000003).alias("digest")))
 
 
+def _steps(edges: DataFrame) -> DataFrame:
+    own = edges.select(F.array("src", "dst").alias("nodes"))
+    return own.select(F.posexplode(F.slice("nodes", 1, F.size("nodes") - 1)).alias("k", "src"), "nodes").select("src", F.element_at("nodes", F.col("k") + 2).alias("dst"))
+
+
+@op("path_steps_whole", f"SELECT src, dst FROM {q(_a['turn_next'])}")
+def path_steps_whole(s, d):
+    """Paths as node arrays, taken apart into edges."""
+    return _steps(act(s, d, "turn_next")[0])
+
+
 @op("path_steps", f"SELECT src, dst FROM {q(_a['turn_next'])} WHERE src < 20000000002000")
 def path_steps(s, d):
-    """Paths as node arrays, taken apart into edges."""
-    own = act(s, d, "turn_next")[0].where("src < 20000000002000").select(F.array("src", "dst").alias("nodes"))
-    return own.select(F.posexplode(F.slice("nodes", 1, F.size("nodes") - 1)).alias("k", "src"), "nodes").select("src", F.element_at("nodes", F.col("k") + 2).alias("dst"))
+    """The same of conversations 0 and 1 only."""
+    return _steps(act(s, d, "turn_next")[0].where("src < 20000000002000"))
 
 
 @op("sql_view", f"SELECT src, dst FROM {T} WHERE src < dst")
