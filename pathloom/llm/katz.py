@@ -6,8 +6,8 @@ it. One shuffle so serves counting and lookup, and a frequent word costs a row f
 frequent enough to fill a bucket (at most 1 / HOT_SHARE of them) are dealt by bigram instead of by context. Counts,
 weights and answers are tables in the shared folder, so a lost executor repeats its own tasks only.
 
-Words and bigrams are known by 64-bit hashes. Bigrams seen fewer than `least` times back off (their mass goes to the
-backoff weight), as do unseen ones; an unseen word has the mass of the unigram discounts. A context's backoff has the mass of
+Words and bigrams are known by 64-bit hashes. All bigrams seen in training are kept by default; those seen fewer than
+`least` times back off (their mass goes to the backoff weight), as do unseen ones; an unseen word has the mass of the unigram discounts. A context's backoff has the mass of
 half an occurrence at least: where discounts leave less, the context's total grows to that.
 """
 
@@ -318,7 +318,7 @@ def _score(model: Model, n_buckets: int):
     return run
 
 
-def katz_scores(docs: DataFrame, least: int = 2) -> DataFrame:
+def katz_scores(docs: DataFrame, least: int = 1) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of every row of docs.
 
     Learns from the rows whose crc32(doc_id as text) modulo 7 is not 2. Null texts are empty and have the end token
@@ -385,7 +385,7 @@ def _with_bucket(n_buckets: int):
     return run
 
 
-def brute_force(rows: list[tuple[int, str | None]], least: int = 2) -> dict[int, tuple]:
+def brute_force(rows: list[tuple[int, str | None]], least: int = 1) -> dict[int, tuple]:
     """For tests: the same with dictionaries, from the definitions."""
     import zlib
     from collections import Counter

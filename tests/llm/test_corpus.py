@@ -96,6 +96,12 @@ def test_templates(spark):
     assert decontamination.contaminated(docs(spark, rows), bench.limit(0)).count() == 0
 
 
+def test_katz_keeps_single_bigrams(spark, corpus):
+    got = {r["doc_id"]: r["score"] for r in katz.katz_scores(docs(spark, corpus)).collect()}
+    want, without = katz.brute_force(corpus, 1), katz.brute_force(corpus, 2)
+    assert got == pytest.approx({d: w[-1] for d, w in want.items()}, rel=1e-9) and any(abs(got[d] - w[-1]) > 1 for d, w in without.items())
+
+
 def test_clashing_slots(spark):
     item = "A train with 12 wagons leaves Boston at noon and each of the 12 wagons holds 40 quiet people who read"
     alike = "A train with 17, wagons leaves DENVER at noon and each of the 17 wagons holds 12 quiet people who read"
