@@ -90,13 +90,13 @@ class Units:
     packed: Callable[[int, int], bytes]  # the bytes of units begin to end (exclusive)
 
 
-_byte_hashes = mix(np.arange(1, 257, dtype=U) * U(0xA0761D6478BD642F))
+byte_hashes = mix(np.arange(1, 257, dtype=U) * U(0xA0761D6478BD642F))
 
 
 def byte_units(texts: list[bytes]) -> Units:
     joined = b"".join(texts)
     at = np.concatenate([[0], np.cumsum([len(t) for t in texts], dtype=np.int64)])
-    return Units(_byte_hashes[np.frombuffer(joined, dtype=np.uint8)], at, lambda b, e: joined[b:e])
+    return Units(byte_hashes[np.frombuffer(joined, dtype=np.uint8)], at, lambda b, e: joined[b:e])
 
 
 def word_units(texts: list[bytes]) -> Units:
@@ -106,7 +106,7 @@ def word_units(texts: list[bytes]) -> Units:
     joined = b" ".join(every)
     ends = np.cumsum(np.fromiter(map(len, every), dtype=np.int64, count=len(every)) + 1) - 1
     begins = np.concatenate([[0], ends[:-1] + 1]) if len(every) else ends
-    hashes = Prefix(_byte_hashes[np.frombuffer(joined, dtype=np.uint8)]).of(begins, ends) if every else np.zeros(0, dtype=U)
+    hashes = Prefix(byte_hashes[np.frombuffer(joined, dtype=np.uint8)]).of(begins, ends) if every else np.zeros(0, dtype=U)
     return Units(hashes, at, lambda b, e: joined[begins[b] : ends[e - 1]])
 
 

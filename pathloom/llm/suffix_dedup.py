@@ -15,25 +15,37 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Scratch, text_chunks
-from .segments import Plan, byte_units, covered, covered_units, grouped_runs
-
-
-def _names(triples: np.ndarray, alphabet: int) -> tuple[np.ndarray, int]:
-    """Dense names, from 1, of rows of three numbers below alphabet, in their order."""
-    if alphabet < 1 << 20:
-        codes = (triples[:, 0] * alphabet + triples[:, 1]) * alphabet + triples[:, 2]
-        distinct, names = np.unique(codes, return_inverse=True)
-        return names + 1, len(distinct)
-    order = np.lexsort((triples[:, 2], triples[:, 1], triples[:, 0]))
-    rows = triples[order]
-    new = np.concatenate([[1], np.any(rows[1:] != rows[:-1], axis=1)])
-    names = np.empty(len(order), dtype=np.int64)
-    names[order] = np.cumsum(new)
+from .segments import Plan, Prefix, byte_hashes, byte_units, covered, covered_units, grouped_runs
+
+
+def _dense(keys: np.ndarray) -> tuple[np.ndarray, int]:
+    """Names of keys, from 1, in their order, and how many there are."""
+    order = np.argsort(keys)
+    own = keys[order]
+    names = np.empty(len(keys), dtype=np.int64)
+    names[order] = np.cumsum(np.concatenate([[1], own[1:] != own[:-1]]))
     return names, int(names[order[-1]])
 
 
+def _keys(columns: list[np.ndarray], bits: int) -> np.ndarray:
+    """One number for each row of columns of `bits` bits at most, in the order of the rows."""
+    if len(columns) * bits > 63:
+        order = np.lexsort(columns[::-1])
+        new = np.any([c[order][1:] != c[order][:-1] for c in columns], axis=0)
+        out = np.empty(len(order), dtype=np.int64)
+        out[order] = np.cumsum(np.concatenate([[1], new]))
+        return out
+    out = columns[0]
+    for c in columns[1:]:
+        out = (out << bits) | c
+    return out
+
+
 def suffix_array(text: np.ndarray, alphabet: int) -> np.ndarray:
-    """Starts of the suffixes of text (numbers from 1 to alphabet - 1) in lexical order."""
+    """Starts of the suffixes of text (numbers from 1 to alphabet - 1) in lexical order.
+
+    Orders are found by sorting single machine words, into which triples and (number, rank) pairs are packed.
+    """
     n = len(text)
     if n < 3:
         return np.array(sorted(range(n), key=lambda i: text[i:].tolist()), dtype=np.int64)
@@ -41,30 +53,26 @@ def suffix_array(text: np.ndarray, alphabet: int) -> np.ndarray:
     ones = np.arange(1, n + (n % 3 == 1), 3)  # an all-padding triple parts the two halves where n is 1 modulo 3
     twos = np.arange(2, n, 3)
     sample = np.concatenate([ones, twos])
-    names, distinct = _names(np.stack([padded[sample], padded[sample + 1], padded[sample + 2]], axis=1), alphabet)
+    bits = int(alphabet - 1).bit_length()
+    names, distinct = _dense(_keys([padded[sample + k] for k in range(3)], bits))
     if distinct < len(sample):
         order = suffix_array(names, distinct + 1)
     else:
-        order = np.argsort(names, kind="stable")
+        order = np.argsort(names)
     rank = np.zeros(n + 4, dtype=np.int64)
     rank[sample[order]] = np.arange(1, len(sample) + 1)
     sampled = sample[order]
     sampled = sampled[sampled < n]
+    wide = max(bits, int(len(sample)).bit_length())
     zeros = np.arange(0, n, 3)
-    zeros = zeros[np.lexsort((rank[zeros + 1], padded[zeros]))]
-    # Merge: where each remaining suffix stands among the sampled ones, by (byte, rank) or (byte, byte, rank).
+    zeros = zeros[np.argsort(_keys([padded[zeros], rank[zeros + 1]], wide))]
+    # Merge: where each remaining suffix stands among the sampled ones, by (number, rank) or (number, number, rank).
     place = np.zeros(len(zeros), dtype=np.int64)
-    for kind, depth in ((1, 1), (2, 2)):
+    for kind in (1, 2):
         own = sampled[sampled % 3 == kind]
-        if not len(own):
-            continue
         both = np.concatenate([own, zeros])
-        keys = (rank[both + depth], *(padded[both + d] for d in range(depth - 1, -1, -1)))
-        merged = np.lexsort(keys)
-        is_own = merged < len(own)
-        before = np.cumsum(is_own)
-        at = np.flatnonzero(~is_own)
-        place[merged[at] - len(own)] += before[at]
+        keys = _keys([*(padded[both + k] for k in range(kind)), rank[both + kind]], wide)
+        place += np.searchsorted(keys[: len(own)], keys[len(own) :])
     out = np.empty(n, dtype=np.int64)
     slots = place + np.arange(len(zeros))
     out[slots] = zeros
@@ -88,25 +96,50 @@ def same_prefix(text: np.ndarray, order: np.ndarray, length: int) -> np.ndarray:
     return same
 
 
+def _shared_stretches(joined: np.ndarray, sizes: np.ndarray, span: int) -> tuple[np.ndarray, np.ndarray]:
+    """(begin, end) of the stretches of strings, end to end, that windows with another of the same hash cover.
+
+    A window whose hash is its own equals no other, so suffixes elsewhere need no sorting.
+    """
+    hashes = Prefix(byte_hashes[joined]).rolling(span)
+    ends = np.cumsum(sizes)
+    room = np.repeat(ends, sizes)[: len(hashes)] - np.arange(len(hashes)) >= span
+    places = np.flatnonzero(room)
+    order = np.argsort(hashes[places])
+    own = hashes[places[order]]
+    same = own[1:] == own[:-1]
+    if not same.any():
+        return np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
+    twice = np.concatenate([[False], same]) | np.concatenate([same, [False]])
+    starts = np.sort(places[order[twice]])
+    string = np.searchsorted(ends, starts, side="right")
+    new = np.flatnonzero(np.concatenate([[True], (np.diff(starts) > span) | (np.diff(string) > 0)]))
+    return starts[new], starts[np.concatenate([new[1:], [len(starts)]]) - 1] + span
+
+
 def sort_suffixes(rows, plan: Plan):
     """(doc_id, begin, n) runs of windows that also start earlier, among the packed strings of whole buckets."""
-    span, sizes = plan.span, np.array([len(p) for *_, p in rows])
-    text = np.ones(int(sizes.sum()) + len(rows), dtype=np.int64)  # 1 parts the strings; bytes are 2 to 257
-    at = np.concatenate([[0], np.cumsum(sizes + 1)[:-1]])
-    owner = np.repeat(np.arange(len(rows)), sizes + 1)
+    span, lengths = plan.span, np.array([len(p) for *_, p in rows])
+    joined = np.frombuffer(b"".join(p for *_, p in rows), dtype=np.uint8)
+    begin, end = _shared_stretches(joined, lengths, span)
+    if not len(begin):
+        return
+    sizes = end - begin
+    text = np.ones(int(sizes.sum()) + len(sizes), dtype=np.int64)  # 1 parts the stretches; bytes are 2 to 257
+    at = np.cumsum(sizes + 1) - sizes - 1
+    owner = np.repeat(np.arange(len(sizes)), sizes + 1)
     inside = np.ones(len(text), dtype=bool)
     inside[at + sizes] = False
-    text[inside] = np.frombuffer(b"".join(p for *_, p in rows), dtype=np.uint8).astype(np.int64) + 2
+    place = begin[owner] + np.arange(len(text)) - at[owner]  # in the strings, end to end
+    text[inside] = joined[place[inside]].astype(np.int64) + 2
     order = suffix_array(text, 258)
     whole = (order - at[owner[order]]) <= sizes[owner[order]] - span
     group = np.concatenate([[0], np.cumsum(~same_prefix(text, order, span))])
     order, group = order[whole], group[whole]
-    if not len(order):
-        return
     docs, code = np.unique(np.array([d for d, *_ in rows], dtype=np.int64), return_inverse=True)
-    begins = np.array([b for _, b, _ in rows], dtype=np.int64)
-    start = begins[owner[order]] + order - at[owner[order]]
-    when = code[owner[order]] * (1 << 40) + start
+    begins = np.array([b for _, b, _ in rows], dtype=np.int64) - (np.cumsum(lengths) - lengths)
+    string = np.searchsorted(np.cumsum(lengths), place[order], side="right")
+    when = code[string] * (1 << 40) + begins[string] + place[order]
     new = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
     least = np.repeat(np.minimum.reduceat(when, new), np.diff(np.concatenate([new, [len(group)]])))
     for k, n in grouped_runs(np.unique(when[when > least])):
