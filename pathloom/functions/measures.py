@@ -100,5 +100,11 @@ def degree_profile(edges: DataFrame) -> DataFrame:
     return out.join(into, "label").select("label", "edges", "sources", "targets", "max_out", "max_in")
 
 
+def degree_distribution(edges: DataFrame) -> DataFrame:
+    """label, side ("out" or "in"), degree, nodes: how many nodes have so many edges (label, src, dst) on a side."""
+    side = lambda c, name: edges.groupBy("label", c).agg(F.count("*").alias("degree")).groupBy("label", "degree").agg(F.count("*").alias("nodes")).select("label", F.lit(name).alias("side"), "degree", "nodes")
+    return side("src", "out").unionByName(side("dst", "in"))
+
+
 def published(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame(PUBLISHED, "workload string, fraction double, rho double, full_ms double, incr_ms double, printed_ms double, printed_pct double")

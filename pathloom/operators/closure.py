@@ -1,15 +1,23 @@
-"""Transitive closures of edge tables (src, dst), paths of one edge at least. Rounds are staged in the shared folder."""
+"""Transitive closures of edge tables (src, dst), paths of one edge at least. Rounds are staged in the shared folder.
+
+Small graphs are closed on the driver, since a round of jobs costs more than all their pairs: only where the edges are
+few and the pairs stay few (both checked, SMALL_EDGES and SMALL_PAIRS); everything else runs in distributed rounds.
+"""
 
 from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import DataFrame
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..sources.staging import Stage
 
-METHODS = ("naive", "frontier", "doubling", "components", "local", "sql")
+METHODS = ("auto", "naive", "frontier", "doubling", "components", "local", "sql")
+
+#: Edges that the driver closes at most, and pairs that it holds at most, intermediate ones included.
+SMALL_EDGES, SMALL_PAIRS = 100_000, 2_000_000
 
 
 def compose(left: DataFrame, right: DataFrame) -> DataFrame:
@@ -25,7 +33,68 @@ def union(*parts: DataFrame) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
 
-def closure(edges: DataFrame, method: str = "doubling", sources: DataFrame | None = None, targets: DataFrame | None = None, stage: Stage | None = None, max_pairs: int | None = None) -> DataFrame:
+def collected(pairs: DataFrame) -> np.ndarray:
+    """Pairs as an array of two rows; for tables of a checked size."""
+    table = pairs.select("src", "dst").toArrow()
+    return np.stack([table.column(c).to_numpy() for c in ("src", "dst")]).astype(np.int64)
+
+
+def table_of(spark: SparkSession, pairs: np.ndarray) -> DataFrame:
+    import pyarrow as pa
+
+    return spark.createDataFrame(pa.table({"src": pairs[0], "dst": pairs[1]}), "src long, dst long")
+
+
+class PairSet:
+    """Pairs of nodes on the driver, as sorted numbers; nodes: all that any pair may have, sorted."""
+
+    def __init__(self, nodes: np.ndarray):
+        self.nodes = nodes
+
+    def codes(self, pairs: np.ndarray) -> np.ndarray:
+        at = np.searchsorted(self.nodes, pairs)
+        return np.unique(at[0] * len(self.nodes) + at[1])
+
+    def pairs(self, codes: np.ndarray) -> np.ndarray:
+        return np.stack([self.nodes[codes // len(self.nodes)], self.nodes[codes % len(self.nodes)]])
+
+    def compose(self, left: np.ndarray, right: np.ndarray) -> np.ndarray | None:
+        """Codes of pairs with a common middle; None if they are too many for the driver."""
+        n = len(self.nodes)
+        middle = left % n
+        begin, end = np.searchsorted(right, middle * n), np.searchsorted(right, (middle + 1) * n)
+        times = end - begin
+        if times.sum() > 4 * SMALL_PAIRS:
+            return None
+        row = np.repeat(np.arange(len(left)), times)
+        at = np.arange(len(row)) - np.repeat(np.cumsum(times) - times, times) + begin[row]
+        return np.unique(left[row] // n * n + right[at] % n)
+
+    def closed(self, codes: np.ndarray) -> np.ndarray | None:
+        """The closure, by composing the newest pairs with all; None if it is too large for the driver."""
+        every, new = codes, codes
+        while len(new):
+            found = self.compose(new, every)
+            if found is None:
+                return None
+            new = np.setdiff1d(found, every, assume_unique=True)
+            every = np.union1d(every, new)
+            if len(every) > SMALL_PAIRS:
+                return None
+        return every
+
+
+def _small(edges: DataFrame, n: int) -> DataFrame | None:
+    """The closure of n edges by the driver, if that is small enough."""
+    if n > SMALL_EDGES:
+        return None
+    pairs = collected(edges)
+    own = PairSet(np.unique(pairs))
+    out = own.closed(own.codes(pairs))
+    return None if out is None else table_of(edges.sparkSession, own.pairs(out))
+
+
+def closure(edges: DataFrame, method: str = "auto", sources: DataFrame | None = None, targets: DataFrame | None = None, stage: Stage | None = None, max_pairs: int | None = None) -> DataFrame:
     """Pairs (src, dst) joined by a path of edges.
 
     sources or targets (id) restrict paths to those that begin or end there, and seed the rounds, so the full closure
@@ -42,6 +111,12 @@ def closure(edges: DataFrame, method: str = "doubling", sources: DataFrame | Non
     if sources is not None:
         seed = edges.join(sources.select(F.col("id").alias("src")).distinct(), "src", "left_semi").select("src", "dst")
         return _frontier(edges, seed, stage, max_pairs)
+    if method == "auto":
+        if (out := _small(edges, n)) is not None:
+            out, total = stage.put(out)
+            _check(total, max_pairs)
+            return out
+        method = "doubling"
     return {"naive": _naive, "frontier": lambda e, s, m: _frontier(e, e, s, m), "doubling": _doubling, "components": _components, "local": _local, "sql": _sql}[method](edges, stage, max_pairs)
 
 
@@ -55,6 +130,8 @@ def _naive(edges: DataFrame, stage: Stage, most: int | None) -> DataFrame:
     while True:
         bigger, m = stage.put(union(edges, compose(total, edges)).distinct())
         _check(m, most)
+        if total is not edges:
+            stage.drop(total)
         if m == n:
             return bigger
         total, n = bigger, m
@@ -94,7 +171,9 @@ def weak_components(edges: DataFrame, stage: Stage) -> DataFrame:
         near = both.join(labels.select(F.col("id").alias("dst"), F.col("c").alias("d")), "dst").groupBy(F.col("src").alias("id")).agg(F.min("d").alias("d"))
         step = labels.join(near, "id").select("id", F.least("c", "d").alias("c"))
         jump = step.join(labels.select(F.col("id").alias("c"), F.col("c").alias("e")), "c", "left").select("id", F.least("c", F.coalesce("e", "c")).alias("c"))
+        before = labels
         labels, _ = stage.put(jump)
+        stage.drop(before)
         now = labels.agg(F.sum(F.col("c").cast("decimal(38,0)"))).first()[0]
         if now == last:
             return labels.select("id", F.col("c").alias("component"))
@@ -172,8 +251,21 @@ def _local(edges: DataFrame, stage: Stage, most: int | None) -> DataFrame:
 
 def _sql(edges: DataFrame, stage: Stage, most: int | None) -> DataFrame:
     """Spark's recursive SQL, which keeps repeats between rounds: for acyclic edges only."""
-    edges.createOrReplaceTempView("closure_edges")
-    return edges.sparkSession.sql("WITH RECURSIVE p(src, dst) AS (SELECT src, dst FROM closure_edges UNION ALL SELECT p.src, e.dst FROM p JOIN closure_edges e ON p.dst = e.src) SELECT DISTINCT src, dst FROM p")
+    return edges.sparkSession.sql("WITH RECURSIVE p(src, dst) AS (SELECT src, dst FROM {edges} UNION ALL SELECT p.src, e.dst FROM p JOIN {edges} e ON p.dst = e.src) SELECT DISTINCT src, dst FROM p", edges=edges)
+
+
+def mutual(edges: DataFrame, stage: Stage | None = None) -> DataFrame:
+    """Pairs that reach each other: those inside a strong component that has an edge. The closure is not built."""
+    stage = stage or Stage(edges.sparkSession, "mutual")
+    edges, n = stage.put(edges.select("src", "dst").distinct())
+    if n <= SMALL_EDGES and (small := _small(edges, n)) is not None:
+        return small.intersect(small.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
+    owner, _ = stage.put(strong_components(edges, stage))
+    sizes = owner.groupBy("component").agg(F.count("*").alias("n"))
+    loops = edges.where("src = dst").select(F.col("src").alias("id"))
+    inner = owner.join(sizes.where("n > 1").select("component"), "component").select("id", "component")
+    inner = union(inner, owner.join(loops, "id").select("id", "component")).distinct()
+    return inner.select(F.col("id").alias("src"), "component").join(inner.select(F.col("id").alias("dst"), "component"), "component").select("src", "dst")
 
 
 def closure_with_witness(edges: DataFrame, stage: Stage | None = None) -> DataFrame:
@@ -190,11 +282,12 @@ def closure_with_witness(edges: DataFrame, stage: Stage | None = None) -> DataFr
     return union(*parts)
 
 
-def closure_change(old_edges: DataFrame, old_closure: DataFrame, plus: DataFrame | None = None, minus_edges: DataFrame | None = None, stage: Stage | None = None) -> tuple[DataFrame, DataFrame | None]:
-    """(plus, minus) of a closure under edge changes; minus is None if no edge goes.
+def closure_change(old_edges: DataFrame, old_closure: DataFrame, plus: DataFrame | None = None, minus_edges: DataFrame | None = None, stage: Stage | None = None, size: int | None = None) -> tuple[DataFrame, DataFrame | None]:
+    """(plus, minus) of a closure under edge changes; minus is None if no edge goes. size: edges of plus, if known.
 
-    Insertions start from the new edges, extended on both sides by the old closure, and go on through new edges only.
-    Deletions recompute what the sources that reach a deleted edge reach now.
+    Insertions start from the new edges, extended on both sides by the old closure, and are composed with one another in
+    rounds that double how many new edges a path may have. Deletions recompute what the sources that reach a deleted edge
+    reach now.
     """
     stage = stage or Stage(old_edges.sparkSession, "closure-change")
     if minus_edges is not None:
@@ -208,14 +301,45 @@ def closure_change(old_edges: DataFrame, old_closure: DataFrame, plus: DataFrame
         touched, _ = stage.put(touched.distinct())
         before = old_closure.join(touched.withColumnRenamed("id", "src"), "src", "left_semi").select("src", "dst")
         after, _ = stage.put(closure(edges, sources=touched, stage=stage))
-        return stage.put(minus(after, before))[0], stage.put(minus(before, after))[0]
+        out = stage.put(minus(after, before))[0], stage.put(minus(before, after))[0]
+        stage.drop(touched, after)
+        return out
+    if size is not None and size <= SMALL_EDGES and (out := _small_change(old_closure, plus)) is not None:
+        return stage.put(minus(out, old_closure))[0], None
     before_or_self = lambda d: union(d, compose(old_closure, d))
     after_or_self = lambda d: union(d, compose(d, old_closure))
     step, _ = stage.put(after_or_self(plus).distinct())  # a new edge, then old ones
     new, n = stage.put(before_or_self(step).distinct())
     parts = [new]
     while n:
-        new, n = stage.put(minus(compose(new, step).distinct(), union(*parts)))
+        new, n = stage.put(minus(compose(new, union(*parts)).distinct(), union(*parts)))
         if n:
             parts.append(new)
-    return stage.put(minus(union(*parts), old_closure))[0], None
+    out = stage.put(minus(union(*parts), old_closure))[0]
+    stage.drop(step, *parts)
+    return out, None
+
+
+def _small_change(old_closure: DataFrame, plus: DataFrame) -> DataFrame | None:
+    """Pairs that few new edges give, some of which may be old, if the driver can hold all that the old closure adds to
+    the edges' ends; None otherwise."""
+    pairs = collected(plus)
+    if not pairs.size:
+        return plus
+    ends = lambda k, name: table_of(plus.sparkSession, np.stack([np.unique(pairs[k])] * 2)).select(F.col("src").alias(name))
+    near = union(
+        old_closure.join(F.broadcast(ends(0, "dst")), "dst", "left_semi").select("src", "dst", F.lit(0).alias("side")),
+        old_closure.join(F.broadcast(ends(1, "src")), "src", "left_semi").select("src", "dst", F.lit(1).alias("side")),
+    ).limit(SMALL_PAIRS + 1).toArrow()
+    if near.num_rows > SMALL_PAIRS:
+        return None
+    src, dst, side = (near.column(c).to_numpy() for c in ("src", "dst", "side"))
+    own = PairSet(np.unique(np.concatenate([pairs.ravel(), src, dst])))
+    into, out = (own.codes(np.stack([src[side == k], dst[side == k]])) for k in (0, 1))
+    new = own.codes(pairs)
+    for compose in (lambda x: own.compose(into, x), lambda x: own.compose(x, out)):
+        if (more := compose(new)) is None:
+            return None
+        new = np.union1d(new, more)
+    new = own.closed(new)
+    return None if new is None else table_of(plus.sparkSession, own.pairs(new))

@@ -7,6 +7,8 @@ job; everything else stays lazy and is left to Catalyst. Old contents are never
 
 from __future__ import annotations
 
+import json
+import uuid
 from collections.abc import Iterable
 from dataclasses import dataclass, field
 from functools import reduce
@@ -14,22 +16,38 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..plans.rules import DELTA, NEW, Clause, Conj, Const, Eq, Lit, Program, Rel, RuleError, Var, choose_step, mask_grid, prune_grid, slice_labels, stratify, symbols_of
-from ..sources.staging import Stage
-from .closure import closure, closure_change, minus, union
+from ..plans.rules import DELTA, NEW, NODES, Clause, Conj, Const, Eq, Lit, Program, Rel, RuleError, Var, choose_step, grounded, grounded_clause, grounded_program, mask_grid, prune_grid, slice_labels, stratify, symbols_of
+from ..sources.staging import Stage, file_system
+from .closure import closure, closure_change, minus, mutual, union
 
 Symbol = tuple[str, bool]
 
+#: The node domain as a relation, pairs (node, node).
+DOMAIN: Symbol = (NODES, False)
+
 #: Deltas of at most this many pairs are broadcast; larger ones are left to Spark's own choice.
 BROADCAST_PAIRS = 100_000
 
 
+def as_pairs(nodes: DataFrame) -> DataFrame:
+    return nodes.select(F.col("id").alias("src"), F.col("id").alias("dst"))
+
+
+def ends(relations: Iterable[DataFrame]) -> DataFrame | None:
+    """The nodes (id) that edges begin or end at, with repeats; None without relations."""
+    parts = [d.select(F.col(c).alias("id")) for d in relations for c in ("src", "dst")]
+    return union(*parts) if parts else None
+
+
 @dataclass
 class LabeledGraph:
+    """Relations by (label, closed). domain: nodes (id) that are there even without edges. sizes: rows, where known."""
+
     spark: SparkSession
     relations: dict[Symbol, DataFrame]
     domain: DataFrame | None = None
-    closure_method: str = "doubling"
+    closure_method: str = "auto"
+    sizes: dict[Symbol, int] = field(default_factory=dict)
 
     @staticmethod
     def from_relations(spark: SparkSession, relations: dict[str, DataFrame], domain: DataFrame | None = None) -> LabeledGraph:
@@ -42,29 +60,37 @@ class LabeledGraph:
         return LabeledGraph.from_relations(edges.sparkSession, own, domain)
 
     def labels(self) -> set[str]:
-        return {k for k, _ in self.relations}
+        return {k for k, _ in self.relations} - {NODES}
 
     def empty(self) -> DataFrame:
         return self.spark.createDataFrame([], "src long, dst long")
 
     def rel(self, label: str, closed: bool = False) -> DataFrame:
         """A relation; a closure that is not stored yet is computed and kept."""
+        if (label, closed) == DOMAIN and DOMAIN not in self.relations:
+            return as_pairs(self.nodes())
         if closed and (label, True) not in self.relations:
             self.relations[label, True] = closure(self.rel(label), self.closure_method) if (label, False) in self.relations else self.empty()
         return self.relations.get((label, closed)) if (label, closed) in self.relations else self.empty()
 
-    def nodes(self) -> DataFrame:
-        """The node domain (id): a given table, or the end points of all edges."""
-        if self.domain is not None:
-            return self.domain.select("id")
-        ends = [d.select(F.col(c).alias("id")) for (_, closed), d in self.relations.items() if not closed for c in ("src", "dst")]
-        return reduce(DataFrame.unionByName, ends).distinct() if ends else self.spark.createDataFrame([], "id long")
+    def nodes(self, of: Iterable[str] | None = None) -> DataFrame:
+        """The node domain (id): the stored one, or the given nodes and the end points of all edges (of some labels)."""
+        if DOMAIN in self.relations:
+            return self.relations[DOMAIN].select(F.col("src").alias("id"))
+        of = None if of is None else set(of)
+        own = ends(d for (x, closed), d in self.relations.items() if not closed and (of is None or x in of))
+        given = None if self.domain is None else self.domain.select("id")
+        both = [d for d in (given, own) if d is not None]
+        return union(*both).distinct() if both else self.spark.createDataFrame([], "id long")
 
     def with_closures(self, labels: Iterable[str]) -> LabeledGraph:
         for x in labels:
             self.rel(x, True)
         return self
 
+    def with_relations(self, relations: dict[Symbol, DataFrame], sizes: dict[Symbol, int] | None = None) -> LabeledGraph:
+        return LabeledGraph(self.spark, relations, self.domain, self.closure_method, dict(sizes or {}))
+
 
 @dataclass
 class GraphUpdate:
@@ -118,7 +144,8 @@ def apply_update(graph: LabeledGraph, u: GraphUpdate) -> LabeledGraph:
     relations = dict(graph.relations)
     for s in u.changed():
         relations[s] = updated(graph, u, s)
-    return LabeledGraph(graph.spark, relations, graph.domain, graph.closure_method)
+    sizes = {s: n + (u.sizes.get(s, 0)) for s, n in graph.sizes.items() if s not in u.minus and (s not in u.plus or s in u.sizes)}
+    return graph.with_relations(relations, sizes)
 
 
 def replace_label(u: GraphUpdate, symbol: Symbol, plus: DataFrame | None, gone: DataFrame | None) -> GraphUpdate:
@@ -136,14 +163,25 @@ def diff_as_update(current: DataFrame, target: DataFrame) -> tuple[DataFrame, Da
     return minus(target, current), minus(current, target)
 
 
-def canonical(u: GraphUpdate, graph: LabeledGraph) -> GraphUpdate:
-    """Without insertions of what is there and deletions of what is not; insertions win over deletions."""
+def canonical(u: GraphUpdate, graph: LabeledGraph, stage: Stage | None = None) -> GraphUpdate:
+    """Without insertions of what is there and deletions of what is not; insertions win over deletions.
+
+    With a stage, the parts are written, empty ones go, and the sizes are known.
+    """
     out = GraphUpdate()
     for s, plus in u.plus.items():
-        out.plus[s] = minus(plus.distinct(), graph.rel(*s))
+        out.plus[s] = minus(plus.distinct(), graph.rel(*s)) if s in graph.relations else plus.distinct()
     for s, gone in u.minus.items():
         gone = gone.distinct().join(graph.rel(*s), ["src", "dst"], "left_semi")
         out.minus[s] = minus(gone, u.plus[s]) if s in u.plus else gone
+    return out if stage is None else staged_update(out, stage)
+
+
+def staged_update(u: GraphUpdate, stage: Stage) -> GraphUpdate:
+    """An update with its parts written, empty ones gone and the sizes known."""
+    out = GraphUpdate()
+    for s in u.changed():
+        _put(out, s, u.plus.get(s), u.minus.get(s), stage)
     return out
 
 
@@ -189,14 +227,15 @@ def apply_equality(rows: DataFrame, atom: Eq) -> DataFrame | None:
     return rows.withColumn(f"v_{free.name}", (b if a is None else a).cast("long"))
 
 
-def match_body(conj: Conj, head: tuple[Var, Var], resolve, domain, first: int | None = None, method: str = "join") -> DataFrame:
+def match_body(conj: Conj, head: tuple[Var, Var], resolve, spark: SparkSession, first: int | None = None, method: str = "join") -> DataFrame:
     """Substitutions of a body as (src, dst) of its head; not distinct.
 
     Literals join on shared variables, from the one at `first` on (a delta) and then along connected ones. Variables
     that neither the head nor a literal still to come needs go at once, and repeats with them. resolve gives a
-    literal's relation; domain gives the nodes for variables that nothing binds. method="nested_loop" matches by cross
+    literal's relation, that of the node domain for variables that nothing binds. method="nested_loop" matches by cross
     products and filters, as a baseline.
     """
+    conj = grounded(conj, head)
     todo = [(k, lit) for k, lit in enumerate(conj) if isinstance(lit.atom, Rel)]
     equals = [lit.atom for lit in conj if isinstance(lit.atom, Eq)]
     rows: DataFrame | None = None
@@ -221,6 +260,9 @@ def match_body(conj: Conj, head: tuple[Var, Var], resolve, domain, first: int |
             rows = rows.select(*(f"v_{n}" for n in sorted(have & need))).distinct()
             have.intersection_update(need)
 
+    if not todo:  # constants only
+        rows = spark.range(1).select()
+        settle()
     while todo:
         if rows is None:
             k = next((i for i, (at, _) in enumerate(todo) if at == first), 0)
@@ -242,27 +284,32 @@ def match_body(conj: Conj, head: tuple[Var, Var], resolve, domain, first: int |
         have |= names(lit)
         settle()
         prune()
-    if rows is None and equals:
-        rows = domain().limit(1).select() if all(isinstance(t, Const) for e in equals for t in e.terms) else domain().select(F.col("id").alias(f"v_{next(t.name for t in equals[0].terms if isinstance(t, Var))}"))
-        have.update(c[2:] for c in rows.columns)
-        settle()
-    while equals:  # nothing in them is bound
-        free = equals[0].a.name
-        rows = rows.crossJoin(domain().select(F.col("id").alias(f"v_{free}")))
-        have.add(free)
-        settle()
-    for v in head:
-        if v.name not in have:
-            rows = rows.crossJoin(domain().select(F.col("id").alias(f"v_{v.name}")))
-            have.add(v.name)
     return rows.select(F.col(f"v_{head[0].name}").alias("src"), F.col(f"v_{head[1].name}").alias("dst"))
 
 
+def _mutual_label(conj: Conj) -> str | None:
+    """The label of a body that only asks for a closure pair both ways."""
+    if len(conj) != 2 or not all(lit.closed and isinstance(lit.atom, Rel) for lit in conj):
+        return None
+    a, b = (lit.atom for lit in conj)
+    return a.label if a.label == b.label and (a.a, a.b) == (b.b, b.a) and a.a != a.b and all(isinstance(t, Var) for t in a.terms) else None
+
+
 def derive(clause: Clause, graph: LabeledGraph, method: str = "join") -> DataFrame:
-    """A clause's head pairs from scratch."""
+    """A clause's head pairs from scratch.
+
+    Pairs that must reach each other come from strong components, without the closure, where that is not stored.
+    """
     if not clause.bodies:
         return graph.empty()
-    return union(*(match_body(b, clause.head, lambda lit: graph.rel(*lit.symbol), graph.nodes, method=method) for b in clause.bodies)).distinct()
+    parts = []
+    for b in clause.bodies:
+        label = _mutual_label(b)
+        if label is not None and (label, True) not in graph.relations and method == "join":
+            parts.append(mutual(graph.rel(label)))
+        else:
+            parts.append(match_body(b, clause.head, lambda lit: graph.rel(*lit.symbol), graph.spark, method=method))
+    return union(*parts).distinct()
 
 
 def match_masked(conj: Conj, head: tuple[Var, Var], graph: LabeledGraph, u: GraphUpdate) -> DataFrame:
@@ -278,14 +325,16 @@ def match_masked(conj: Conj, head: tuple[Var, Var], graph: LabeledGraph, u: Grap
         return graph.rel(*s)
 
     first = next(k for k, lit in enumerate(conj) if lit.tag == DELTA)
-    return match_body(conj, head, resolve, graph.nodes, first)
+    return match_body(conj, head, resolve, graph.spark, first)
 
 
 def delta_rows(clause: Clause, graph: LabeledGraph, u: GraphUpdate, factoring: str = "old_prefix") -> list[tuple[int, DataFrame]]:
-    """(place of the delta literal, its pairs) of each mask row that changes can fill."""
-    out = []
-    for body in clause.bodies:
+    """(place of the delta literal, its pairs) of each mask row that changes can fill: none that reads an absent relation."""
+    out, held = [], set(graph.relations) | {DOMAIN}
+    for body in grounded_clause(clause).bodies:
         for row in prune_grid(mask_grid(body, factoring), set(u.plus)):
+            if any(lit.symbol not in held and (lit.atom.label, False) not in held for lit in row if isinstance(lit.atom, Rel) and lit.tag not in (DELTA, NEW)):
+                continue
             out.append((next(k for k, lit in enumerate(row) if lit.tag == DELTA), match_masked(row, clause.head, graph, u)))
     return out
 
@@ -296,75 +345,136 @@ def maintain_label(clause: Clause, current: DataFrame, graph: LabeledGraph, u: G
     return minus(union(*rows).distinct(), current) if rows else None
 
 
-def close_update(graph: LabeledGraph, u: GraphUpdate, labels: Iterable[str], stage: Stage) -> GraphUpdate:
+def node_change(graph: LabeledGraph, u: GraphUpdate, base: Iterable[str]) -> tuple[DataFrame | None, DataFrame | None]:
+    """(plus, minus) of the node domain under an update of base labels.
+
+    Ends of new edges come; ends of deleted ones go if no edge is left there, and they are not given ones.
+    """
+    base = set(base)
+    new, lost = (ends(d for (x, closed), d in part.items() if x in base and not closed) for part in (u.plus, u.minus))
+    plus = None if new is None else minus(as_pairs(new.distinct()), graph.rel(*DOMAIN))
+    if lost is None:
+        return plus, None
+    lost = lost.distinct()
+    for (x, closed) in {s for s in (*graph.relations, *u.plus) if s[0] in base and not s[1]}:
+        left = updated(graph, u, (x, closed))
+        for c in ("src", "dst"):
+            lost = lost.join(left.select(F.col(c).alias("id")), "id", "left_anti")
+    if graph.domain is not None:
+        lost = lost.join(graph.domain.select("id"), "id", "left_anti")
+    return plus, as_pairs(lost)
+
+
+def close_update(graph: LabeledGraph, u: GraphUpdate, labels: Iterable[str], stage: Stage, policy: str = "paper") -> GraphUpdate:
     """An update with the changes of the closures that the labels store."""
     out = GraphUpdate(dict(u.plus), dict(u.minus), dict(u.sizes))
     for x in sorted(set(labels) & u.labels()):
         if (x, False) in u.changed() and (x, True) not in u.changed():
-            _put_closure(out, graph, x, stage)
+            _put_closure(out, graph, x, stage, policy)
     return out
 
 
-def _put_closure(u: GraphUpdate, graph: LabeledGraph, label: str, stage: Stage) -> None:
-    s = (label, False)
-    plus, gone = closure_change(graph.rel(label), graph.rel(label, True), u.plus.get(s), u.minus.get(s), stage)
+def _put_closure(u: GraphUpdate, graph: LabeledGraph, label: str, stage: Stage, policy: str = "paper") -> None:
+    """Add the change of a label's closure; the closure is made anew if nothing was there, or (cost) less than comes."""
+    s, plus, gone = (label, False), None, None
+    if s in u.plus and s not in u.minus:
+        before = graph.sizes.get(s) if policy == "cost" else None
+        if s not in graph.relations:
+            plus = closure(u.plus[s], graph.closure_method, stage=stage)
+        elif before is not None and u.sizes.get(s, 0) > before:
+            plus = minus(closure(union(graph.rel(label), u.plus[s]), graph.closure_method, stage=stage), graph.rel(label, True))
+    if plus is None:
+        plus, gone = closure_change(graph.rel(label), graph.rel(label, True), u.plus.get(s), u.minus.get(s), stage, u.sizes.get(s))
     _put(u, (label, True), plus, gone, stage)
 
 
 def _put(u: GraphUpdate, s: Symbol, plus: DataFrame | None, gone: DataFrame | None, stage: Stage) -> None:
     for table, part in ((u.plus, plus), (u.minus, gone)):
         if part is not None:
-            part, n = stage.put(part)
+            part, n = (part, part.count()) if id(part) in stage.paths else stage.put(part)
             if n:
                 table[s] = part
                 if table is u.plus:
                     u.sizes[s] = n
 
 
-def run_pass(program: Program, graph: LabeledGraph, trusted: Iterable[str], u: GraphUpdate, todo: list[str] | None = None, factoring: str = "old_prefix", policy: str = "paper", stage: Stage | None = None, steps: list | None = None) -> GraphUpdate:
+def run_pass(program: Program, graph: LabeledGraph, trusted: Iterable[str], u: GraphUpdate, todo: list[str] | None = None, factoring: str = "old_prefix", policy: str = "paper", stage: Stage | None = None, steps: list | None = None, after=None) -> GraphUpdate:
     """The update of all labels of todo, in order, after an update of base labels.
 
-    Trusted labels hold what the program derives from the graph; others are rebuilt. steps, if given, collects
-    (label, step).
+    Trusted labels hold what the program derives from the graph; others are rebuilt. policy="cost" rebuilds labels and
+    closures that grow by more than they held. steps, if given, collects (label, step); after is called with each
+    label, the update so far and the labels that are done.
     """
     if bad := sorted(x for x in u.labels() if x in program.clauses):
         raise RuleError(f"derived labels cannot be updated: {', '.join(bad)}")
     stage = stage or Stage(graph.spark)
     todo = stratify(program) if todo is None else todo
-    closed = program.closed_labels()
-    u = close_update(graph, u, closed, stage)
+    closed, base = program.closed_labels(), program.base_labels()
+    program = grounded_program(program)
+    if any(NODES in symbols_of(program.clauses[x]) for x in todo) and DOMAIN not in graph.relations:
+        graph = graph.with_relations(graph.relations | {DOMAIN: as_pairs(graph.nodes(base))}, graph.sizes)
+    u = close_update(graph, u, closed, stage, policy)
+    if u.changed() and any(NODES in symbols_of(program.clauses[x]) for x in todo):
+        _put(u, DOMAIN, *node_change(graph, u, base), stage)
+    done = base | (set(program.clauses) - set(todo))
     for label in todo:
         clause = program.clauses[label]
-        step = choose_step(label, clause, trusted, set(u.minus), u.changed(), policy=policy)
+        sizes = _sizes(graph, clause) if policy == "cost" and label in set(trusted) else None
+        step = choose_step(label, clause, trusted, set(u.minus), u.changed(), sizes, u.sizes, policy)
         if steps is not None:
             steps.append((label, step))
-        if step == "skip":
-            continue
-        current = graph.rel(label)
-        if step == "incremental":
-            plus, gone = maintain_label(clause, current, graph, u, factoring), None
-        else:
-            target, _ = stage.put(derive(clause, apply_update(graph, u)))
-            plus, gone = diff_as_update(current, target)
-        _put(u, (label, False), plus, gone, stage)
-        if label in closed and (label, False) in u.changed():
-            _put_closure(u, graph, label, stage)
+        if step != "skip":
+            current = graph.rel(label)
+            if step == "incremental":
+                plus, gone = maintain_label(clause, current, graph, u, factoring), None
+            else:
+                target, _ = stage.put(derive(clause, apply_update(graph, u)))
+                plus, gone = diff_as_update(current, target)
+            _put(u, (label, False), plus, gone, stage)
+            if label in closed and (label, False) in u.changed():
+                _put_closure(u, graph, label, stage, policy)
+        done.add(label)
+        if after is not None:
+            after(label, u, set(done))
     return u
 
 
-def materialize(program: Program, graph: LabeledGraph, views: Iterable[str] | None = None, method: str = "join", stage: Stage | None = None) -> LabeledGraph:
-    """The graph with the derived labels that the views need; labels are staged only where a closure follows."""
-    keep = set().union(*(slice_labels(program, v) for v in views)) if views is not None else set(program.clauses)
-    out = LabeledGraph(graph.spark, dict(graph.relations), graph.domain, graph.closure_method)
-    if graph.domain is None:
-        out.domain = LabeledGraph(graph.spark, {s: d for s, d in graph.relations.items() if views is None or s[0] in keep}).nodes()
+def _sizes(graph: LabeledGraph, clause: Clause) -> dict[Symbol, int]:
+    """Rows of the relations that a clause reads, counted where they are not known yet."""
+    for s in {lit.symbol for b in clause.bodies for lit in b} - {None}:
+        if s not in graph.sizes and s in graph.relations:
+            graph.sizes[s] = graph.rel(*s).count()
+    return graph.sizes
+
+
+def materialize(program: Program, graph: LabeledGraph, views: Iterable[str] | None = None, method: str = "join", stage: Stage | None = None, store: bool = False) -> LabeledGraph:
+    """The graph with the derived labels that the views need; labels are staged only where a closure or several bodies
+    read them. store: stage all, with the closures that maintenance reads, and note the sizes."""
+    keep = set().union(*(slice_labels(program, v) for v in views)) if views is not None else set(program.clauses) | program.base_labels()
+    own = grounded_program(Program({k: c for k, c in program.clauses.items() if k in keep}))
+    out = graph.with_relations(dict(graph.relations), graph.sizes)
     stage = stage or Stage(graph.spark)
-    uses = [x for c in program.clauses.values() for b in c.bodies for x in symbols_of(b)]
-    for label in (x for x in stratify(program) if x in keep):
-        pairs = derive(program.clauses[label], out, method)
-        if label in program.closed_labels() or uses.count(label) > 1:
-            pairs, _ = stage.put(pairs)
-        out.relations[label, False] = pairs
+
+    def put(s: Symbol, pairs: DataFrame) -> None:
+        out.relations[s], out.sizes[s] = stage.put(pairs)
+
+    if store:
+        for s in [s for s in out.relations if s[0] in keep]:
+            put(s, out.relations[s])
+    if DOMAIN not in out.relations and any(NODES in symbols_of(c) for c in own.clauses.values()):
+        put(DOMAIN, as_pairs(out.nodes(program.base_labels() & keep)))
+    uses = [x for c in own.clauses.values() for b in c.bodies for x in symbols_of(b)]
+    closed = own.closed_labels()
+    for label in stratify(own):
+        pairs = derive(own.clauses[label], out, method)
+        if store or label in closed or uses.count(label) > 1:
+            put((label, False), pairs)
+        else:
+            out.relations[label, False] = pairs
+    if store:
+        for x in sorted(closed):
+            if (x, True) not in out.relations and (x, False) in out.relations:
+                put((x, True), out.rel(x, True))
     return out
 
 
@@ -374,69 +484,99 @@ def maintain(program: Program, graph: LabeledGraph, u: GraphUpdate, factoring: s
 
 
 class ViewStore:
-    """Versions of a materialised graph in a folder: version=N/label=…/flag=…; readers keep the version they opened."""
+    """Versions of a materialised graph in a folder; readers keep the version they opened.
+
+    A version is a manifest that names the folder and size of every relation. Each attempt to write one has a folder of its
+    own, and its manifest appears by a rename when all is written, so a crash leaves at most a folder that nothing names.
+    """
 
     def __init__(self, spark: SparkSession, folder: str, program: Program):
         self.spark, self.folder, self.program = spark, folder.rstrip("/"), program
 
-    def _path(self, *parts: str):
-        path = self.spark._jvm.org.apache.hadoop.fs.Path("/".join([self.folder, *parts]))
-        return path, path.getFileSystem(self.spark._jsc.hadoopConfiguration())
-
-    def versions(self) -> dict[int, str]:
-        """Version to the batch that made it, of committed versions."""
-        path, fs = self._path()
+    def _manifests(self) -> dict[int, str]:
+        """Committed version to the path of its manifest."""
+        path, fs = file_system(self.spark, f"{self.folder}/versions")
         names = [s.getPath().getName() for s in fs.listStatus(path)] if fs.exists(path) else []
-        return {int(n.split("-", 2)[1]): n.split("-", 2)[2] for n in names if n.startswith("done-")}
+        return {int(n[1:]): f"{self.folder}/versions/{n}" for n in names if n[:1] == "v" and n[1:].isdigit()}
 
     def version(self) -> int:
-        return max(self.versions(), default=-1)
-
-    def _commit(self, version: int, batch: str, relations: dict[Symbol, DataFrame]) -> None:
-        for (label, closed), d in relations.items():
-            d.write.mode("overwrite").parquet(f"{self.folder}/version={version}/label={label}/flag={'closure' if closed else 'plain'}")
-        path, fs = self._path(f"done-{version}-{batch}")
-        fs.create(path, True).close()
+        return max(self._manifests(), default=-1)
+
+    def _read(self, version: int | None = None) -> dict:
+        every = self._manifests()
+        if not every:
+            return {"relations": {}, "batches": [], "streams": {}}
+        text = self.spark.read.text(every[max(every) if version is None else version], wholetext=True).first()[0]
+        return json.loads(text)
+
+    def batches(self) -> list[str]:
+        return self._read()["batches"]
+
+    def _commit(self, relations: dict[Symbol, DataFrame], state: dict) -> None:
+        """A new version: the relations given, and those of the state as they are."""
+        version, attempt = self.version() + 1, uuid.uuid4().hex
+        kept = dict(state["relations"])
+        for k, (s, d) in enumerate(sorted(relations.items(), key=lambda x: x[0])):
+            path = f"{self.folder}/data/{attempt}/{k}"
+            d.write.parquet(path)
+            kept[f"{s[0]}{'+' if s[1] else ''}"] = [path, self.spark.read.schema("src long, dst long").parquet(path).count()]
+        text = json.dumps(state | {"relations": kept})
+        draft, fs = file_system(self.spark, f"{self.folder}/versions/draft-{attempt}")
+        out = fs.create(draft, True)
+        out.write(bytearray(text.encode()))
+        out.close()
+        final, _ = file_system(self.spark, f"{self.folder}/versions/v{version:09d}")
+        if fs.exists(final) or not fs.rename(draft, final):
+            raise ValueError(f"version {version} was committed by another writer")
 
     def create(self, graph: LabeledGraph, batch: str = "create") -> LabeledGraph:
-        full = materialize(self.program, graph)
-        full.with_closures(self.program.closed_labels())
-        self._commit(0, batch, full.relations)
+        full = materialize(self.program, graph, store=True)
+        relations = dict(full.relations)
+        if graph.domain is not None:
+            relations["@given", False] = as_pairs(graph.domain.select("id").distinct())
+        self._commit(relations, {"relations": {}, "batches": [batch], "streams": {}})
         return self.graph()
 
-    def _newest(self) -> dict[Symbol, str]:
-        """The newest committed folder of each relation; a version holds only what changed."""
-        out: dict[Symbol, str] = {}
-        for v in sorted(self.versions()):
-            top, fs = self._path(f"version={v}")
-            for a in fs.listStatus(top) if fs.exists(top) else []:
-                for b in fs.listStatus(a.getPath()):
-                    out[a.getPath().getName()[6:], b.getPath().getName()[5:] == "closure"] = b.getPath().toString()
-        return out
+    def graph(self, version: int | None = None) -> LabeledGraph:
+        """The graph of a version, the newest by default."""
+        return self._graph(self._read(version))
 
-    def graph(self) -> LabeledGraph:
-        return LabeledGraph(self.spark, {s: self.spark.read.schema("src long, dst long").parquet(p) for s, p in self._newest().items()})
+    def _graph(self, state: dict) -> LabeledGraph:
+        read = self.spark.read.schema("src long, dst long")
+        held = {(k.removesuffix("+"), k.endswith("+")): (read.parquet(path), n) for k, (path, n) in state["relations"].items()}
+        given, _ = held.pop(("@given", False), (None, 0))
+        domain = None if given is None else given.select(F.col("src").alias("id"))
+        return LabeledGraph(self.spark, {s: d for s, (d, _) in held.items()}, domain, sizes={s: n for s, (_, n) in held.items()})
 
     def read(self, view: str, closed: bool = False) -> DataFrame:
         return self.graph().rel(view, closed)
 
-    def apply(self, u: GraphUpdate, batch: str) -> bool:
-        """Maintain under an update; False if the batch was applied before. Only changed relations are written."""
-        if batch in self.versions().values():
+    def apply(self, u: GraphUpdate, batch: str, number: int | None = None, policy: str = "paper") -> bool:
+        """Maintain under an update; False if the batch was applied before. Only changed relations are written.
+
+        number: the place of an update in the stream that `batch` names; those up to the last one applied are replays.
+        """
+        state = self._read()
+        if batch in state["batches"] if number is None else state["streams"].get(batch, -1) >= number:
             return False
-        graph = self.graph()
-        u = maintain(self.program, graph, canonical(u, graph))
-        self._commit(self.version() + 1, batch, {s: updated(graph, u, s) for s in u.changed()})
+        graph, stage = self._graph(state), Stage(self.spark, "apply")
+        u = maintain(self.program, graph, canonical(u, graph, stage), policy=policy, stage=stage)
+        seen = {"batches": [*state["batches"], batch]} if number is None else {"streams": state["streams"] | {batch: number}}
+        self._commit({s: updated(graph, u, s) for s in u.changed()}, state | seen)
+        stage.clear()
         return True
 
     def vacuum(self) -> int:
-        """Remove relations that a later version replaced; the number removed."""
-        newest, n = set(self._newest().values()), 0
-        for v in self.versions():
-            top, fs = self._path(f"version={v}")
-            for a in fs.listStatus(top) if fs.exists(top) else []:
-                for b in fs.listStatus(a.getPath()):
-                    if b.getPath().toString() not in newest:
-                        fs.delete(b.getPath(), True)
-                        n += 1
+        """Remove what the newest version does not name: replaced relations, those of attempts that failed, and older
+        manifests; the number of relations removed. No other writer may be at work."""
+        every = self._manifests()
+        top, fs = file_system(self.spark, f"{self.folder}/data")
+        named, n = {fs.makeQualified(file_system(self.spark, path)[0]).toString() for path, _ in self._read()["relations"].values()}, 0
+        for a in fs.listStatus(top) if fs.exists(top) else []:
+            for b in fs.listStatus(a.getPath()):
+                if b.getPath().toString() not in named:
+                    fs.delete(b.getPath(), True)
+                    n += 1
+        for v in set(every) - {max(every, default=0)}:
+            fs.delete(file_system(self.spark, every[v])[0], True)
         return n

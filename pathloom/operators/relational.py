@@ -10,6 +10,7 @@ from ..sources import feeds
 from ..sources.graphs import DUCK, activity_sql, commerce_sql, relations
 from ..sources.staging import Stage
 from ..streaming import maintenance as streams
+from ..surface import open_graph, path_view, register_views
 from .closure import compose
 from .engine import GraphUpdate, LabeledGraph, diff_as_update
 
@@ -91,8 +92,8 @@ for _hint, _name in (("broadcast", "broadcast"), ("merge", "merge"), ("shuffle_h
     op(f"join_{_name}", _join)(_hinted)
 
 
-@op("join_nested_loop_whole", _join)
-def nested_whole(s, d):
+@op("join_nested_loop", _join)
+def nested(s, d):
     """The published matching strategy over whole relations: an edge meets each edge of its block of nodes in turn."""
     t, c = com(s, d, "transfer", "connected")
     block = lambda x: F.floor(F.col(x) / 25).alias("block")
@@ -101,13 +102,6 @@ def nested_whole(s, d):
     return met.select("src", F.explode(F.filter("edges", lambda e: e["src"] == F.col("dst"))).alias("e")).select("src", F.col("e.dst").alias("dst")).distinct()
 
 
-@op("join_nested_loop", f"SELECT DISTINCT a.src, b.dst FROM (SELECT * FROM {T} WHERE src < {CUST + 100}) AS a JOIN (SELECT * FROM {C} WHERE src < {CUST + 100}) AS b ON a.dst = b.src")
-def nested(s, d):
-    """The published matching strategy, on the nodes of four communities."""
-    t, c = (x.where(f"src < {CUST + 100}") for x in com(s, d, "transfer", "connected"))
-    return t.crossJoin(c.select(F.col("src").alias("m"), F.col("dst").alias("e"))).where("dst = m").select("src", F.col("e").alias("dst")).distinct()
-
-
 op("semi", f"SELECT src, dst FROM {T} AS t WHERE EXISTS (SELECT 1 FROM {M} AS m WHERE m.src = t.src)")(lambda s, d: (lambda t, m: t.join(m.select("src"), "src", "left_semi").select("src", "dst"))(*com(s, d, "transfer", "monitors")))
 op("anti", f"SELECT src, dst FROM {T} EXCEPT SELECT src, dst FROM {C}")(lambda s, d: diff_as_update(*com(s, d, "connected", "transfer"))[0])
 
@@ -154,8 +148,7 @@ op("cube_orders", "SELECT o_orderstatus AS status, o_orderpriority AS priority,
 
 @op("grouping_sets", "SELECT l_returnflag AS rf, l_linestatus AS ls, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())")
 def grouping_sets(s, d):
-    tab(s, d, "lineitem").createOrReplaceTempView("lineitem")
-    return s.sql(SQL["op_grouping_sets"])
+    return s.sql("SELECT l_returnflag AS rf, l_linestatus AS ls, count(*) AS n FROM {lines} GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())", lines=tab(s, d, "lineitem"))
 
 
 op("window_chain", f"SELECT src, dst FROM {q(_a['turn_next'])}")(lambda s, d: act(s, d, "turn_next")[0])
@@ -183,22 +176,29 @@ def _steps(edges: DataFrame) -> DataFrame:
     return own.select(F.posexplode(F.slice("nodes", 1, F.size("nodes") - 1)).alias("k", "src"), "nodes").select("src", F.element_at("nodes", F.col("k") + 2).alias("dst"))
 
 
-@op("path_steps_whole", f"SELECT src, dst FROM {q(_a['turn_next'])}")
-def path_steps_whole(s, d):
+@op("path_steps", f"SELECT src, dst FROM {q(_a['turn_next'])}")
+def path_steps(s, d):
     """Paths as node arrays, taken apart into edges."""
     return _steps(act(s, d, "turn_next")[0])
 
 
-@op("path_steps", f"SELECT src, dst FROM {q(_a['turn_next'])} WHERE src < 20000000002000")
-def path_steps(s, d):
-    """The same of conversations 0 and 1 only."""
-    return _steps(act(s, d, "turn_next")[0].where("src < 20000000002000"))
-
-
 @op("sql_view", f"SELECT src, dst FROM {T} WHERE src < dst")
 def sql_view(s, d):
-    com(s, d, "transfer")[0].createOrReplaceTempView("path_transfer")
-    return s.sql("SELECT src, dst FROM path_transfer WHERE src < dst")
+    """A relation asked by name in SQL."""
+    (name,) = register_views(s, LabeledGraph.from_relations(s, {"transfer": com(s, d, "transfer")[0]}), "pathloom_view_")
+    try:
+        return s.sql(f"SELECT src, dst FROM {name} WHERE src < dst")
+    finally:
+        s.catalog.dropTempView(name)
+
+
+@op("path_view", _join.replace("DISTINCT a.src, b.dst", "DISTINCT b.dst AS src, a.src AS dst"))
+def paths(s, d):
+    """A path expression as a table: the inverse of transfer / connected, from a stored graph."""
+    root = Stage(s, "opened").root
+    t, c = com(s, d, "transfer", "connected")
+    feeds.write_edges(t.select(F.lit("transfer").alias("label"), "src", "dst").unionByName(c.select(F.lit("connected").alias("label"), "src", "dst")), root)
+    return path_view(open_graph(s, root), "~(transfer/connected)")
 
 
 _starts = lambda df: df.withColumn("start", F.unix_micros(F.col("start").cast("timestamp")))

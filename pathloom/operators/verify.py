@@ -8,9 +8,9 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.rules import Clause, Conj, Lit, Program, Rel, Var, is_slice, is_stratified, variables
+from ..plans.rules import NODES, Clause, Conj, Lit, Program, Rel, Var, is_slice, is_stratified, variables
 from .closure import closure, compose, minus
-from .engine import GraphUpdate, LabeledGraph, derive, match_literal
+from .engine import GraphUpdate, LabeledGraph, apply_update, derive, match_literal, run_pass
 
 
 def holds(graph: LabeledGraph, label: str, a: int, b: int, closed: bool = False) -> bool:
@@ -120,8 +120,6 @@ def check_preconditions(p: Program, graph: LabeledGraph, trusted: Iterable[str],
     H1 the trusted labels are a model before the update; H2 done is closed under dependencies; H3 the update is of done
     labels, disjoint, and of no derived one; H4 todo is stratified after done; H5 the done labels are a model after it.
     """
-    from .engine import apply_update
-
     done = set(done)
     out = {"H2": is_slice(p, done), "H3": u.labels() <= done and not u.labels() & set(todo) and is_disjoint(u), "H4": is_stratified(p, done, todo)}
     if debug:
@@ -135,10 +133,33 @@ def contained_on(a: DataFrame, b: DataFrame) -> DataFrame:
     return minus(a, b)
 
 
+def step_invariants(p: Program, graph: LabeledGraph, u: GraphUpdate, trusted: Iterable[str] | None = None, **options) -> DataFrame:
+    """step, label, and what must hold after each label of a pass: the labels that are done are a slice and a model under
+    the update so far, which is disjoint and of done labels only."""
+    trusted = set(p.clauses) | graph.labels() if trusted is None else trusted
+    rows = []
+
+    def after(label: str, so_far: GraphUpdate, done: set[str]) -> None:
+        inside = so_far.labels() - {NODES} <= done
+        rows.append((len(rows) + 1, label, models(apply_update(graph, so_far), p, done), is_disjoint(so_far), inside, is_slice(p, done)))
+
+    run_pass(p, graph, trusted, u, after=after, **options)
+    return graph.spark.createDataFrame(rows, "step int, label string, model boolean, disjoint boolean, inside boolean, slice boolean")
+
+
 def modular_holds(graph: LabeledGraph, p: Program, a: set[str], b: set[str]) -> bool:
     """Satisfied on two sets of labels implies satisfied on their union."""
     return not (models(graph, p, a) and models(graph, p, b)) or models(graph, p, a | b)
 
 
+def unaffected_holds(graph: LabeledGraph, p: Program, labels: set[str], u: GraphUpdate) -> bool:
+    """An update that changes nothing in a slice leaves it satisfied if it was."""
+    if not is_slice(p, labels):
+        raise ValueError("the labels do not hold all that they depend on")
+    if u.labels() & labels:
+        raise ValueError("the update changes the slice")
+    return not models(graph, p, labels) or models(apply_update(graph, u), p, labels)
+
+
 def literal(label: str, a: str, b: str, closed: bool = False) -> Lit:
     return Lit(Rel(label, Var(a), Var(b)), closed)

@@ -10,12 +10,13 @@ from pyspark.sql import functions as F
 from .functions import measures
 from .operators import relational, verify
 from .operators.closure import closure, closure_with_witness, minus, union
-from .operators.engine import GraphUpdate, LabeledGraph, ViewStore, apply_update, canonical, compose_updates, delta_rows, diff_as_update, maintain, match_body, materialize, replace_label, run_pass, updated
+from .operators.engine import GraphUpdate, LabeledGraph, ViewStore, apply_update, canonical, compose_updates, delta_rows, diff_as_update, maintain, match_body, materialize, replace_label, run_pass, staged_update, updated
 from .plans.rules import Program, complete, parse_rules, program, slice_labels
 from .plans.sql import program_sql
-from .sources.graphs import DUCK, activity_sql, commerce_sql, relations
+from .plans.workload import random_views
+from .sources.graphs import DUCK, activity_sql, commerce_sql, relations, schema_of
 from .sources.staging import Stage
-from .streaming.maintenance import maintain_stream
+from .streaming.maintenance import chain_stream, maintain_stream, rocksdb_state
 from .views import AUDIENCE, DENSE, RING, SPARSE, VIEWS
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -66,6 +67,11 @@ for _family in SOURCES:
         "i AS (SELECT label, count(*) AS targets, max(d) AS max_in FROM (SELECT label, dst, count(*) AS d FROM e GROUP BY ALL) GROUP BY label) SELECT label, edges, sources, targets, max_out, max_in FROM o JOIN i USING (label)",
     )(lambda s, d, f=_family: measures.degree_profile(all_edges(s, d, f)))
 
+    query(
+        f"degree_distribution_{_family}",
+        f"WITH e AS ({edges_sql(_family)}), d AS (SELECT label, 'out' AS side, count(*) AS degree FROM e GROUP BY label, src UNION ALL SELECT label, 'in', count(*) FROM e GROUP BY label, dst) SELECT label, side, degree, count(*) AS nodes FROM d GROUP BY ALL",
+    )(lambda s, d, f=_family: measures.degree_distribution(all_edges(s, d, f)))
+
 # ---- views
 
 
@@ -112,36 +118,17 @@ def closure_witness_length(spark: SparkSession, sf_dir: str) -> DataFrame:
 # ---- incremental maintenance
 
 
-def staged_update(u: GraphUpdate, stage: Stage) -> GraphUpdate:
-    """An update with its parts written, empty ones gone and the sizes known."""
-    out = GraphUpdate()
-    for s, d in u.plus.items():
-        part, n = stage.put(d)
-        if n:
-            out.plus[s], out.sizes[s] = part, n
-    for s, d in u.minus.items():
-        part, n = stage.put(d)
-        if n:
-            out.minus[s] = part
-    return out
-
-
 def materialized(p: Program, graph: LabeledGraph, view: str, stage: Stage) -> tuple[Program, LabeledGraph]:
     """The program's slice and the graph with its labels and their closures, stored."""
     keep = slice_labels(p, view)
     own = Program({k: c for k, c in p.clauses.items() if k in keep})
-    full = materialize(own, graph, [view], stage=stage)
-    full.domain = graph.domain
-    for s in list(full.relations):
-        full.relations[s] = stage.put(full.relations[s])[0]
-    return own, full.with_closures(own.closed_labels())
+    return own, materialize(own, graph, [view], stage=stage, store=True)
 
 
 def incremental_view(spark: SparkSession, sf_dir: str, name: str, f: float = 0.10, **options) -> DataFrame:
     """The view of the whole graph from the view without a sample of labels, and their bulk insertion."""
     family, p, label = VIEWS[name]
     graph = graph_for(spark, sf_dir, family, p, label)
-    graph.domain = graph.nodes()
     base, u = measures.split_by_labels(graph, measures.sample_labels(SOURCES[family](), f, must_hit=graph.labels()))
     return _maintained(p, label, base, u, **options)
 
@@ -181,7 +168,7 @@ def incr_delete_d5(spark: SparkSession, sf_dir: str) -> DataFrame:
 def incr_mixed_d7(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Deletions of connected and insertions of transfer edges in one update."""
     graph = graph_for(spark, sf_dir, *VIEWS["d7"])
-    base = LabeledGraph(spark, dict(graph.relations), graph.nodes())
+    base = LabeledGraph(spark, dict(graph.relations))
     base.relations["transfer", False] = graph.rel("transfer").where(f"NOT ({_gone})")
     u = GraphUpdate({("transfer", False): graph.rel("transfer").where(_gone)}, {("connected", False): graph.rel("connected").where(_gone)})
     return _maintained(RING, "ring", base, u)
@@ -192,7 +179,7 @@ def incr_repeat_s1(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Three updates, each of the result of the one before."""
     graph = graph_for(spark, sf_dir, *VIEWS["s1"])
     third = lambda d, k: d.where(f"(src * 31 + dst * 17) % 4 = {k}")
-    base = LabeledGraph(spark, {s: third(d, 0) for s, d in graph.relations.items()}, graph.nodes())
+    base = LabeledGraph(spark, {s: third(d, 0) for s, d in graph.relations.items()})
     return _maintained(AUDIENCE, "exposed", base, *(GraphUpdate({s: third(d, k) for s, d in graph.relations.items()}) for k in (1, 2, 3)))
 
 
@@ -202,11 +189,51 @@ def incr_partial_trust_d7(spark: SparkSession, sf_dir: str) -> DataFrame:
     stage = Stage(spark, "partial")
     graph = graph_for(spark, sf_dir, *VIEWS["d7"])
     own, full = materialized(RING, graph, "guarded", stage)
-    mixed = LabeledGraph(spark, {s: d for s, d in full.relations.items()} | {s: d for s, d in graph.relations.items() if s not in full.relations}, graph.nodes())
+    mixed = LabeledGraph(spark, {s: d for s, d in full.relations.items()} | {s: d for s, d in graph.relations.items() if s not in full.relations})
     u = run_pass(RING, mixed, graph.labels() | {"watched", "guarded"}, GraphUpdate(), ["vetted", "handoff", "ring"], stage=stage)
     return apply_update(mixed, u).rel("ring")
 
 
+
+
+_star = program({"v": "turn_next*/~said_system"})
+
+
+@query("incr_star_new_nodes", program_sql(_star, "v", DUCK_SQL["activity"]))
+def incr_star_new_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A reflexive closure whose node domain grows with the insertion of a whole label, from the base graph's own nodes."""
+    graph = graph_for(spark, sf_dir, "activity", _star, "v")
+    base, u = measures.split_by_labels(graph, ["said_system"])
+    rest = lambda d, new: d.where(f"(src * 31 + dst * 17) % 100 {'<' if new else '>='} 30")
+    base.relations["turn_next", False], u.plus["turn_next", False] = (rest(graph.rel("turn_next"), new) for new in (False, True))
+    return _maintained(_star, "v", base, u)
+
+
+_loop = program({"v": "turn_next*"})
+
+
+@query("incr_star_only_nodes", program_sql(_loop, "v", DUCK_SQL["activity"]))
+def incr_star_only_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    base, u = measures.split_by_edges(graph_for(spark, sf_dir, "activity", _loop, "v"), 40)
+    return _maintained(_loop, "v", base, u)
+
+
+@query("store_recovers", view_sql("s3"))
+def store_recovers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """S3 from a store on which an attempt to apply half of the edges stopped before its manifest was there."""
+    _, p, label = VIEWS["s3"]
+    graph = graph_for(spark, sf_dir, *VIEWS["s3"])
+    base, u = measures.split_by_edges(graph, 50)
+    stage = Stage(spark, "recovery")
+    store = ViewStore(spark, f"{stage.root}/store", p)
+    store.create(base)
+    spark.range(5).select(F.col("id").alias("src"), F.col("id").alias("dst")).write.parquet(f"{store.folder}/data/stopped/0")
+    store.apply(u, "half")
+    store.apply(u, "half")
+    store.vacuum()
+    return store.read(label)
+
+
 # ---- deltas
 
 _hop = program({"v": "transfer/connected"})
@@ -369,7 +396,11 @@ def measure_published_claims(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.claim_sparser_better(measures.published(spark))
 
 
-@query("measure_match_counts")
+_part = {x: {"old": f"(SELECT * FROM {t} AS o WHERE NOT ((src * 31 + dst * 17) % 100 < 10))", "delta": f"(SELECT * FROM {t} AS o WHERE (src * 31 + dst * 17) % 100 < 10)", "new": t} for x, t in (("t", _t), ("c", _c))}
+_masks = {"old_prefix": (("delta", "new"), ("old", "delta")), "new_prefix": (("delta", "old"), ("new", "delta")), "expanded": (("old", "delta"), ("delta", "old"), ("delta", "delta"))}
+
+
+@query("measure_match_counts", " UNION ALL ".join(f"SELECT '{f}' AS factoring, {k} AS row, count(*) AS matches FROM {_part['t'][a]} AS a JOIN {_part['c'][b]} AS b ON a.dst = b.src" for f, rows in _masks.items() for k, (a, b) in enumerate(rows)))
 def measure_match_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Matchings of each mask row of the two-hop view under an insertion of a tenth of the edges, by factoring."""
     base, u = measures.split_by_edges(graph_for(spark, sf_dir, "commerce", _hop, "v"), 10)
@@ -387,7 +418,7 @@ def baseline_nested_loop_d4(spark: SparkSession, sf_dir: str) -> DataFrame:
     keep = graph.rel("wants_1")
     graph.relations["deals_BUILDING", False] = graph.rel("deals_BUILDING").join(keep.select("src").distinct(), "src", "left_semi").select("src", "dst")
     graph.relations["supplies_1997", False] = graph.rel("supplies_1997").join(keep.select("dst").distinct(), "dst", "left_semi").select("src", "dst")
-    return match_body(clause.bodies[0], clause.head, lambda lit: graph.rel(*lit.symbol), graph.nodes, method="nested_loop").distinct()
+    return match_body(clause.bodies[0], clause.head, lambda lit: graph.rel(*lit.symbol), spark, method="nested_loop").distinct()
 
 
 def entry(spark: SparkSession) -> DataFrame:
@@ -410,5 +441,33 @@ def stream_incr_s3(spark: SparkSession, sf_dir: str) -> DataFrame:
     return store.read(label)
 
 
+_relays = [x for x in DUCK_SQL["activity"] if x.startswith("relay_")]
+
+
+@query("stream_chain", " UNION ALL ".join(f"(SELECT DISTINCT '{x}' AS label, src, dst FROM ({DUCK_SQL['activity'][x]}) AS q)" for x in _relays))
+def stream_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The relay edges of all event types from a stream of the events, by keyed state."""
+    stage = Stage(spark, "chain")
+    events = spark.read.parquet(f"{sf_dir}/events.parquet").select("event_id", "event_type", "user_id", F.col("ts").cast("timestamp").alias("ts"))
+    events.coalesce(1).write.parquet(f"{stage.root}/in")
+    links = chain_stream(spark.readStream.schema(events.schema).parquet(f"{stage.root}/in"))
+    with rocksdb_state(spark):
+        links.writeStream.format("parquet").option("path", f"{stage.root}/out").option("checkpointLocation", f"{stage.root}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema("label string, src long, dst long").parquet(f"{stage.root}/out").distinct()
+
+
+@query("views_random_commerce")
+def views_random_commerce(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The sizes of ten generated views over the dense graph."""
+    views = random_views({x: ends for x, ends in schema_of(commerce_sql()).items() if x in _generated}, 10, seed=7)
+    parts = []
+    for name, p in views.items():
+        parts.append(materialize(p, graph_for(spark, sf_dir, "commerce", p, name), [name]).rel(name).agg(F.count("*").alias("pairs")).select(F.lit(name).alias("view"), "pairs"))
+    return union(*parts)
+
+
+_generated = ("transfer", "connected", "cust_in", "in_region", "placed_F_1", "monitors")
+SQL["views_random_commerce"] = " UNION ALL ".join(f"SELECT '{n}' AS view, count(*) AS pairs FROM ({program_sql(p, n, DUCK_SQL['commerce'])}) AS q" for n, p in random_views({x: ends for x, ends in schema_of(commerce_sql()).items() if x in _generated}, 10, seed=7).items())
+
 QUERIES |= relational.QUERIES
 SQL |= relational.SQL

@@ -7,6 +7,9 @@ closures grow with the data and not with its square.
 
 from __future__ import annotations
 
+import re
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 
 KINDS = {"customer": 1, "order": 2, "part": 3, "supplier": 4, "nation": 5, "region": 6, "brand": 7, "type": 8, "user": 11, "topic": 12, "doc": 13, "source": 14, "lang": 15, "page": 16, "host": 17, "path": 18, "conversation": 19, "turn": 20, "vector": 21, "class": 22}
@@ -120,13 +123,33 @@ def activity_sql(dialect: str = SPARK) -> dict[str, str]:
     return out
 
 
-def register(spark: SparkSession, sf_dir: str, tables: tuple[str, ...] = TABLES) -> None:
-    for t in tables:
-        spark.read.parquet(f"{sf_dir}/{t}.parquet").createOrReplaceTempView(t)
+def register(spark: SparkSession, sf_dir: str, tables: tuple[str, ...] = TABLES) -> dict[str, str]:
+    """Temporary views of the tables under names of their own, by table; the session's views stay as they are."""
+    names = {t: f"given_{t}_{uuid.uuid4().hex}" for t in tables}
+    for t, name in names.items():
+        spark.read.parquet(f"{sf_dir}/{t}.parquet").createTempView(name)
+    return names
 
 
 def relations(spark: SparkSession, sf_dir: str, labels: dict[str, str], only: set[str] | None = None) -> dict[str, DataFrame]:
     """Label to edges (src, dst), without nulls and repeats; only the tables that the labels name are read."""
     wanted = {k: v for k, v in labels.items() if only is None or k in only}
-    register(spark, sf_dir, tuple(t for t in TABLES if any(t in q for q in wanted.values())))
-    return {k: spark.sql(q).where("src IS NOT NULL AND dst IS NOT NULL").distinct() for k, q in wanted.items()}
+    named = {t: re.compile(rf"\b{t}\b") for t in TABLES}
+    views = register(spark, sf_dir, tuple(t for t in TABLES if any(named[t].search(q) for q in wanted.values())))
+    try:
+        out = {}
+        for k, q in wanted.items():
+            for t, name in views.items():
+                q = named[t].sub(name, q)
+            out[k] = spark.sql(q).where("src IS NOT NULL AND dst IS NOT NULL").distinct()
+        return out
+    finally:
+        for name in views.values():
+            spark.catalog.dropTempView(name)
+
+
+def schema_of(labels: dict[str, str]) -> dict[str, tuple[str, str]]:
+    """Label to the kinds of nodes that its edges join."""
+    kinds = {str(n): k for k, n in KINDS.items()}
+    found = {x: re.findall(r"\((\d+)000000000000 \+", q)[:2] for x, q in labels.items()}
+    return {x: (kinds[a], kinds[b]) for x, (a, b) in found.items()}

@@ -23,9 +23,18 @@ def shared_folder(spark: SparkSession) -> str:
     return _own_folder[app]
 
 
+def file_system(spark: SparkSession, path: str):
+    """(path, its file system), as the JVM's objects."""
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return p, p.getFileSystem(spark._jsc.hadoopConfiguration())
+
+
 class Stage:
+    """Tables of one computation. What no later plan reads can be dropped, or all but some tables at its end."""
+
     def __init__(self, spark: SparkSession, name: str = "pass"):
         self.spark, self.root, self.n = spark, f"{shared_folder(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}", 0
+        self.paths: dict[int, tuple[DataFrame, str]] = {}
 
     def put(self, df: DataFrame) -> tuple[DataFrame, int]:
         """The written table and its number of rows (from the footers)."""
@@ -33,4 +42,16 @@ class Stage:
         path = f"{self.root}/{self.n}"
         df.write.parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
+        self.paths[id(out)] = out, path
         return out, out.count()
+
+    def drop(self, *tables: DataFrame) -> None:
+        """Remove tables of this stage; other tables are left alone."""
+        for t in tables:
+            if kept := self.paths.pop(id(t), None):
+                p, fs = file_system(self.spark, kept[1])
+                fs.delete(p, True)
+
+    def clear(self, keep: tuple[DataFrame, ...] = ()) -> None:
+        """Remove all tables that were put but those to keep."""
+        self.drop(*(t for k, (t, _) in list(self.paths.items()) if k not in set(map(id, keep))))

@@ -2,21 +2,46 @@
 
 from __future__ import annotations
 
+import threading
 from collections.abc import Iterator
+from contextlib import contextmanager
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.engine import GraphUpdate, ViewStore
 
 
 def maintain_stream(feed: DataFrame, store: ViewStore, checkpoint: str, **trigger):
-    """Apply each micro-batch of a change feed (op, label, src, dst) as one update; replayed batches count once."""
+    """Apply each micro-batch of a change feed (op, label, src, dst) as one update; replayed batches count once.
 
-    def apply(batch: DataFrame, number: int) -> None:
-        store.apply(GraphUpdate.from_feed(batch), f"batch{number}")
+    A stream is known by the id that its checkpoint keeps, so other streams into the same store are not its replays.
+    """
+    started, ids = threading.Event(), []
 
-    return feed.writeStream.foreachBatch(apply).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
+    def apply(batch: DataFrame, number: int) -> None:
+        started.wait()
+        store.apply(GraphUpdate.from_feed(batch), ids[0], number)
+
+    query = feed.writeStream.foreachBatch(apply).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
+    ids.append(query.id)
+    started.set()
+    return query
+
+
+@contextmanager
+def rocksdb_state(spark: SparkSession):
+    """Streams started in the block keep their state in RocksDB, which state of arbitrary keys needs."""
+    key = "spark.sql.streaming.stateStore.providerClass"
+    own = spark.conf.get(key, None)
+    spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        yield
+    finally:
+        if own is None:
+            spark.conf.unset(key)
+        else:
+            spark.conf.set(key, own)
 
 
 def timed(events: DataFrame) -> DataFrame:

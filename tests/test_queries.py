@@ -40,9 +40,3 @@ def test_chain_processor_links_successors(spark, tmp_path):
         assert [tuple(r) for r in spark.read.parquet(str(tmp_path / "out")).collect()] == [("relay_click", 11 * 10**12 + 1, 11 * 10**12 + 2)]
     finally:
         spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
-
-
-@pytest.mark.parametrize("name, cut", [("op_path_steps_whole", "op_path_steps"), ("op_join_nested_loop_whole", "op_join_nested_loop")])
-def test_whole_relations(spark, name, cut):
-    test_query_equals_sql(spark, name)
-    assert queries.QUERIES[name](spark, SF).count() > queries.QUERIES[cut](spark, SF).count()
