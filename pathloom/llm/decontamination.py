@@ -102,9 +102,9 @@ def benchmark_windows(benchmark: DataFrame) -> DataFrame:
 def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """doc_id, item_id, n_matched (the item's windows found), n_windows, for each document that holds a benchmark item.
 
-    An item is held if RUN of its windows (all, if it has fewer), that is 12 tokens in a row, match. A window does not count where
-    @@    Rows without doc_id or item_id, null and empty texts match nothing; repeated rows give one row. Other columns are
-    ignored.
+    An item is held if RUN of its windows (all, if it has fewer), that is 12 tokens in a row, match. A window does not count
+    where it holds a filler that its alignment fills in more than one way. Rows without doc_id or item_id, null and empty
+    texts match nothing; repeated rows give one row. Other columns are ignored.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "decontamination")
@@ -139,6 +139,6 @@ def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """The rows of docs that hold no benchmark item, unchanged; rows without doc_id stay."""
-    hit = contaminated(docs, benchmark).select(F.col("doc_id").alias("_hit")).distinct()
-    return docs.join(hit, docs["doc_id"] == F.col("_hit"), "left_anti")
+    """The rows of docs that hold no benchmark item, unchanged, whatever their columns; rows without doc_id stay."""
+    hit = contaminated(docs, benchmark).select("doc_id").distinct()
+    return docs.alias("d").join(hit.alias("h"), F.col("d.doc_id") == F.col("h.doc_id"), "left_anti")

@@ -17,20 +17,36 @@ def _code(key: Column) -> Column:
     return F.struct(F.xxhash64(key).alias("h1"), F.xxhash64(F.lit(7), key).alias("h2"))
 
 
+def _text_key() -> Column:
+    """What tells texts of one doc_id apart."""
+    return F.xxhash64(text_or_empty())
+
+
 def dropped_lines(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> DataFrame:
-    """doc_id, gone: array of the codes of lines that the document loses."""
-    keys = F.filter(F.transform(F.split(text_or_empty(), "\n"), line_key), lambda k: F.length(k) >= min_chars)
-    held = docs.where("doc_id IS NOT NULL").select("doc_id", F.explode(F.array_distinct(F.transform(keys, _code))).alias("code")).select("doc_id", "code.*")
-    often = held.groupBy("h1", "h2").agg(F.countDistinct("doc_id").alias("n"), F.max("doc_id").alias("keeper")).where(F.col("n") >= min_docs).drop("n")
+    """doc_id, h (the text's hash), gone: the places, from 0, of the lines that the text loses."""
+    lines = docs.where("doc_id IS NOT NULL").select("doc_id", _text_key().alias("h"), F.posexplode(F.split(text_or_empty(), "\n")).alias("i", "line")).withColumn("k", line_key(F.col("line")))
+    held = lines.where(F.length("k") >= min_chars).select("doc_id", "h", "i", _code(F.col("k")).alias("code")).select("doc_id", "h", "i", "code.*")
+    # A document counts once for a line: its map side keeps one row of each.
+    often = held.select("h1", "h2", "doc_id").distinct().groupBy("h1", "h2").agg(F.count("*").alias("n"), F.max("doc_id").alias("keeper")).where(F.col("n") >= min_docs).drop("n")
     # Staged, so that the join's sides are plain exchanges (or one is small by its files): Spark can split a hot line.
     often = Scratch(docs.sparkSession, "lines").stage(often, "often")
     lost = held.join(often, ["h1", "h2"]).where(F.col("doc_id") != F.col("keeper"))
-    return lost.groupBy("doc_id").agg(F.collect_set(F.struct("h1", "h2")).alias("gone"))
+    return lost.groupBy("doc_id", "h").agg(F.collect_set("i").alias("gone"))
+
+
+def without(lines: Column, gone: Column) -> Column:
+    """Lines but those at the places in gone, in their order: places are subtracted as sets, in linear time."""
+    places = F.sequence(F.lit(0), F.size(lines) - 1)
+    return F.when(gone.isNull(), lines).otherwise(F.transform(F.array_except(places, gone), lambda i: F.get(lines, i)))
 
 
-def without(text: Column, gone: Column) -> Column:
-    """A text without the lines whose codes are in gone."""
-    return F.array_join(F.filter(F.split(text, "\n"), lambda x: ~F.array_contains(gone, _code(line_key(x)))), "\n")
+def deduped(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> DataFrame:
+    """d (a row of docs, whatever its columns), lines and kept (arrays), for each row."""
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("d"))
+    gone = dropped_lines(own.select("doc_id", "text"), min_chars, min_docs)
+    out = own.select("doc_id", _text_key().alias("h"), "d").join(gone, ["doc_id", "h"], "left")
+    out = out.select("d", "gone", F.split(text_or_empty(F.col("d.text").cast("string")), "\n").alias("lines"))
+    return out.select("d", "lines", without(F.col("lines"), F.col("gone")).alias("kept"))
 
 
 def line_dedup(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> DataFrame:
@@ -40,13 +56,9 @@ def line_dedup(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> DataF
     text is one empty line. A row without doc_id neither counts nor loses lines. A repeated doc_id counts as one
     document. Other columns of docs are ignored. An empty table gives no rows.
     """
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    gone = F.col("gone")
-    lines = F.split(text_or_empty(), "\n")
-    kept = F.when(gone.isNull(), lines).otherwise(F.filter(lines, lambda x: ~F.array_contains(gone, _code(line_key(x)))))
-    out = docs.join(dropped_lines(docs, min_chars, min_docs), "doc_id", "left").select("doc_id", lines.alias("lines"), kept.alias("kept"))
+    out = deduped(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), min_chars, min_docs)
     n = F.size("lines").cast("long")
-    return out.select("doc_id", n.alias("n_lines"), (n - F.size("kept")).alias("n_dropped"), F.array_join("kept", "\n").alias("kept"))
+    return out.select("d.doc_id", n.alias("n_lines"), (n - F.size("kept")).alias("n_dropped"), F.array_join("kept", "\n").alias("kept"))
 
 
 LINE_DEDUP_SQL = """

@@ -8,7 +8,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER, SPACES, UPPER, Scratch, let, text_or_empty, words
+from .common import LOWER, SPACES, UPPER, Scratch, fresh, let, text_or_empty, words
 
 SYMBOLS = "#*$%&|<>"
 
@@ -37,18 +37,19 @@ def statistics(docs: DataFrame) -> DataFrame:
     """The columns of docs and n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, and the features f_*."""
     text = text_or_empty(F.col("text").cast("string"))
     count = lambda chars: F.length(text) - F.length(F.translate(text, chars, ""))
-    rows = docs.withColumn("_w", words(text)).withColumn("_lines", F.filter(F.split(text, "\n"), lambda x: F.trim(x, F.lit(SPACES)) != ""))
+    ws, lines, n_lines, upper, lower, marks, digits = own = fresh(docs.columns, "_words", "_lines", "_n_lines", "_upper", "_lower", "_marks", "_digits")
+    rows = docs.withColumn(ws, words(text)).withColumn(lines, F.filter(F.split(text, "\n"), lambda x: F.trim(x, F.lit(SPACES)) != ""))
     whole = {
-        "n_words": F.size("_w"), "word_chars": F.length(F.translate(text, SPACES, "")), "n_symbols": count(SYMBOLS),
-        "n_dup_lines": F.size("_lines") - F.size(F.array_distinct("_lines")), "n_repeat_words": let(F.col("_w"), _repeat_words),
+        "n_words": F.size(ws), "word_chars": F.length(F.translate(text, SPACES, "")), "n_symbols": count(SYMBOLS),
+        "n_dup_lines": F.size(lines) - F.size(F.array_distinct(lines)), "n_repeat_words": let(F.col(ws), _repeat_words),
     }
-    rows = rows.withColumns({k: v.cast("long") for k, v in whole.items()} | {"_n_lines": F.size("_lines"), "_upper": count(UPPER), "_lower": count(LOWER), "_marks": count("!?"), "_digits": count("0123456789")})
+    rows = rows.withColumns({k: v.cast("long") for k, v in whole.items()} | {n_lines: F.size(lines), upper: count(UPPER), lower: count(LOWER), marks: count("!?"), digits: count("0123456789")})
     per_word = lambda c: F.col(c) / F.greatest(F.col("n_words"), F.lit(1))
     features = {
-        "f_words": F.col("n_words").cast("double"), "f_chars": per_word("word_chars"), "f_symbols": per_word("n_symbols"), "f_repeats": per_word("n_repeat_words"), "f_marks": per_word("_marks"), "f_digits": per_word("_digits"),
-        "f_dup_lines": F.col("n_dup_lines") / F.greatest(F.col("_n_lines"), F.lit(1)), "f_upper": F.col("_upper") / F.greatest(F.col("_upper") + F.col("_lower"), F.lit(1)),
+        "f_words": F.col("n_words").cast("double"), "f_chars": per_word("word_chars"), "f_symbols": per_word("n_symbols"), "f_repeats": per_word("n_repeat_words"), "f_marks": per_word(marks), "f_digits": per_word(digits),
+        "f_dup_lines": F.col("n_dup_lines") / F.greatest(F.col(n_lines), F.lit(1)), "f_upper": F.col(upper) / F.greatest(F.col(upper) + F.col(lower), F.lit(1)),
     }
-    return rows.withColumns(features).drop("_w", "_lines", "_n_lines", "_upper", "_lower", "_marks", "_digits")
+    return rows.withColumns(features).drop(*own)
 
 
 FEATURES = ("f_words", "f_chars", "f_symbols", "f_repeats", "f_marks", "f_digits", "f_dup_lines", "f_upper")

@@ -8,6 +8,7 @@ and a committed batch is never written again, so repeated and interrupted commit
 from __future__ import annotations
 
 import base64
+import os
 from functools import lru_cache
 
 from pyspark.sql import DataFrame, SparkSession
@@ -19,7 +20,7 @@ KEYS = ["source", "lang", "tokenizer"]
 MEASURES = ["docs", "tokens", "chars"]
 SCHEMA = "source string, lang string, tokenizer string, docs long, tokens long, chars long"
 
-#: Where the public vocabulary is, by default; a parameter of byte_pair_counts.
+#: Where the public vocabulary is on every machine, by default; a parameter of byte_pair_counts.
 RANKS = "/opt/tokenizers/byte_bpe_50k.tiktoken"
 
 # Fixed value: how this public tokenizer splits a text into pieces.
@@ -30,6 +31,8 @@ PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\
 def _encoding(ranks: str):
     import tiktoken
 
+    if not os.path.exists(ranks):
+        raise FileNotFoundError(f"no vocabulary at {ranks}; every executor needs it there, or at the path given as ranks")
     with open(ranks, "rb") as f:
         table = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
     return tiktoken.Encoding("ranks", pat_str=PATTERN, mergeable_ranks=table, special_tokens={})
