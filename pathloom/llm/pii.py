@@ -114,6 +114,26 @@ OTHER = "other"
 _plain = ("bias",)
 
 
+_plain_digits = re.compile(r"[0-9 ./_-]+")
+_dialled = re.compile(r"[+(]?[0-9(][0-9 ()./-]*[0-9]")
+_dots = re.compile(r"\[\.\]|\(\.\)")
+
+
+def possible(s: str) -> list[str]:
+    """The kinds that a segment can be of at all; the field chooses among these and other text."""
+    digits, out = _digits.sub("", s), []
+    if "@" in s and "." in s[s.index("@") :] or "@" in s and " dot " in s[s.index("@") :]:
+        out.append("email")
+    parts = _dots.sub(".", s).split(".")
+    if len(parts) == 4 and all(p.isascii() and p.isdigit() and int(p) <= 255 for p in parts):
+        out.append("ip")
+    if 13 <= len(digits) <= 19 and _plain_digits.fullmatch(s) and luhn(digits):
+        out.append("card")
+    if 7 <= len(digits) <= 15 and _dialled.fullmatch(s):
+        out.append("phone")
+    return out
+
+
 def _segments(text: str, tokens: list[tuple[int, int]]):
     """(first token, one past the last, kind, features, span) of all candidate segments."""
     for i in range(len(tokens)):
@@ -123,9 +143,10 @@ def _segments(text: str, tokens: list[tuple[int, int]]):
             a, b = trimmed(text, tokens[i][0], tokens[j - 1][1])
             if b - a < 6 or not _trigger.search(text, a, b):
                 continue
-            own = features(text, a, b, j - i)
-            for kind in KINDS:
-                yield i, j, kind, own, (a, b)
+            if kinds := possible(text[a:b]):
+                own = features(text, a, b, j - i)
+                for kind in kinds:
+                    yield i, j, kind, own, (a, b)
 
 
 class Field:
@@ -214,38 +235,75 @@ def negatives(rng: random.Random) -> tuple[str, list[tuple[int, int]], list]:
     return text, [m.span() for m in _token.finditer(text)], []
 
 
+#: Tokens of a window that training reads at most, and windows it reads for each document of the sample, on average.
+TRAINED_TOKENS, TRAINED_WINDOWS = 40, 4
+
+
+def _labelled(batches):
+    """The windows of documents that hold base spans: text from their first token to their last, and the spans in it."""
+    import pyarrow as pa
+
+    for batch in text_chunks(batches):
+        rows = []
+        for h, d, text in zip(*(batch.column(c).to_pylist() for c in ("h", "doc_id", "text")), strict=True):
+            base = base_spans(text)
+            for k, tokens in enumerate(windows(text)):
+                begin, end = tokens[0][0], tokens[-1][1]
+                spans = [(kind, a - begin, b - begin) for kind, a, b in base if a >= begin and b <= end]
+                if spans and len(tokens) <= TRAINED_TOKENS:
+                    rows.append((h, d, k, text[begin:end], ",".join(f"{x}:{a}:{b}" for x, a, b in spans)))
+        columns = zip(*rows, strict=True) if rows else ((),) * 5
+        kinds = (pa.int64(), pa.int64(), pa.int32(), pa.string(), pa.string())
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["h", "doc_id", "k", "window", "spans"])
+
+
 def trained(docs: DataFrame, sample: int = SAMPLE) -> Field:
-    """A field trained on at most `sample` documents with base spans, the first by hash of doc_id."""
+    """A field trained on the labelled windows of at most `sample` documents with base spans, the first by hash of doc_id.
+
+    Of their windows, those of TRAINED_TOKENS tokens at most are read, TRAINED_WINDOWS * sample in all at most, each as it
+    is and once more with its spans written another way.
+    """
     marked = docs.where("doc_id IS NOT NULL").where(F.col("text").rlike(r"@[A-Za-z0-9-]+\.[A-Za-z0-9]|[0-9]{2}\.[0-9]+\.[0-9]+\.[0-9]|[0-9]{16}|\+[0-9] ?\(?[0-9]{3}"))
-    marked = marked.where(F.length("text") < 20_000).select("text", F.xxhash64("doc_id").alias("h"), "doc_id")
-    # Hashes under a bound that about twice the sample has: else each task would send `sample` texts to the one that sorts.
+    marked = marked.select(F.xxhash64("doc_id").alias("h"), "doc_id")
+    # Hashes under a bound that about twice the sample has: else each task would send `sample` ids to the one that sorts.
     share = 2 * sample / max(marked.count(), 1)
     while True:
         under = marked if share >= 1 else marked.where(F.col("h") < -(1 << 63) + int(share * (1 << 64)))
-        texts = [r["text"] for r in under.orderBy("h", "doc_id").limit(sample).select("text").toLocalIterator()]
-        if len(texts) >= sample or share >= 1:
+        ids = [r["doc_id"] for r in under.orderBy("h", "doc_id").limit(sample).collect()]
+        if len(ids) >= sample or share >= 1:
             break
         share *= 4
+    chosen = docs.where(F.col("doc_id").isin(sorted(set(ids)))).select(F.xxhash64("doc_id").alias("h"), "doc_id", F.coalesce("text", F.lit("")).alias("text"))
+    rows = chosen.mapInArrow(_labelled, "h long, doc_id long, k int, window string, spans string").orderBy("h", "doc_id", "k", "window").limit(TRAINED_WINDOWS * sample).collect()
     rng, examples = random.Random(11), []
-    for text in texts:
-        base = base_spans(text)
-        for tokens in windows(text):
-            spans = [s for s in base if s[1] >= tokens[0][0] and s[2] <= tokens[-1][1]]
-            if spans and len(tokens) <= 40:
-                examples.append((text, tokens, spans))
-                examples.append(varied(rng, text, tokens, spans))
-    examples = [e for e in examples[: 4 * sample]] + [negatives(rng) for _ in range(max(40, len(examples) // 6))]
+    for r in rows:
+        text, tokens = r["window"], [m.span() for m in _token.finditer(r["window"])]
+        spans = [(x, int(a), int(b)) for x, a, b in (y.split(":") for y in r["spans"].split(","))]
+        examples.append((text, tokens, spans))
+        examples.append(varied(rng, text, tokens, spans))
+    examples += [negatives(rng) for _ in range(max(40, len(examples) // 6))]
     return Field().train(examples)
 
 
+def _joined(spans) -> list[tuple[int, int]]:
+    """Spans that overlap, of several kinds, as one; sorted."""
+    out: list[tuple[int, int]] = []
+    for a, b in sorted(spans):
+        if out and a < out[-1][1]:
+            out[-1] = (out[-1][0], max(b, out[-1][1]))
+        else:
+            out.append((a, b))
+    return out
+
+
 def all_spans(field: Field, text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, int, int]]]:
     """Base spans, and all spans: the base ones and those of the field that overlap none; by kind, then start."""
     base = base_spans(text)
-    every, used = list(base), sorted((a, b) for _, a, b in base)
+    every, used = list(base), _joined((a, b) for _, a, b in base)
+    ends = [y for _, y in used]
     for tokens in windows(text):
         for kind, a, b in field.decode(text, tokens):
-            k = bisect.bisect_left(used, (a, b))
-            if all(b <= x or a >= y for x, y in used[max(k - 2, 0) : k + 1]):
+            if not any(x < b and a < y for x, y in used[bisect.bisect_left(ends, a + 1) : bisect.bisect_left(used, (b, 0))]):
                 every.append((kind, a, b))
     return base, every
 
