@@ -99,15 +99,40 @@ def byte_units(texts: list[bytes]) -> Units:
     return Units(byte_hashes[np.frombuffer(joined, dtype=np.uint8)], at, lambda b, e: joined[b:e])
 
 
+_is_space = np.zeros(256, dtype=bool)
+_is_space[[32, *range(9, 14)]] = True
+
+
+#: Bytes of text that are split into words and hashed at a time.
+PIECE = 1_000_000
+
+
+def _pieces(texts: list[bytes]) -> Iterator[list[bytes]]:
+    """Stretches of texts of about PIECE bytes, one text at least; one empty stretch if there are no texts."""
+    begin = total = 0
+    for i, t in enumerate(texts):
+        if i > begin and total + len(t) > PIECE:
+            yield texts[begin:i]
+            begin, total = i, 0
+        total += len(t)
+    yield texts[begin:]
+
+
 def word_units(texts: list[bytes]) -> Units:
-    split = [t.split() for t in texts]  # of bytes: exactly at space and \x09 to \x0D
-    at = np.concatenate([[0], np.cumsum([len(w) for w in split], dtype=np.int64)])
-    every = [w for ws in split for w in ws]
-    joined = b" ".join(every)
-    ends = np.cumsum(np.fromiter(map(len, every), dtype=np.int64, count=len(every)) + 1) - 1
-    begins = np.concatenate([[0], ends[:-1] + 1]) if len(every) else ends
-    hashes = Prefix(byte_hashes[np.frombuffer(joined, dtype=np.uint8)]).of(begins, ends) if every else np.zeros(0, dtype=U)
-    return Units(hashes, at, lambda b, e: joined[begins[b] : ends[e - 1]])
+    """Words between bytes of \\x20 and \\x09 to \\x0D; packed with one space between them."""
+    joined, offset, parts = b"\n".join(texts), 0, []
+    for piece in _pieces(texts):
+        n = sum(map(len, piece)) + len(piece)
+        raw = np.frombuffer(joined, dtype=np.uint8, count=max(min(n, len(joined) - offset), 0), offset=min(offset, len(joined)))
+        edges = np.diff(np.concatenate([[True], _is_space[raw], [True]]).astype(np.int8))
+        begins, ends = np.flatnonzero(edges == -1), np.flatnonzero(edges == 1)
+        hashes = Prefix(byte_hashes[raw]).of(begins, ends) if len(begins) else np.zeros(0, dtype=U)
+        parts.append((hashes, begins + offset, ends + offset))
+        offset += n
+    hashes, begins, ends = (np.concatenate(x) for x in zip(*parts, strict=True))
+    sizes = np.array([len(t) for t in texts], dtype=np.int64)
+    at = np.concatenate([[0], np.searchsorted(begins, np.cumsum(sizes + 1) - 1)]).astype(np.int64)
+    return Units(hashes, at, lambda b, e: b" ".join(joined[begins[b] : ends[e - 1]].split()))
 
 
 def cut(units: Units, span: int, gram: int) -> tuple[np.ndarray, ...]:
