@@ -73,6 +73,12 @@ def gains(means: DataFrame) -> DataFrame:
     return means.withColumns({"gain_ms": gain_ms(F.col("full_ms"), F.col("incr_ms")), "gain_pct": gain_pct(F.col("full_ms"), F.col("incr_ms"))})
 
 
+def restricted(graph: LabeledGraph, u: GraphUpdate) -> GraphUpdate:
+    """An update without the labels that a graph's views never read."""
+    own = graph.labels()
+    return GraphUpdate(*({s: d for s, d in part.items() if s[0] in own} for part in (u.plus, u.minus)))
+
+
 def claim_positive(means: DataFrame) -> DataFrame:
     return gains(means).agg(F.bool_and(F.col("gain_ms") > 0).alias("always_positive"))
 

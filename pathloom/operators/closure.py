@@ -9,11 +9,13 @@ from __future__ import annotations
 from functools import reduce
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
-from ..sources.staging import Stage
+from ..sources.staging import KEPT_BYTES, KEPT_ROWS, Stage, estimated_bytes
 
+PAIRS = StructType([StructField("src", LongType()), StructField("dst", LongType())])
 METHODS = ("auto", "naive", "frontier", "doubling", "components", "local", "sql")
 
 #: Edges that the driver closes at most, and pairs that it holds at most, intermediate ones included.
@@ -33,16 +35,18 @@ def union(*parts: DataFrame) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
 
-def collected(pairs: DataFrame) -> np.ndarray:
-    """Pairs as an array of two rows; for tables of a checked size."""
-    table = pairs.select("src", "dst").toArrow()
-    return np.stack([table.column(c).to_numpy() for c in ("src", "dst")]).astype(np.int64)
+def collected(pairs: DataFrame) -> np.ndarray | None:
+    """Pairs as an array of two rows; None if they are more than SMALL_EDGES."""
+    table = pairs.select("src", "dst").limit(SMALL_EDGES + 1).toArrow()
+    return np.stack([table.column(c).to_numpy() for c in ("src", "dst")]).astype(np.int64) if table.num_rows <= SMALL_EDGES else None
 
 
-def table_of(spark: SparkSession, pairs: np.ndarray) -> DataFrame:
+def table_of(stage: Stage, pairs: np.ndarray) -> DataFrame:
+    """Pairs of the driver as a table of the stage, written if they are many."""
     import pyarrow as pa
 
-    return spark.createDataFrame(pa.table({"src": pairs[0], "dst": pairs[1]}), "src long, dst long")
+    out, n = stage.local(pa.table({"src": pairs[0], "dst": pairs[1]}), PAIRS)
+    return out if n <= KEPT_ROWS else stage.put(out.select("src", "dst"))[0]
 
 
 class PairSet:
@@ -84,14 +88,16 @@ class PairSet:
         return every
 
 
-def _small(edges: DataFrame, n: int) -> DataFrame | None:
-    """The closure of n edges by the driver, if that is small enough."""
-    if n > SMALL_EDGES:
+def _small(edges: DataFrame, stage: Stage) -> DataFrame | None:
+    """The closure of edges by the driver, if they are few enough and what they come from is small."""
+    if estimated_bytes(edges) > KEPT_BYTES:
         return None
     pairs = collected(edges)
+    if pairs is None:
+        return None
     own = PairSet(np.unique(pairs))
     out = own.closed(own.codes(pairs))
-    return None if out is None else table_of(edges.sparkSession, own.pairs(out))
+    return None if out is None else table_of(stage, own.pairs(out))
 
 
 def closure(edges: DataFrame, method: str = "auto", sources: DataFrame | None = None, targets: DataFrame | None = None, stage: Stage | None = None, max_pairs: int | None = None) -> DataFrame:
@@ -105,18 +111,18 @@ def closure(edges: DataFrame, method: str = "auto", sources: DataFrame | None =
     if targets is not None:
         flipped = closure(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")), method, targets, sources, stage, max_pairs)
         return flipped.select(F.col("dst").alias("src"), F.col("src").alias("dst"))
-    edges, n = stage.put(edges.select("src", "dst").distinct())
+    edges = edges.select("src", "dst").distinct()
+    if method == "auto":
+        if sources is None and (out := _small(edges, stage)) is not None:
+            _check(stage.put(out)[1], max_pairs)
+            return out
+        method = "doubling"
+    edges, n = stage.put(edges)
     if n == 0:
         return edges
     if sources is not None:
         seed = edges.join(sources.select(F.col("id").alias("src")).distinct(), "src", "left_semi").select("src", "dst")
         return _frontier(edges, seed, stage, max_pairs)
-    if method == "auto":
-        if (out := _small(edges, n)) is not None:
-            out, total = stage.put(out)
-            _check(total, max_pairs)
-            return out
-        method = "doubling"
     return {"naive": _naive, "frontier": lambda e, s, m: _frontier(e, e, s, m), "doubling": _doubling, "components": _components, "local": _local, "sql": _sql}[method](edges, stage, max_pairs)
 
 
@@ -257,9 +263,10 @@ def _sql(edges: DataFrame, stage: Stage, most: int | None) -> DataFrame:
 def mutual(edges: DataFrame, stage: Stage | None = None) -> DataFrame:
     """Pairs that reach each other: those inside a strong component that has an edge. The closure is not built."""
     stage = stage or Stage(edges.sparkSession, "mutual")
-    edges, n = stage.put(edges.select("src", "dst").distinct())
-    if n <= SMALL_EDGES and (small := _small(edges, n)) is not None:
+    edges = edges.select("src", "dst").distinct()
+    if (small := _small(edges, stage)) is not None:
         return small.intersect(small.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
+    edges, _ = stage.put(edges)
     owner, _ = stage.put(strong_components(edges, stage))
     sizes = owner.groupBy("component").agg(F.count("*").alias("n"))
     loops = edges.where("src = dst").select(F.col("src").alias("id"))
@@ -304,8 +311,8 @@ def closure_change(old_edges: DataFrame, old_closure: DataFrame, plus: DataFrame
         out = stage.put(minus(after, before))[0], stage.put(minus(before, after))[0]
         stage.drop(touched, after)
         return out
-    if size is not None and size <= SMALL_EDGES and (out := _small_change(old_closure, plus)) is not None:
-        return stage.put(minus(out, old_closure))[0], None
+    if size is not None and size <= SMALL_EDGES and (out := _small_change(old_closure, plus, stage)) is not None:
+        return stage.keep(minus(out, old_closure), stage.put(out)[1] <= KEPT_ROWS)[0], None
     before_or_self = lambda d: union(d, compose(old_closure, d))
     after_or_self = lambda d: union(d, compose(d, old_closure))
     step, _ = stage.put(after_or_self(plus).distinct())  # a new edge, then old ones
@@ -320,26 +327,22 @@ def closure_change(old_edges: DataFrame, old_closure: DataFrame, plus: DataFrame
     return out, None
 
 
-def _small_change(old_closure: DataFrame, plus: DataFrame) -> DataFrame | None:
+def _small_change(old_closure: DataFrame, plus: DataFrame, stage: Stage) -> DataFrame | None:
     """Pairs that few new edges give, some of which may be old, if the driver can hold all that the old closure adds to
     the edges' ends; None otherwise."""
-    pairs = collected(plus)
-    if not pairs.size:
-        return plus
-    ends = lambda k, name: table_of(plus.sparkSession, np.stack([np.unique(pairs[k])] * 2)).select(F.col("src").alias(name))
     near = union(
-        old_closure.join(F.broadcast(ends(0, "dst")), "dst", "left_semi").select("src", "dst", F.lit(0).alias("side")),
-        old_closure.join(F.broadcast(ends(1, "src")), "src", "left_semi").select("src", "dst", F.lit(1).alias("side")),
+        plus.select("src", "dst", F.lit(0).alias("side")),
+        old_closure.join(F.broadcast(plus.select(F.col("src").alias("dst")).distinct()), "dst", "left_semi").select("src", "dst", F.lit(1).alias("side")),
+        old_closure.join(F.broadcast(plus.select(F.col("dst").alias("src")).distinct()), "src", "left_semi").select("src", "dst", F.lit(2).alias("side")),
     ).limit(SMALL_PAIRS + 1).toArrow()
     if near.num_rows > SMALL_PAIRS:
         return None
     src, dst, side = (near.column(c).to_numpy() for c in ("src", "dst", "side"))
-    own = PairSet(np.unique(np.concatenate([pairs.ravel(), src, dst])))
-    into, out = (own.codes(np.stack([src[side == k], dst[side == k]])) for k in (0, 1))
-    new = own.codes(pairs)
+    own = PairSet(np.unique(np.concatenate([src, dst])))
+    new, into, out = (own.codes(np.stack([src[side == k], dst[side == k]])) for k in range(3))
     for compose in (lambda x: own.compose(into, x), lambda x: own.compose(x, out)):
         if (more := compose(new)) is None:
             return None
         new = np.union1d(new, more)
     new = own.closed(new)
-    return None if new is None else table_of(plus.sparkSession, own.pairs(new))
+    return None if new is None else table_of(stage, own.pairs(new))

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.rules import DELTA, NEW, NODES, Clause, Conj, Const, Eq, Lit, Program, Rel, RuleError, Var, choose_step, grounded, grounded_clause, grounded_program, mask_grid, prune_grid, slice_labels, stratify, symbols_of
-from ..sources.staging import Stage, file_system
+from ..sources.staging import KEPT_ROWS, Stage, file_system
 from .closure import closure, closure_change, minus, mutual, union
 
 Symbol = tuple[str, bool]
@@ -388,16 +388,23 @@ def _put_closure(u: GraphUpdate, graph: LabeledGraph, label: str, stage: Stage,
     _put(u, (label, True), plus, gone, stage)
 
 
-def _put(u: GraphUpdate, s: Symbol, plus: DataFrame | None, gone: DataFrame | None, stage: Stage) -> None:
+def _put(u: GraphUpdate, s: Symbol, plus: DataFrame | None, gone: DataFrame | None, stage: Stage, small: bool = False) -> None:
     for table, part in ((u.plus, plus), (u.minus, gone)):
         if part is not None:
-            part, n = (part, part.count()) if id(part) in stage.paths else stage.put(part)
+            part, n = stage.keep(part, small)
             if n:
                 table[s] = part
                 if table is u.plus:
                     u.sizes[s] = n
 
 
+def _is_small(graph: LabeledGraph, u: GraphUpdate, clause: Clause, label: str) -> bool:
+    """Whether all that a clause step reads is known to be small."""
+    used = {lit.symbol for b in clause.bodies for lit in b} - {None} | {(label, False)}
+    known = lambda s: s not in graph.relations and (s[0], False) not in graph.relations or graph.sizes.get(s, KEPT_ROWS + 1) <= KEPT_ROWS
+    return all(known(s) and (s not in u.plus or u.sizes.get(s, KEPT_ROWS + 1) <= KEPT_ROWS) for s in used)
+
+
 def run_pass(program: Program, graph: LabeledGraph, trusted: Iterable[str], u: GraphUpdate, todo: list[str] | None = None, factoring: str = "old_prefix", policy: str = "paper", stage: Stage | None = None, steps: list | None = None, after=None) -> GraphUpdate:
     """The update of all labels of todo, in order, after an update of base labels.
 
@@ -430,7 +437,7 @@ def run_pass(program: Program, graph: LabeledGraph, trusted: Iterable[str], u: G
             else:
                 target, _ = stage.put(derive(clause, apply_update(graph, u)))
                 plus, gone = diff_as_update(current, target)
-            _put(u, (label, False), plus, gone, stage)
+            _put(u, (label, False), plus, gone, stage, _is_small(graph, u, clause, label))
             if label in closed and (label, False) in u.changed():
                 _put_closure(u, graph, label, stage, policy)
         done.add(label)

@@ -130,11 +130,15 @@ def range_join(s, d):
 
 @op("asof", "SELECT e.event_id, (SELECT max(b.event_id) FROM events AS b WHERE b.user_id = e.user_id AND b.event_type = 'signup' AND b.ts = (SELECT max(c.ts) FROM events AS c WHERE c.user_id = e.user_id AND c.event_type = 'signup' AND c.ts <= e.ts)) AS signup FROM events AS e WHERE e.event_type = 'purchase'")
 def asof(s, d):
-    """Each purchase with the user's latest sign-up until then, in one window over both."""
-    e = tab(s, d, "events").where("event_type IN ('purchase', 'signup')")
+    """Each purchase with the user's latest sign-up until then: one of the same day, or the last of an earlier day, which a
+    row for each user and day carries on, so that no user's events are one task's."""
+    e = tab(s, d, "events").where("event_type IN ('purchase', 'signup')").withColumn("day", F.to_date("ts"))
     up = F.when(F.col("event_type") == "signup", F.struct("ts", "event_id"))
-    w = W.partitionBy("user_id").orderBy("ts").rangeBetween(W.unboundedPreceding, 0)
-    return e.withColumn("last", F.max(up).over(w)).where("event_type = 'purchase'").select("event_id", F.col("last.event_id").alias("signup"))
+    days = e.groupBy("user_id", "day").agg(F.max(up).alias("last"))
+    before = days.select("user_id", "day", F.max("last").over(W.partitionBy("user_id").orderBy("day").rowsBetween(W.unboundedPreceding, -1)).alias("before"))
+    w = W.partitionBy("user_id", "day").orderBy("ts").rangeBetween(W.unboundedPreceding, 0)
+    rows = e.withColumn("last", F.max(up).over(w)).where("event_type = 'purchase'").join(before, ["user_id", "day"])
+    return rows.select("event_id", F.coalesce("last.event_id", "before.event_id").alias("signup"))
 
 
 op("label_counts", f"SELECT 'transfer' AS label, count(*) AS n FROM {T} UNION ALL SELECT 'connected', count(*) FROM {C}")(

@@ -108,7 +108,11 @@ def activity_sql(dialect: str = SPARK) -> dict[str, str]:
     out["doc_quality"] = pair("doc", "doc_id", "class", "100 + quality", "labels WHERE quality IS NOT NULL")
     out["doc_toxic"] = pair("doc", "doc_id", "class", "200 + toxic", "labels WHERE toxic IS NOT NULL")
     sha = "sha2(text, 256)" if dialect == SPARK else "sha256(text)"
-    out["doc_copy"] = f"SELECT {node('doc', 'doc_id')} AS src, {node('doc', 'b')} AS dst FROM (SELECT doc_id, lead(doc_id) OVER (PARTITION BY {sha} ORDER BY doc_id) AS b FROM documents WHERE text IS NOT NULL) AS c WHERE b IS NOT NULL AND doc_id <> b"
+    # A document's next copy: in its stretch of ids, or the first one of the next stretch, so that no text is one task's.
+    d = f"(SELECT DISTINCT {sha} AS h, doc_id, CAST(floor(doc_id / 4096) AS BIGINT) AS k FROM documents WHERE text IS NOT NULL AND doc_id IS NOT NULL)"
+    near = f"(SELECT h, k, doc_id, lead(doc_id) OVER (PARTITION BY h, k ORDER BY doc_id) AS b FROM {d} AS d)"
+    far = f"(SELECT h AS h2, k AS k2, lead(first) OVER (PARTITION BY h ORDER BY k) AS c FROM (SELECT h, k, min(doc_id) AS first FROM {d} AS d GROUP BY h, k) AS m)"
+    out["doc_copy"] = f"SELECT {node('doc', 'doc_id')} AS src, {node('doc', 'coalesce(b, c)')} AS dst FROM {near} AS n JOIN {far} AS f ON h = h2 AND k = k2 WHERE coalesce(b, c) IS NOT NULL"
     host = found("url", "//([^/]*)/", dialect)
     out["page_host"] = pair("page", "page_id", "host", hashed(host, dialect), f"pages WHERE {host} IS NOT NULL")
     links = "explode(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1))" if dialect == SPARK else "unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1))"

@@ -29,29 +29,59 @@ def file_system(spark: SparkSession, path: str):
     return p, p.getFileSystem(spark._jsc.hadoopConfiguration())
 
 
+#: Tables of at most this many rows, and made from inputs of about this many bytes at most, may be kept on the driver.
+KEPT_ROWS, KEPT_BYTES = 100_000, 64_000_000
+
+
+def estimated_bytes(df: DataFrame) -> int:
+    """What the optimizer takes for a plan's output: the bytes of its files, multiplied by joins."""
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+
+
 class Stage:
     """Tables of one computation. What no later plan reads can be dropped, or all but some tables at its end."""
 
     def __init__(self, spark: SparkSession, name: str = "pass"):
         self.spark, self.root, self.n = spark, f"{shared_folder(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}", 0
-        self.paths: dict[int, tuple[DataFrame, str]] = {}
+        self.paths: dict[int, tuple[DataFrame, str | None, int]] = {}
 
     def put(self, df: DataFrame) -> tuple[DataFrame, int]:
-        """The written table and its number of rows (from the footers)."""
+        """The written table and its number of rows (from the footers); what this stage made already stays as it is."""
+        if id(df) in self.paths:
+            return df, self.paths[id(df)][2]
         self.n += 1
         path = f"{self.root}/{self.n}"
         df.write.parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
-        self.paths[id(out)] = out, path
-        return out, out.count()
+        n = out.count()
+        self.paths[id(out)] = out, path, n
+        return out, n
+
+    def keep(self, df: DataFrame, small: bool = False) -> tuple[DataFrame, int]:
+        """As put(), but of a table that is small (the caller says that its inputs are), the rows themselves, in one job.
+
+        A table that turns out larger than KEPT_ROWS is written all the same.
+        """
+        if small and id(df) not in self.paths:
+            rows = df.limit(KEPT_ROWS + 1).toArrow()
+            if rows.num_rows <= KEPT_ROWS:
+                return self.local(rows, df.schema)
+        return self.put(df)
+
+    def local(self, rows, schema) -> tuple[DataFrame, int]:
+        """An Arrow table of few rows as a table of this stage."""
+        out = self.spark.createDataFrame(rows, schema)
+        self.paths[id(out)] = out, None, rows.num_rows
+        return out, rows.num_rows
 
     def drop(self, *tables: DataFrame) -> None:
         """Remove tables of this stage; other tables are left alone."""
         for t in tables:
-            if kept := self.paths.pop(id(t), None):
+            kept = self.paths.pop(id(t), None)
+            if kept and kept[1]:
                 p, fs = file_system(self.spark, kept[1])
                 fs.delete(p, True)
 
     def clear(self, keep: tuple[DataFrame, ...] = ()) -> None:
         """Remove all tables that were put but those to keep."""
-        self.drop(*(t for k, (t, _) in list(self.paths.items()) if k not in set(map(id, keep))))
+        self.drop(*(t for k, (t, *_) in list(self.paths.items()) if k not in set(map(id, keep))))
