@@ -101,6 +101,51 @@ class Scratch:
             fs.delete(p, True)
 
 
+def release_memory() -> None:
+    """Give freed memory back to the system: Python workers stay for later tasks and would keep what one has needed."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
+def freeing(run):
+    """A function of record batches that gives freed memory back when a task is done."""
+
+    def out(batches):
+        yield from run(batches)
+        release_memory()
+
+    return out
+
+
+def freeing_group(run):
+    """The same for a function of one group's table."""
+
+    def out(table):
+        done = run(table)
+        release_memory()
+        return done
+
+    return out
+
+
+def freeing_groups(run):
+    """The same for a function of two cogrouped tables."""
+
+    def out(left, right):
+        done = run(left, right)
+        release_memory()
+        return done
+
+    return out
+
+
 def text_chunks(batches, column: str = "text", most: int = 4_000_000):
     """Slices of Arrow batches with at most about `most` bytes of text each (one row at least)."""
     import pyarrow.compute as pc

@@ -1,11 +1,12 @@
-"""Near-dedup by the Jaccard similarity of whole shingle sets, exactly.
+"""Near-dedup by SimHash of documents whose sets of word shingles have 4/5 of their union in common.
 
-Sets that have 4/5 of their union in common share a shingle among the first fifth of each, in any order of all shingles
-that both follow. Those prefixes meet in buckets; what meets there is compared by its whole sets. Shingles that are
-frequent in a sample come last in the order, which keeps buckets small and changes no result.
+At that similarity a fingerprint of 5-word shingles differs in about a seventh of its bits, too many for anchors to cover.
+A changed word touches five of these shingles but two pairs of words, so the fingerprints that meet at anchors are those of
+pairs of words: SKETCHES of 64 bits each, every block of which brings documents together that differ in one of its bits at
+most. What meets is compared by 128 bits of fingerprint of the 5-word shingles, with room for their spread, and each link
+is then decided by the whole sets.
 
-Large buckets are compared with one member at a time first; only what the links found so far leave apart is then
-compared in pairs. Shingles and sets are known by 64-bit hashes.
+Shingles and sets are known by 64-bit hashes.
 """
 
 from __future__ import annotations
@@ -14,36 +15,58 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, text_chunks
+from .common import Scratch, freeing, text_chunks
 from .components import components
-from .simhash import U, _lower
+from .segments import Prefix, mix, word_units
+from .simhash import U, _lower, linked
 
 #: The least similarity, SHARE[0] / SHARE[1].
 SHARE = (4, 5)
-#: Buckets of up to so many sets are compared in pairs at once; larger ones have STARS rounds of one against all before.
-SMALL, STARS = 32, 2
-#: Documents whose shingles are counted for the order, and how often a shingle is in them to come last.
-SAMPLE, FREQUENT = 10_000, 10
-#: Slots that hashes of candidates fall in; only texts in one of them send their sets on.
+#: Fingerprints of pairs of words that meet at anchors, and of shingles that are compared, 64 bits each.
+SKETCHES, PRINTS = 2, 2
+#: Differing bits of 128: documents at the least similarity differ in 19 +- 4, others in 64 +- 6. Large groups are first linked
+#: by the smaller number, which few pairs below the similarity have.
+NEAR, WIDE = 20, 32
+#: Slots that hashes of linked sets fall in; only texts in one of them send their sets on.
 SLOTS = 1 << 20
 
 
-def shingle_set(text: bytes, shingle: int) -> np.ndarray:
-    """Sorted hashes of the distinct shingles of a text; a text of fewer words is a shingle as a whole."""
-    import xxhash
-
-    ws = text.translate(_lower).split()
-    joined, digest = b" ".join(ws), xxhash.xxh64_intdigest
-    if len(ws) <= shingle:
-        return np.array([digest(joined, 42)], dtype=U)
-    begins = np.concatenate([[0], np.cumsum(np.fromiter(map(len, ws), dtype=np.int64, count=len(ws)) + 1)])
-    return np.unique(np.array([digest(joined[b:e], 42) for b, e in zip(begins[:-shingle].tolist(), (begins[shingle:] - 1).tolist(), strict=True)], dtype=U))
-
-
-def set_id(own: np.ndarray) -> int:
-    import xxhash
-
-    return int(np.array([xxhash.xxh64_intdigest(own.tobytes(), 7)], dtype=U).view(np.int64)[0])
+def shingle_sets(texts: list[bytes], shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """(hashes of the distinct shingles of each text, sorted text by text; where each text's begin). A text of fewer words
+    is a shingle as a whole."""
+    units = word_units([t.translate(_lower) for t in texts])
+    prefix, n = Prefix(units.hashes), np.diff(units.at)
+    width = np.minimum(n, shingle)
+    count = n - width + 1
+    doc = np.repeat(np.arange(len(texts)), count)
+    begin = np.arange(len(doc)) - np.repeat(np.cumsum(count) - count, count) + units.at[doc]
+    hashes = prefix.of(begin, begin + width[doc]) if len(units.hashes) else np.zeros(len(doc), dtype=U)
+    order = np.argsort(hashes)
+    order = order[np.argsort(doc[order].astype(np.min_scalar_type(len(texts))), kind="stable")]
+    hashes, doc = hashes[order], doc[order]
+    new = np.concatenate([[True], (hashes[1:] != hashes[:-1]) | (doc[1:] != doc[:-1])]) if len(doc) else np.zeros(0, dtype=bool)
+    return hashes[new], np.searchsorted(doc[new], np.arange(len(texts) + 1))
+
+
+def prints(hashes: np.ndarray, at: np.ndarray, n: int) -> list[np.ndarray]:
+    """n fingerprints of 64 bits for each text of sets of hashes: a bit is 1 if set in over half of them."""
+    sizes, out = np.diff(at), []
+    for k in range(n):
+        bits = np.zeros((len(sizes), 64), dtype=np.int64)
+        own = mix(hashes + U((k + 1) * 0x9E3779B97F4A7C15 % (1 << 64)))
+        step = 1 << 17
+        for i in range(0, len(own), step):  # the texts that a stretch of hashes belongs to
+            first, last = np.searchsorted(at, i, side="right") - 1, np.searchsorted(at, min(i + step, len(own)), side="left")
+            begins = np.maximum(at[first:last], i) - i
+            bits[first:last] += np.add.reduceat(np.unpackbits(own[i : i + step].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little"), begins, axis=0, dtype=np.int32)
+        out.append(np.packbits(2 * bits > sizes[:, None], axis=1, bitorder="little").view(U).ravel())
+    return out
+
+
+def set_ids(hashes: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """A hash of each set."""
+    sums = np.add.reduceat(mix(hashes ^ U(0xA0761D6478BD642F)), at[:-1]) if len(at) > 1 else np.zeros(0, dtype=U)
+    return mix(sums + np.diff(at).astype(U)).view(np.int64)
 
 
 def alike(a: np.ndarray, b: np.ndarray) -> bool:
@@ -55,79 +78,45 @@ def alike(a: np.ndarray, b: np.ndarray) -> bool:
     return SHARE[1] * both >= SHARE[0] * (len(a) + len(b) - both)
 
 
-def prefix(own: np.ndarray, last: np.ndarray) -> np.ndarray:
-    """The first shingles of a set, of which it shares one at least with each set alike; those of `last` come last."""
-    n = len(own) - -(-SHARE[0] * len(own) // SHARE[1]) + 1
-    late = np.isin(own, last)
-    return np.concatenate([own[~late], own[late]])[:n]
-
-
 def _over(docs: DataFrame, schema: str, make) -> DataFrame:
-    """make(list of (doc_id, text as bytes)) of chunks of docs, as columns."""
+    """make(doc_ids, texts as bytes) of chunks of docs: a record batch or None."""
 
     def run(batches):
         import pyarrow as pa
 
-        for batch in text_chunks(batches):
-            rows = [(d, (t or "").encode()) for d, t in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), strict=True)]
-            columns = make(rows)
-            if columns:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for _, c, t in columns], names=[n for n, _, _ in columns])
+        for batch in text_chunks(batches, most=2_000_000):
+            out = make(batch.column("doc_id"), [t or b"" for t in batch.column("text").cast(pa.binary()).to_pylist()])
+            if out is not None:
+                yield out
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(freeing(run), schema)
 
 
-def _long():
-    import pyarrow as pa
+SKETCH, PRINT = [f"s{k}" for k in range(SKETCHES)], [f"p{k}" for k in range(PRINTS)]
 
-    return pa.int64()
 
+def _fingerprints(shingle: int):
+    def make(doc_ids, texts):
+        import pyarrow as pa
 
-def _pairs(ids: np.ndarray, sizes: np.ndarray, roots: np.ndarray | None):
-    """Pairs of members whose sizes allow them to be alike and whose roots differ."""
-    order = np.argsort(sizes, kind="stable")
-    ids, sizes = ids[order], sizes[order]
-    roots = None if roots is None else roots[order]
-    # Sizes that a set can be alike with end where SHARE[0] / SHARE[1] of them is more than its own.
-    ends = np.searchsorted(SHARE[0] * sizes, SHARE[1] * sizes, side="right")
-    for i, e in enumerate(ends.tolist()):
-        b = ids[i + 1 : e] if roots is None else ids[i + 1 : e][roots[i + 1 : e] != roots[i]]
-        if len(b):
-            yield np.full(len(b), ids[i]), b
+        own, pairs = shingle_sets(texts, shingle), shingle_sets(texts, 2)
+        words = [pa.array(x.view(np.int64)) for x in (*prints(*pairs, SKETCHES), *prints(*own, PRINTS))]
+        return pa.RecordBatch.from_arrays([doc_ids, pa.array(set_ids(*own)), *words], names=["doc_id", "sid", *SKETCH, *PRINT])
 
+    return make
 
-def _candidates(turn: int):
-    """Pairs of buckets (ids, sizes, roots): in turn 0, all of small ones; one against all of large ones, up to STARS; then all."""
 
-    def run(batches):
+def _sets(shingle: int, wanted: np.ndarray):
+    def make(doc_ids, texts):
         import pyarrow as pa
 
-        def out(a, b):
-            pairs = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0)
-            return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
-
-        for batch in batches:
-            held, n = [], 0
-            for members in batch.column("members").to_pylist():
-                ids, sizes, roots = (np.array([m[k] for m in members], dtype=np.int64) for k in ("sid", "n", "root"))
-                if len(ids) <= SMALL:
-                    found = _pairs(ids, sizes, None) if turn == 0 else ()
-                elif turn < STARS:
-                    hub = int(np.argmin(ids.view(U) * U(2 * turn + 0x9E3779B97F4A7C15)))
-                    fits = (roots != roots[hub] if turn else ids != ids[hub]) & (SHARE[1] * np.minimum(sizes, sizes[hub]) >= SHARE[0] * np.maximum(sizes, sizes[hub]))
-                    found = [(np.full(int(fits.sum()), ids[hub]), ids[fits])]
-                else:
-                    found = _pairs(ids, sizes, roots)
-                for pair in found:
-                    held.append(pair)
-                    n += len(pair[0])
-                    if n > 500_000:
-                        yield out(*(np.concatenate(x) for x in zip(*held, strict=True)))
-                        held, n = [], 0
-            if held:
-                yield out(*(np.concatenate(x) for x in zip(*held, strict=True)))
-
-    return run
+        hashes, at = shingle_sets(texts, shingle)
+        ids = set_ids(hashes, at)
+        _, first = np.unique(ids, return_index=True)
+        first = first[wanted[ids[first] % len(wanted)]]
+        return pa.RecordBatch.from_arrays([pa.array(ids[first]), pa.array([hashes[at[k] : at[k + 1]].tobytes() for k in first.tolist()], pa.binary())], names=["sid", "own"]) if len(first) else None
+
+    return make
 
 
 def _verified(batches):
@@ -148,76 +137,30 @@ def similar_components(docs: DataFrame, shingle: int = 5) -> DataFrame:
     spark = docs.sparkSession
     scratch = Scratch(spark, "similar")
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-
-    def identified(rows):
-        own = [shingle_set(t, shingle) for _, t in rows]
-        return [("doc_id", [d for d, _ in rows], _long()), ("sid", list(map(set_id, own)), _long())]
-
-    def counted(rows):
-        words, n = np.unique(np.concatenate([shingle_set(t, shingle) for _, t in rows]), return_counts=True)
-        return [("w", words.view(np.int64), _long()), ("n", n.astype(np.int64), _long())]
-
-    ids = scratch.stage(_over(docs, "doc_id long, sid long", identified), "ids")
-    total = ids.count()
-    few = docs if total <= SAMPLE else docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int(SAMPLE / total * (1 << 30)))
-    frequent = _over(few, "w long, n long", counted).groupBy("w").agg(F.sum("n").alias("n")).where(F.col("n") >= FREQUENT).orderBy(F.desc("n"), "w").limit(200_000)
-    last = np.array([r["w"] for r in frequent.select("w").toLocalIterator()], dtype=np.int64).view(U)
-
-    def keyed(rows):
-        seen, keys, sids, sizes = set(), [], [], []
-        for _, t in rows:
-            own = shingle_set(t, shingle)
-            if (sid := set_id(own)) not in seen:
-                seen.add(sid)
-                first = prefix(own, last)
-                keys.append(first)
-                sids += [sid] * len(first)
-                sizes += [len(own)] * len(first)
-        return [("w", np.concatenate(keys).view(np.int64), _long()), ("sid", sids, _long()), ("n", sizes, _long())]
-
-    met = _over(docs, "w long, sid long, n long", keyed).groupBy("w").agg(F.collect_set(F.struct("sid", "n")).alias("members"))
-    buckets = scratch.stage(met.where(F.size("members") > 1).select(F.sort_array("members").alias("members")).distinct(), "buckets")
-    links, roots = None, None
-    large = buckets.where(F.size("members") > SMALL)
-    for turn in range(STARS + 1 if large.limit(1).count() else 1):
-        if turn == 0:
-            now = buckets.select(F.transform("members", lambda m: F.struct(m["sid"].alias("sid"), m["n"].alias("n"), m["sid"].alias("root"))).alias("members"))
-        else:
-            # What a bucket's members are linked to by now.
-            each = large.select(F.xxhash64("members").alias("bucket"), F.explode("members").alias("m")).select("bucket", "m.sid", "m.n")
-            each = each.join(roots, each["sid"] == roots["node"], "left").select("bucket", F.struct("sid", "n", F.coalesce("root", "sid").alias("root")).alias("m"))
-            now = each.groupBy("bucket").agg(F.collect_list("m").alias("members"), F.countDistinct("m.root").alias("apart")).where("apart > 1").select("members")
-        pairs = scratch.stage(now.mapInArrow(_candidates(turn), "a long, b long").distinct(), f"pairs{turn}")
-        wanted = np.zeros(SLOTS, dtype=bool)
-        slot = lambda c: F.pmod(F.col(c), F.lit(SLOTS)).alias("slot")
-        wanted[[r["slot"] for r in pairs.select(slot("a")).union(pairs.select(slot("b"))).distinct().collect()]] = True
-
-        def asked(rows, wanted=wanted):
-            own = {set_id(s): s for s in (shingle_set(t, shingle) for _, t in rows)}
-            own = {k: s.tobytes() for k, s in own.items() if wanted[k % SLOTS]}
-            return [("sid", list(own), _long()), ("own", list(own.values()), None)] if own else None
-
-        if not wanted.any():
-            found = pairs
-        else:
-            sets = scratch.stage(_over(docs, "sid long, own binary", asked).dropDuplicates(["sid"]), f"sets{turn}")
-            both = pairs.join(sets.select(F.col("sid").alias("a"), F.col("own").alias("sa")), "a").join(sets.select(F.col("sid").alias("b"), F.col("own").alias("sb")), "b")
-            found = scratch.stage(both.select("a", "b", "sa", "sb").mapInArrow(_verified, "a long, b long"), f"links{turn}")
-            scratch.drop(f"sets{turn}")
-            scratch.drop(f"pairs{turn}")
-        links = found if links is None else links.unionByName(found)
-        roots = components(links, scratch, f"star{turn}_")
-    firsts = ids.groupBy("sid").agg(F.min("doc_id").alias("first"))
-    classes = firsts.join(roots, firsts["sid"] == roots["node"], "left").select("sid", F.coalesce("root", "sid").alias("root"), "first")
+    words = ", ".join(f"{c} long" for c in (*SKETCH, *PRINT))
+    ids = scratch.stage(_over(docs, f"doc_id long, sid long, {words}", _fingerprints(shingle)), "ids")
+    kinds = scratch.stage(ids.groupBy("sid").agg(F.min("doc_id").alias("first"), *(F.min(c).alias(c) for c in (*SKETCH, *PRINT))), "kinds")
+    met = scratch.stage(linked(kinds.select("sid", *SKETCH, *PRINT), kinds.count(), "sid", SKETCH, PRINT, (NEAR, WIDE)), "met")
+    wanted = np.zeros(SLOTS, dtype=bool)
+    slot = lambda c: F.pmod(F.col(c), F.lit(SLOTS)).alias("slot")
+    wanted[[r["slot"] for r in met.select(slot("a")).union(met.select(slot("b"))).distinct().collect()]] = True  # SLOTS rows at most
+    sets = scratch.stage(_over(docs, "sid long, own binary", _sets(shingle, wanted)).dropDuplicates(["sid"]), "sets")
+    both = met.join(sets.select(F.col("sid").alias("a"), F.col("own").alias("sa")), "a").join(sets.select(F.col("sid").alias("b"), F.col("own").alias("sb")), "b")
+    links = scratch.stage(both.select("a", "b", "sa", "sb").mapInArrow(freeing(_verified), "a long, b long"), "links")
+    scratch.drop("sets")
+    scratch.drop("met")
+    roots = components(links, scratch)
+    classes = kinds.join(roots, kinds["sid"] == roots["node"], "left").select("sid", F.coalesce("root", "sid").alias("root"), "first")
     least = classes.groupBy("root").agg(F.min("first").alias("component_id"))
-    return ids.join(classes.select("sid", "root").join(least, "root").select("sid", "component_id"), "sid").select("doc_id", "component_id")
+    return ids.select("doc_id", "sid").join(classes.select("sid", "root").join(least, "root").select("sid", "component_id"), "sid").select("doc_id", "component_id")
 
 
 def similar_dedup(docs: DataFrame, shingle: int = 5) -> DataFrame:
     """The rows of docs with one document for each component, that of the smallest doc_id; its repeated rows stay.
 
-    Rows without doc_id stay, all of them, where one of them has no other document in its component.
+    Rows without doc_id stay, all of them, where one of them has no other document in its component. Columns of docs may
+    have any names.
     """
     found = similar_components(docs, shingle)
-    kept = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_kept")).distinct()
-    return docs.join(kept, docs["doc_id"].eqNullSafe(F.col("_kept")), "left_semi")
+    kept = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
+    return docs.alias("d").join(kept.alias("k"), F.col("d.doc_id").eqNullSafe(F.col("k.doc_id")), "left_semi")
