@@ -15,14 +15,13 @@ def _quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def _lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts lose their frequent lines; a document is left only if no line is. n_chars follows the text."""
-    gone = line_dedup.dropped_lines(docs).withColumnRenamed("doc_id", "_doc").withColumnRenamed("gone", "_gone")
-    out = docs.join(gone, docs["doc_id"] == F.col("_doc"), "left")
-    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(line_dedup.without(F.col("text"), F.col("_gone")))
-    out = out.withColumn("text", text).where(F.col("_gone").isNull() | (F.length("text") > 0))
+    """Texts lose their frequent lines; a document that loses all its text goes. n_chars follows the text."""
+    out = line_dedup.deduped(docs).where((F.size("kept") == F.size("lines")) | (F.array_join("kept", "\n") != ""))
+    text = F.when(F.size("kept") == F.size("lines"), F.col("d.text")).otherwise(F.array_join("kept", "\n"))
+    own = {c: F.col(f"d.`{c}`") for c in docs.columns} | {"text": text}
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return out.select(docs.columns)
+        own["n_chars"] = F.when(F.size("kept") == F.size("lines"), F.col("d.n_chars")).otherwise(F.length(text)).cast(docs.schema["n_chars"].dataType)
+    return out.select(*(own[c].alias(c) for c in docs.columns))
 
 
 def _near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
