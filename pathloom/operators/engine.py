@@ -321,7 +321,7 @@ def match_masked(conj: Conj, head: tuple[Var, Var], graph: LabeledGraph, u: Grap
             plus = u.plus[s]
             return F.broadcast(plus) if u.sizes.get(s, BROADCAST_PAIRS + 1) <= BROADCAST_PAIRS else plus
         if lit.tag == NEW and s in u.plus:
-            return union(graph.rel(*s), u.plus[s]).distinct()
+            return union(graph.rel(*s), u.plus[s])  # heads are made distinct, and canonical updates repeat nothing
         return graph.rel(*s)
 
     first = next(k for k, lit in enumerate(conj) if lit.tag == DELTA)
