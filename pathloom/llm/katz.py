@@ -26,12 +26,12 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, text_chunks, text_or_empty
+from .common import Scratch, freeing, freeing_group, freeing_groups, text_chunks, text_or_empty
 from .segments import mix, word_units
 from .simhash import _lower
 
 #: Bytes of text in a block, about; a longer text is a block of its own.
-BLOCK = 5_000_000
+BLOCK = 3_000_000
 #: Tokens after a context from which on it is split: SPLIT, or where that gave more than MOST_SPLIT contexts, as many as give so many.
 SPLIT, MOST_SPLIT = 160_000, 1_000_000
 #: Counts up to this one are discounted.
@@ -432,7 +432,7 @@ def katz_scores(docs: DataFrame, order: int = 2) -> DataFrame:
     doc_id = F.col("doc_id").cast("long")
     held = F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % 7 == 2
     docs = docs.select(doc_id.alias("doc_id"), text_or_empty(F.col("text").cast("string")).alias("text"), held.alias("held_out"))
-    blocks = scratch.stage(docs.mapInArrow(_blocks, "block long, ids array<long>, held_out array<boolean>, sizes array<long>, payload binary"), "blocks")
+    blocks = scratch.stage(docs.mapInArrow(freeing(_blocks), "block long, ids array<long>, held_out array<boolean>, sizes array<long>, payload binary"), "blocks")
     n_buckets = max(1, blocks.count())
     levels: list[Level] = []
     answers: DataFrame | None = None
@@ -443,13 +443,13 @@ def katz_scores(docs: DataFrame, order: int = 2) -> DataFrame:
     for k in range(order):
         passes, parts = PASSES[min(k, len(PASSES) - 1)], []
         for turn in range(passes):
-            asked = with_answers(_ask(list(levels), n_buckets, passes, turn), QUESTIONS) if k else blocks.mapInArrow(_ask_words(n_buckets, passes, turn), QUESTIONS)
-            parts.append(scratch.stage(asked.groupBy("bucket").applyInArrow(_answer, ANSWERS), f"level{k}_{turn}"))
+            asked = with_answers(freeing_groups(_ask(list(levels), n_buckets, passes, turn)), QUESTIONS) if k else blocks.mapInArrow(freeing(_ask_words(n_buckets, passes, turn)), QUESTIONS)
+            parts.append(scratch.stage(asked.groupBy("bucket").applyInArrow(freeing_group(_answer), ANSWERS), f"level{k}_{turn}"))
         told = reduce(DataFrame.unionByName, parts)
         levels.append(_level(told))
         told = told.where("block IS NOT NULL").drop("sums").withColumn("level", F.lit(k))
         answers = told if answers is None else answers.unionByName(told)
-    return with_answers(_scores(levels, n_buckets), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    return with_answers(freeing_groups(_scores(levels, n_buckets)), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
 def _level(told: DataFrame) -> Level:

@@ -22,7 +22,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, text_chunks
+from .common import Scratch, freeing, text_chunks
 
 #: More distinct segments of one minimiser than this are dealt by window fingerprint.
 HOT = 2000
@@ -283,11 +283,11 @@ def _fingerprints(plan: Plan):
 def covered(docs: DataFrame, plan: Plan, scratch: Scratch) -> DataFrame:
     """doc_id, runs: array of (begin, n), the windows of each document that also start earlier."""
     docs = docs.select("doc_id", "text").where("doc_id IS NOT NULL AND text IS NOT NULL")
-    seen = docs.mapInArrow(_minimisers(plan), "mini long, doc_id long, again boolean")
+    seen = docs.mapInArrow(freeing(_minimisers(plan)), "mini long, doc_id long, again boolean")
     shared = seen.groupBy("mini").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), F.max("again").alias("again"))
     shared = shared.where(F.col("a") < F.col("b") if not plan.within else (F.col("a") < F.col("b")) | F.col("again")).select("mini")
     wanted = scratch.stage(seen.select("mini", "doc_id").join(shared, "mini").groupBy("doc_id").agg(F.collect_set("mini").alias("minis")), "wanted")
-    found = scratch.stage(docs.join(wanted, "doc_id").mapInArrow(_segments(plan), "mini long, content long, doc_id long, begin int, n int"), "segments")
+    found = scratch.stage(docs.join(wanted, "doc_id").mapInArrow(freeing(_segments(plan)), "mini long, content long, doc_id long, begin int, n int"), "segments")
     scratch.drop("wanted")
     key = ["mini", "content", "n"]
     firsts = scratch.stage(found.groupBy(*key).agg(F.min(F.struct("doc_id", "begin")).alias("first")), "firsts")
@@ -301,10 +301,10 @@ def covered(docs: DataFrame, plan: Plan, scratch: Scratch) -> DataFrame:
     else:
         several = found.join(several, key).where(F.col("doc_id") == first["doc_id"]).select("doc_id", "mini", "hot", "begin", "n")
     chosen = scratch.stage(several.groupBy("doc_id").agg(F.collect_list(F.struct("mini", "hot", "begin", "n")).alias("chosen")), "chosen")
-    strings = scratch.stage(docs.join(chosen, "doc_id").mapInArrow(_packed(plan), "mini long, hot boolean, doc_id long, begin int, packed binary"), "strings")
+    strings = scratch.stage(docs.join(chosen, "doc_id").mapInArrow(freeing(_packed(plan)), "mini long, hot boolean, doc_id long, begin int, packed binary"), "strings")
     scratch.drop("chosen")
-    partial = strings.where("NOT hot").select("mini", "doc_id", "begin", "packed").repartition("mini").sortWithinPartitions("mini").mapInArrow(_buckets(plan), "doc_id long, begin int, n int")
-    windows = strings.where("hot").select("doc_id", "begin", "packed").mapInArrow(_fingerprints(plan), "f1 long, f2 long, doc_id long, begin int")
+    partial = strings.where("NOT hot").select("mini", "doc_id", "begin", "packed").repartition("mini").sortWithinPartitions("mini").mapInArrow(freeing(_buckets(plan)), "doc_id long, begin int, n int")
+    windows = strings.where("hot").select("doc_id", "begin", "packed").mapInArrow(freeing(_fingerprints(plan)), "f1 long, f2 long, doc_id long, begin int")
     earliest = windows.groupBy("f1", "f2").agg(F.min(F.struct("doc_id", "begin")).alias("first"))
     hot = windows.join(earliest, ["f1", "f2"]).where(later).select("doc_id", "begin", F.lit(1).alias("n"))
     runs = whole.unionByName(partial).unionByName(hot).groupBy("doc_id").agg(F.collect_list(F.struct("begin", "n")).alias("runs"))

@@ -7,7 +7,7 @@ import hashlib
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, text_chunks
+from .common import Scratch, freeing, text_chunks
 from .segments import Plan, covered, covered_units, word_units
 
 
@@ -61,7 +61,7 @@ def substring_dedup(docs: DataFrame, window: int = 50, gram: int = 8) -> DataFra
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     runs = covered(docs, word_plan(window, gram), Scratch(docs.sparkSession, "substring"))
-    return docs.join(runs, "doc_id", "left").select("doc_id", "text", "runs").mapInArrow(_kept(window), "doc_id long, n_words long, n_removed long, kept string")
+    return docs.join(runs, "doc_id", "left").select("doc_id", "text", "runs").mapInArrow(freeing(_kept(window)), "doc_id long, n_words long, n_removed long, kept string")
 
 
 def digest(kept: DataFrame, column: str) -> DataFrame:

@@ -14,7 +14,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, text_chunks
+from .common import Scratch, freeing, text_chunks
 from .segments import Plan, Prefix, byte_hashes, byte_units, covered, covered_units, grouped_runs
 
 
@@ -179,7 +179,7 @@ def suffix_dedup(docs: DataFrame, window: int = 100, gram: int = 32) -> DataFram
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     runs = covered(docs, byte_plan(window, gram), Scratch(docs.sparkSession, "suffix"))
-    return docs.join(runs, "doc_id", "left").select("doc_id", "text", "runs").mapInArrow(_kept(window), "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary")
+    return docs.join(runs, "doc_id", "left").select("doc_id", "text", "runs").mapInArrow(freeing(_kept(window)), "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary")
 
 
 def kept_by_brute_force(rows: list[tuple[int, str | None]], window: int = 100) -> dict[int, tuple[int, int, int, str]]:
