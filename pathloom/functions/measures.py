@@ -73,12 +73,6 @@ def gains(means: DataFrame) -> DataFrame:
     return means.withColumns({"gain_ms": gain_ms(F.col("full_ms"), F.col("incr_ms")), "gain_pct": gain_pct(F.col("full_ms"), F.col("incr_ms"))})
 
 
-def restricted(graph: LabeledGraph, u: GraphUpdate) -> GraphUpdate:
-    """An update without the labels that a graph's views never read."""
-    own = graph.labels()
-    return GraphUpdate(*({s: d for s, d in part.items() if s[0] in own} for part in (u.plus, u.minus)))
-
-
 def claim_positive(means: DataFrame) -> DataFrame:
     return gains(means).agg(F.bool_and(F.col("gain_ms") > 0).alias("always_positive"))
 
@@ -90,15 +84,6 @@ def claim_sparser_better(means: DataFrame) -> DataFrame:
     return side("dense").join(side("sparse"), "fraction").select("fraction", (F.col("sparse") > F.col("dense")).alias("sparser_better"))
 
 
-def support_fraction(u: GraphUpdate, graph: LabeledGraph) -> float:
-    return len(u.labels()) / max(len(graph.labels() | u.labels()), 1)
-
-
-def relative_size(plus: DataFrame, base: DataFrame) -> DataFrame:
-    """rho: inserted edges in % of the base instance's."""
-    return plus.agg(F.count("*").alias("p")).crossJoin(base.agg(F.count("*").alias("b"))).select((100.0 * F.col("p") / F.col("b")).alias("rho"))
-
-
 def degree_profile(edges: DataFrame) -> DataFrame:
     """label, edges, sources, targets, max_out, max_in of edges (label, src, dst)."""
     out = edges.groupBy("label", "src").agg(F.count("*").alias("d")).groupBy("label").agg(F.sum("d").alias("edges"), F.count("*").alias("sources"), F.max("d").alias("max_out"))

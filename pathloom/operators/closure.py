@@ -20,6 +20,8 @@ METHODS = ("auto", "naive", "frontier", "doubling", "components", "local", "sql"
 
 #: Edges that the driver closes at most, and pairs that it holds at most, intermediate ones included.
 SMALL_EDGES, SMALL_PAIRS = 100_000, 2_000_000
+#: Edges of a component that one task closes at most.
+LOCAL_EDGES = 5_000
 
 
 def compose(left: DataFrame, right: DataFrame) -> DataFrame:
@@ -230,8 +232,15 @@ def _components(edges: DataFrame, stage: Stage, most: int | None) -> DataFrame:
 
 
 def _local(edges: DataFrame, stage: Stage, most: int | None) -> DataFrame:
-    """One task for each weak component, by bitsets over its nodes; for graphs of many small components."""
-    owner = weak_components(edges, stage)
+    """One task for each weak component, by bitsets over its nodes; for graphs of many small components. Components of over
+    LOCAL_EDGES edges are closed in distributed rounds instead."""
+    owner, _ = stage.put(weak_components(edges, stage))
+    owned = edges.join(owner.withColumnRenamed("id", "src"), "src")
+    large, n = stage.put(owned.groupBy("component").agg(F.count("*").alias("n")).where(F.col("n") > LOCAL_EDGES).select("component"))
+    if n:
+        rest, _ = stage.put(owned.join(large, "component", "left_anti").select("src", "dst"))
+        there, _ = stage.put(owned.join(large, "component", "left_semi").select("src", "dst"))
+        return union(_doubling(there, stage, most), _local(rest, stage, most))
 
     def close(pdf):
         import pandas as pd
@@ -252,7 +261,7 @@ def _local(edges: DataFrame, stage: Stage, most: int | None) -> DataFrame:
             rows += [(ids[k], ids[v]) for v in range(len(ids)) if seen >> v & 1]
         return pd.DataFrame(rows, columns=["src", "dst"]).astype("int64")
 
-    return edges.join(owner.withColumnRenamed("id", "src"), "src").groupBy("component").applyInPandas(close, "src long, dst long")
+    return owned.groupBy("component").applyInPandas(close, "src long, dst long")
 
 
 def _sql(edges: DataFrame, stage: Stage, most: int | None) -> DataFrame:

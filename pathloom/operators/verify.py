@@ -8,7 +8,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.rules import NODES, Clause, Conj, Lit, Program, Rel, Var, is_slice, is_stratified, variables
+from ..plans.rules import NODES, Clause, Conj, Program, Rel, Var, is_slice, is_stratified, variables
 from .closure import closure, compose, minus
 from .engine import GraphUpdate, LabeledGraph, apply_update, derive, match_literal, run_pass
 
@@ -159,7 +159,3 @@ def unaffected_holds(graph: LabeledGraph, p: Program, labels: set[str], u: Graph
     if u.labels() & labels:
         raise ValueError("the update changes the slice")
     return not models(graph, p, labels) or models(apply_update(graph, u), p, labels)
-
-
-def literal(label: str, a: str, b: str, closed: bool = False) -> Lit:
-    return Lit(Rel(label, Var(a), Var(b)), closed)

@@ -23,6 +23,8 @@ def write_edges(edges: DataFrame, path: str) -> None:
     edges.repartition("label", F.pmod(F.xxhash64("src"), F.lit(16))).write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("label").parquet(path)
 
 
-def save_bucketed(edges: DataFrame, name: str, buckets: int = 16, by: str = "src") -> None:
-    """A table bucketed by an end, so that compositions on it need no exchange."""
-    edges.write.mode("overwrite").bucketBy(buckets, by).sortBy(by).saveAsTable(name)
+def save_bucketed(edges: DataFrame, name: str, buckets: int = 16, by: str = "src", path: str | None = None) -> DataFrame:
+    """A table bucketed by an end, so that compositions on it need no exchange; path: where it is kept, if not in the warehouse."""
+    writer = edges.repartition(buckets, by).write.mode("overwrite").bucketBy(buckets, by).sortBy(by)
+    (writer if path is None else writer.option("path", path)).saveAsTable(name)
+    return edges.sparkSession.table(name)

@@ -163,6 +163,36 @@ def test_large_graphs_are_closed_in_rounds(spark, monkeypatch):
         assert got(mutual(pairs(spark, old | plus))) == {(a, b) for a, b in want if (b, a) in want}
 
 
+def test_large_components_leave_the_single_task(spark, monkeypatch):
+    monkeypatch.setattr(closures, "LOCAL_EDGES", 3)
+    edges = {(1, 2), (2, 3), (3, 1), (3, 4), (4, 5), (10, 11), (11, 12), (20, 20)}
+    assert got(closure(pairs(spark, edges), "local")) == reach(edges)
+
+
+def test_update_law_with_new_nodes(spark):
+    p = program({"v": "a*/b | ~b"})
+    full = materialize(p, graph_of(spark, {"a": [(1, 2)], "b": [(2, 3)]}), store=True)
+    u = maintain(p, full, GraphUpdate({("a", False): pairs(spark, [(7, 1)]), ("b", False): pairs(spark, [(9, 9)])}))
+    new = materialize(p, graph_of(spark, {"a": [(1, 2), (7, 1)], "b": [(2, 3), (9, 9)]})).rel("v")
+    assert verify.law_holds(full.rel("v"), u.plus.get(("v", False)), u.minus.get(("v", False)), new)
+    assert not verify.law_holds(full.rel("v"), None, None, new)
+
+
+def test_bucketed_relations_compose_without_exchange(spark, tmp_path):
+    from pathloom.operators.closure import compose
+    from pathloom.sources.feeds import save_bucketed
+
+    a = save_bucketed(pairs(spark, [(1, 2), (5, 6)]), "bucketed_a", 4, "dst", str(tmp_path / "a"))
+    b = save_bucketed(pairs(spark, [(2, 3), (2, 4)]), "bucketed_b", 4, "src", str(tmp_path / "b"))
+    try:
+        out = compose(a, b.hint("merge"))
+        plan = out._jdf.queryExecution().executedPlan().toString()
+        assert got(out) == {(1, 3), (1, 4)} and "SortMergeJoin" in plan and "Exchange" not in plan
+    finally:
+        spark.sql("DROP TABLE bucketed_a")
+        spark.sql("DROP TABLE bucketed_b")
+
+
 def test_surface(spark, tmp_path):
     from pathloom.sources.feeds import write_edges
 
