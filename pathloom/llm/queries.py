@@ -107,6 +107,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 SQL: dict[str, str] = {
+    "op1_substring_dedup": substring_dedup.SUBSTRING_SQL,
+    "op10_suffix_dedup": suffix_dedup.SUFFIX_SQL,
     "op6_line_dedup": line_dedup.LINE_DEDUP_SQL,
     "op9_curriculum_mix": curriculum.MIX_SQL,
     "rollup_words": f"""

@@ -81,3 +81,15 @@ def kept_by_brute_force(rows: list[tuple[int, str | None]], window: int = 50) ->
         kept = " ".join(w for k, w in enumerate(ws) if k not in gone)
         out[d] = (len(ws), len(gone), hashlib.sha256(kept.encode()).hexdigest())
     return out
+
+
+SUBSTRING_SQL = r"""
+WITH split AS (SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws FROM documents),
+words AS (SELECT doc_id, unnest(ws) AS w, unnest(range(len(ws))) AS i FROM split),
+framed AS (SELECT doc_id, w, i, md5(string_agg(w, ' ') OVER f) AS h, count(*) OVER f AS n FROM words WINDOW f AS (PARTITION BY doc_id ORDER BY i ROWS BETWEEN CURRENT ROW AND 49 FOLLOWING)),
+firsts AS (SELECT h, min(doc_id) AS first FROM framed WHERE n = 50 GROUP BY h),
+hit AS (SELECT doc_id, w, i, n = 50 AND first < doc_id AS again FROM framed LEFT JOIN firsts USING (h)),
+judged AS (SELECT doc_id, w, i, coalesce(bool_or(again) OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN 49 PRECEDING AND CURRENT ROW), false) AS gone FROM hit),
+kept AS (SELECT doc_id, count(*) AS n_words, sum(gone::INT)::BIGINT AS n_removed, string_agg(w, ' ' ORDER BY i) FILTER (NOT gone) AS kept FROM judged GROUP BY doc_id)
+SELECT doc_id, coalesce(n_words, 0) AS n_words, coalesce(n_removed, 0) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM split LEFT JOIN kept USING (doc_id)
+"""

@@ -196,3 +196,15 @@ def kept_by_brute_force(rows: list[tuple[int, str | None]], window: int = 100) -
         spans = sum(1 for k in gone if k - 1 not in gone)
         out[d] = (len(raw), len(gone), spans, hashlib.sha256(bytes(b for k, b in enumerate(raw) if k not in gone)).hexdigest())
     return out
+
+
+SUFFIX_SQL = r"""
+WITH raw AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS x FROM documents),
+bytes AS (SELECT doc_id, i, b, md5(string_agg(b, '') OVER f) AS h, count(*) OVER f = 100 AS whole FROM (SELECT doc_id, unnest(list) AS b, unnest(range(len(list))) AS i FROM (SELECT doc_id, regexp_extract_all(x, '..') AS list FROM raw)) WINDOW f AS (PARTITION BY doc_id ORDER BY i ROWS BETWEEN CURRENT ROW AND 99 FOLLOWING)),
+firsts AS (SELECT h, min((doc_id, i)) AS first FROM bytes WHERE whole GROUP BY h),
+hit AS (SELECT doc_id, i, b, whole AND first < (doc_id, i) AS again FROM bytes LEFT JOIN firsts USING (h)),
+judged AS (SELECT doc_id, i, b, coalesce(bool_or(again) OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN 99 PRECEDING AND CURRENT ROW), false) AS gone FROM hit),
+runs AS (SELECT *, gone AND NOT coalesce(lag(gone) OVER (PARTITION BY doc_id ORDER BY i), false) AS begins FROM judged),
+kept AS (SELECT doc_id, count(*) AS n_bytes, sum(gone::INT)::BIGINT AS n_removed, sum(begins::INT)::BIGINT AS n_spans, string_agg(b, '' ORDER BY i) FILTER (NOT gone) AS kept FROM runs GROUP BY doc_id)
+SELECT doc_id, coalesce(n_bytes, 0) AS n_bytes, coalesce(n_removed, 0) AS n_removed, coalesce(n_spans, 0) AS n_spans, sha256(unhex(coalesce(kept, ''))) AS kept_sha256 FROM raw LEFT JOIN kept USING (doc_id)
+"""
