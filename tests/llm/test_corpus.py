@@ -410,6 +410,102 @@ def test_empty_tables(spark):
         assert out.count() == 0
 
 
+def words_of(text):
+    return re.findall("[^\\x20\\x09-\\x0D]+", text or "")
+
+
+def lines_by_brute_force(rows):
+    key = lambda x: "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in x.strip(" \t\n\x0b\x0c\r"))
+    holders = {}
+    for d, t in rows:
+        for x in (t or "").split("\n"):
+            if len(key(x)) >= 20:
+                holders.setdefault(key(x), set()).add(d)
+    gone = lambda d, x: len(holders.get(key(x), ())) >= 3 and max(holders[key(x)]) != d
+    out = {}
+    for d, t in rows:
+        lines = (t or "").split("\n")
+        kept = [x for x in lines if not gone(d, x)]
+        if len(kept) == len(lines) or "\n".join(kept):
+            out[d] = t if len(kept) == len(lines) else "\n".join(kept)
+    return out
+
+
+def mix_by_brute_force(rows, cap=3):
+    """doc_id to its copies, and all positions in order, from the definition of the schedules."""
+    size = {d: len(words_of(t)) for d, t, _ in rows}
+    sources = sorted({s for *_, s in rows}, key=lambda s: (s is None, s or ""))
+    whole = {s: sum(size[d] for d, _, x in rows if x == s) for s in sources}
+    weight, tilt = ({s: values[k % 3] for k, s in enumerate(sources)} for values in ((1.0, 2.0, 3.0), (0.0, 0.5, -0.5)))
+    target, full = {}, set()
+    while True:
+        left = sum(whole.values()) - sum(cap * whole[s] for s in full)
+        level = left / sum(weight[s] for s in sources if s not in full)
+        over = {s for s in sources if s not in full and level * weight[s] > cap * whole[s]}
+        if not over:
+            break
+        full |= over
+    target = {s: float(cap * whole[s]) if s in full else level * weight[s] for s in sources}
+    copies, positions = {}, []
+    for s in sources:
+        before = 0
+        for d, _, _ in sorted((r for r in rows if r[2] == s), key=lambda r: (int(hashlib.md5(str(r[0]).encode()).hexdigest()[:13], 16), r[0])):
+            n = size[d]
+            copies[d] = sum(n > 0 and k * whole[s] + before + n / 2 <= target[s] for k in range(cap))
+            for k in range(copies[d]):
+                share = min(1.0, (k * whole[s] + before + n / 2) / target[s])
+                t, step = 0.5, 0.25
+                for _ in range(50):  # the schedule's integral from 0 to t is t + tilt * (t * t - t)
+                    t += step if t + tilt[s] * (t * t - t) < share else -step
+                    step /= 2
+                positions.append((t, d, k))
+            before += n
+    return copies, sorted(positions)
+
+
+def test_pipeline_by_brute_force(spark):
+    """Each stage on the output of the one before, over whole tables."""
+    import corpus_pipeline
+
+    sf = "/root/testdata/sf0.001"
+    start = spark.read.parquet(f"{sf}/documents.parquet")
+    outs, current = [], start
+    for name, stage in corpus_pipeline.STAGES:
+        rows = stage(spark, current, sf).collect()
+        outs.append(rows)
+        current = spark.createDataFrame(rows, stage(spark, current, sf).schema) if name != "mix" else current
+    begin = start.collect()
+    quality, lines, near, clean, mix = outs
+    # Quality: the base rules by hand, and the learned list's verdict as its own text says.
+    learned = quality_rules.learn(quality_rules.labelled_statistics(start, spark.read.parquet(f"{sf}/labels.parquet"), Scratch(spark, "t")))
+    stats = {r["doc_id"]: r for r in quality_rules.statistics(start).collect()}
+    holds = lambda r, c: r[c.feature] > c.threshold if c.above else r[c.feature] <= c.threshold
+    fails = lambda r: r["n_words"] < 10 or 100 * r["n_repeat_words"] > 20 * r["n_words"]
+    want = {d for d, r in stats.items() if not fails(r) and not any(all(holds(r, c) for c in rule) for rule in learned.rules)}
+    assert {r["doc_id"] for r in quality} == want and len(want) < len(begin)
+    assert {r["doc_id"]: r["text"] for r in lines} == lines_by_brute_force([(r["doc_id"], r["text"]) for r in quality])
+    assert all(r["n_chars"] == len(r["text"]) for r in lines)
+    root, _ = alike_roots([(r["doc_id"], r["text"]) for r in lines])
+    assert {r["doc_id"] for r in near} == set(root.values())
+    # Decontamination: verbatim items go, and texts that share no eight words in a row with any item stay.
+    plain = lambda t: re.sub(r"[^\w\s]|_", "", (t or "").lower()).split()
+    items = [plain(r["text"]) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
+    eights = {tuple(i[k : k + 8]) for i in items for k in range(len(i) - 7)}
+    left = {r["doc_id"] for r in clean}
+    for r in near:
+        ws = plain(r["text"])
+        if any(f" {' '.join(i)} " in f" {' '.join(ws)} " for i in items):
+            assert r["doc_id"] not in left
+        elif not any(tuple(ws[k : k + 8]) in eights for k in range(len(ws) - 7)):
+            assert r["doc_id"] in left
+    copies, positions = mix_by_brute_force([(r["doc_id"], r["text"], r["source"]) for r in clean])
+    got = {}
+    for r in mix:
+        got[r["doc_id"]] = got.get(r["doc_id"], 0) + 1
+    assert got == {d: n for d, n in copies.items() if n}
+    assert [r["position"] for r in mix] == pytest.approx([t for t, _, _ in positions], abs=1e-9)
+
+
 def test_pipeline_stages(spark):
     import corpus_pipeline
 
