@@ -37,6 +37,17 @@ def test_closures_agree(spark, method):
             assert got(closure(pairs(spark, edges), method)) == reach(edges), name
 
 
+@pytest.mark.parametrize("method", ["frontier"])
+def test_long_paths_take_few_rounds(spark, method):
+    from pathloom.sources.staging import Stage
+
+    chains = [(k, k + 1) for k in range(1, 150)] + [(1000 + k, 1001 + k) for k in range(17)] + [(1005, 1012), (1002, 1009)]
+    rings = [] if method == "sql" else [(2000 + k, 2000 + (k + 1) % 13) for k in range(13)] + [(1017, 2000)]
+    stage = Stage(spark, "long")
+    assert got(closure(pairs(spark, chains + rings), method, stage=stage)) == reach(chains + rings)
+    assert stage.n <= 30
+
+
 def test_long_chain_seeds_witness_and_budget(spark):
     chain = pairs(spark, [(k, k + 1) for k in range(1, 64)])
     assert closure(chain).count() == 2016
