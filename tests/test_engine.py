@@ -37,7 +37,7 @@ def test_closures_agree(spark, method):
             assert got(closure(pairs(spark, edges), method)) == reach(edges), name
 
 
-@pytest.mark.parametrize("method", ["frontier"])
+@pytest.mark.parametrize("method", ["naive", "frontier"])
 def test_long_paths_take_few_rounds(spark, method):
     from pathloom.sources.staging import Stage
 
