@@ -37,7 +37,7 @@ def test_closures_agree(spark, method):
             assert got(closure(pairs(spark, edges), method)) == reach(edges), name
 
 
-@pytest.mark.parametrize("method", ["naive", "frontier"])
+@pytest.mark.parametrize("method", ["naive", "frontier", "sql"])
 def test_long_paths_take_few_rounds(spark, method):
     from pathloom.sources.staging import Stage
 
@@ -48,6 +48,11 @@ def test_long_paths_take_few_rounds(spark, method):
     assert stage.n <= 30
 
 
+def test_sql_closure_refuses_cycles(spark):
+    with pytest.raises(ValueError, match="cycles"):
+        closure(pairs(spark, SHAPES["two"]), "sql")
+
+
 def test_long_chain_seeds_witness_and_budget(spark):
     chain = pairs(spark, [(k, k + 1) for k in range(1, 64)])
     assert closure(chain).count() == 2016
