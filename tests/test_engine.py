@@ -4,7 +4,7 @@ import pytest
 
 from pathloom.operators import verify
 from pathloom.operators.closure import METHODS, closure, closure_change, closure_with_witness
-from pathloom.operators.engine import GraphUpdate, LabeledGraph, ViewStore, apply_update, canonical, delta_rows, maintain, materialize
+from pathloom.operators.engine import GraphUpdate, LabeledGraph, ViewStore, apply_update, canonical, delta_rows, maintain, match_body, materialize
 from pathloom.plans.rules import RuleError, complete, parse_rules, program, stratify
 from pathloom.queries import detectable_fixture
 from pathloom.views import AUDIENCE, RING
@@ -183,3 +183,20 @@ def test_small_deltas_are_broadcast_and_other_labels_not_read(spark):
     u = GraphUpdate({("placed_F_1", False): pairs(spark, [(1, 2)])}, sizes={("placed_F_1", False): 1})
     plan = delta_rows(VIEWS["d2"][1].clauses["d2"], graph, u)[0][1]._jdf.queryExecution().explainString(spark._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("formatted"))
     assert "BroadcastHashJoin" in plan and "Cartesian" not in plan and "customer.parquet" not in plan
+
+
+def _order(spark, text, first=None):
+    """The labels of a rule's body in the order in which they join."""
+    clause, asked = complete(parse_rules(text)).clauses["v"], []
+
+    def resolve(lit):
+        asked.append(lit.atom.label)
+        return pairs(spark, [(1, 2)])
+
+    match_body(clause.bodies[0], clause.head, resolve, spark, first)
+    return asked
+
+
+def test_what_bounds_the_head_joins_early(spark):
+    rule = "v(X, Y) :- r(X, Z), s(Y, Z), g(X, Y)."
+    assert _order(spark, rule) == ["g", "r", "s"]
