@@ -200,3 +200,4 @@ def _order(spark, text, first=None):
 def test_what_bounds_the_head_joins_early(spark):
     rule = "v(X, Y) :- r(X, Z), s(Y, Z), g(X, Y)."
     assert _order(spark, rule) == ["g", "r", "s"]
+    assert _order(spark, rule, 0) == ["r", "g", "s"] and _order(spark, rule, 1) == ["s", "g", "r"]
