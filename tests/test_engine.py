@@ -201,3 +201,15 @@ def test_what_bounds_the_head_joins_early(spark):
     rule = "v(X, Y) :- r(X, Z), s(Y, Z), g(X, Y)."
     assert _order(spark, rule) == ["g", "r", "s"]
     assert _order(spark, rule, 0) == ["r", "g", "s"] and _order(spark, rule, 1) == ["s", "g", "r"]
+
+
+def test_variables_of_two_literals_go_by_size(spark):
+    """A body that begins with all pairs of nodes at one hub takes the small join first, with the same pairs."""
+    from pathloom.operators.engine import derive, shortcuts
+
+    clause = complete(parse_rules("v(X, Y) :- r(X, A), r(B, A), r(B, Y), s(X, C), s(D, C), r(D, Y).")).clauses["v"]
+    graph = LabeledGraph.from_relations(spark, {"r": pairs(spark, [(k, -(k % 2)) for k in range(200)]), "s": pairs(spark, [(k, 1000 + k // 3) for k in range(200)])})
+    first = shortcuts(clause.bodies[0], clause.head, lambda lit: graph.rel(*lit.symbol))[0]
+    assert {t.name for lit in first[:2] for t in lit.atom.terms} != {"X", "A", "B"} and first[2].atom.label == "@0"
+    want = {(x, -(d % 2)) for x in range(200) for d in range(200) if x // 3 == d // 3 and -(d % 2) == -(x % 2)}
+    assert got(derive(clause, graph)) == want
