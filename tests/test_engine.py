@@ -213,3 +213,27 @@ def test_variables_of_two_literals_go_by_size(spark):
     assert {t.name for lit in first[:2] for t in lit.atom.terms} != {"X", "A", "B"} and first[2].atom.label == "@0"
     want = {(x, -(d % 2)) for x in range(200) for d in range(200) if x // 3 == d // 3 and -(d % 2) == -(x % 2)}
     assert got(derive(clause, graph)) == want
+
+
+def test_incremental_from_nothing_by_classes(spark, monkeypatch):
+    """A composition of relations that are large (here: all are) makes pairs of classes distinct, also from an empty view."""
+    from pathloom.operators import engine
+
+    rng = random.Random(3)
+    r, s = ({(rng.randrange(40), 100 + rng.randrange(6)) for _ in range(70)} for _ in range(2))
+    want = {(x, y) for x, a in r for y, b in s if a == b}
+    made, by_classes = [], engine.by_classes
+    monkeypatch.setattr(engine, "KEPT_ROWS", 0)
+    monkeypatch.setattr(engine, "by_classes", lambda *a: made.append(by_classes(*a)) or made[-1])
+    p = complete(parse_rules("v(X, Y) :- r(X, Z), s(Y, Z)."))
+    full = materialize(p, LabeledGraph.from_relations(spark, {"r": pairs(spark, r)}), store=True)
+    u = maintain(p, full, GraphUpdate({("s", False): pairs(spark, s)}, sizes={("s", False): len(s)}), lazy=["v"])
+    assert got(apply_update(full, u).rel("v")) == want and made[-1] is not None
+    assert ("v", False) in u.fresh and ("v", False) not in u.sizes
+
+
+def test_symmetric_views_are_made_once(spark):
+    from pathloom.operators.engine import symmetric, without_repeats
+
+    assert symmetric(AUDIENCE.clauses["clients"]) and not symmetric(AUDIENCE.clauses["exposed"])
+    assert len(AUDIENCE.clauses["audience"].bodies) == 2 and len(without_repeats(AUDIENCE).clauses["audience"].bodies) == 1
