@@ -7,7 +7,7 @@ from pathloom.views import VIEWS
 
 SF = "/root/testdata/sf0.001"
 #: A query of each kind; the driver compares them all.
-CHOSEN = ["view_d1", "view_d4", "view_d10", "view_s6", "view_s7", "closure_doubling_transfer", "incr_d8", "delta_old_prefix_xjoin", "delta_detectable_rows", "update_diff", "measure_published_gain", "op_asof", "op_range_join", "op_session", "op_stream_dedup"]
+CHOSEN = ["view_d1", "view_d4", "view_d10", "view_s6", "view_s7", "closure_doubling_transfer", "incr_d8", "delta_old_prefix_xjoin", "delta_detectable_rows", "update_diff", "measure_published_gain", "measure_published_claims", "op_asof", "op_range_join", "op_session", "op_stream_dedup"]
 
 
 @pytest.mark.parametrize("name", CHOSEN)
@@ -42,6 +42,6 @@ def test_chain_processor_links_successors(spark, tmp_path):
         spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
 
 
-@pytest.mark.parametrize("name", ["delta_detectable_rows"])
+@pytest.mark.parametrize("name", ["delta_detectable_rows", "measure_published_gain", "measure_published_claims"])
 def test_query_reads_given_tables(spark, name):
     assert any("/sf0.001/" in f for f in queries.QUERIES[name](spark, SF).inputFiles())
