@@ -320,6 +320,21 @@ def test_similar(spark, corpus):
     assert similar.similar_dedup(docs(spark, []).withColumn("_kept", F.lit(1))).count() == 0
 
 
+@pytest.mark.parametrize("hot", [2000, 3])
+def test_similar_where_fingerprints_miss(spark, monkeypatch, hot):
+    """Short texts that differ in their last word: a ninth of the shingles of each, but many bits of fingerprints."""
+    monkeypatch.setattr(similar, "HOT", hot)
+    monkeypatch.setattr(similar, "COUNTED", 500)
+    rng = random.Random(21)
+    rows = []
+    for k in range(120):
+        own = prose(rng, 13)
+        rows += [(3 * k, f"{own} {prose(rng, 1)}x"), (3 * k + 1, f"{own} {prose(rng, 1)}y"), (3 * k + 2, f"a shared beginning of six words {prose(rng, 6)}")]
+    root, pairs = alike_roots(rows)
+    got = {r["doc_id"]: r["component_id"] for r in similar.similar_components(docs(spark, [*rows, rows[4]])).collect()}
+    assert got == root and len(pairs) >= 120
+
+
 def test_similar_in_large_groups(spark, monkeypatch):
     monkeypatch.setattr(simhash, "SMALL", 4)
     monkeypatch.setattr(simhash, "HOT", 20)
