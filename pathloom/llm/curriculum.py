@@ -2,8 +2,9 @@
 
 A source of weight w has the schedule w * (1 + tilt * (2t - 1)) over training time t from 0 to 1. Its integral gives
 the source's share of tokens; targets above `cap` times a source's size are filled up level, like water. A source's
-documents follow one another in hash order, epoch after epoch, until its target is met; inverting the integral at a
-copy's place in that stream gives its training position.
+documents follow one another in hash order, epoch after epoch; inverting the integral at a copy's place in that stream
+gives its training position. A copy that the source's demand does not reach in training time has none and is not taken.
+What is taken is range-sorted by position.
 """
 
 from __future__ import annotations
@@ -17,6 +18,9 @@ from .common import fresh, text_or_empty, words
 #: Rows that share a stretch of the hash order, about; prefix sums run within stretches and over their totals.
 STRETCH = 4096
 
+#: Columns that the mix adds.
+ADDED = ("size", "source_size", "target", "before", "tilt", "positions", "copies", "first_position", "last_position")
+
 
 def targets(sizes: DataFrame, weights: tuple[float, ...] = (1, 2, 3), cap: int = 3, tilts: tuple[float, ...] = (0.0, 0.5, -0.5)) -> DataFrame:
     """source, source_size, target, tilt from rows of (source, size). The weights repeat over sources by code point."""
@@ -37,20 +41,14 @@ def targets(sizes: DataFrame, weights: tuple[float, ...] = (1, 2, 3), cap: int =
 
 
 def _position(share: Column, tilt: Column) -> Column:
-    """t where the integral of 1 + tilt * (2t - 1) from 0 is share."""
+    """t where the integral of 1 + tilt * (2t - 1) from 0 is share; null where it is not up to t = 1."""
     b = 1 - tilt
-    return F.when(tilt == 0, share).otherwise((F.sqrt(b * b + 4 * tilt * share) - b) / (2 * tilt))
-
+    return F.when(share <= 1, F.when(tilt == 0, share).otherwise((F.sqrt(b * b + 4 * tilt * share) - b) / (2 * tilt)))
 
-def mixed(docs: DataFrame, weights: tuple[float, ...] = (1, 2, 3), cap: int = 3, tilts: tuple[float, ...] = (0.0, 0.5, -0.5)) -> DataFrame:
-    """The columns of docs and size, source_size, target, copies, before (size of the source's earlier documents), tilt,
-    first_position and last_position: where the schedule puts the first and the last copy (null without copies).
 
-    One row for each row of docs, none dropped; copies may be 0. Null texts have size 0 and are never taken; null
-    sources are one source, the last. Repeated rows follow each other. Columns of docs that have one of these names are
-    replaced, any others stay. An empty table gives no rows.
-    """
-    docs = docs.drop("size", "source_size", "target", "copies", "before", "tilt", "first_position", "last_position")
+def _placed(docs: DataFrame, weights: tuple[float, ...] = (1, 2, 3), cap: int = 3, tilts: tuple[float, ...] = (0.0, 0.5, -0.5)) -> DataFrame:
+    """The rows of mixed(), in no order."""
+    docs = docs.drop(*ADDED)
     source, size, place, stretch, s1, st, prior = fresh(docs.columns, "_source", "_size", "_order", "_stretch", "_s1", "_st", "_prior")
     stretches = max(1, docs.count() // STRETCH)
     order = F.conv(F.substring(F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), 1, 13), 16, 10).cast("long")
@@ -65,15 +63,28 @@ def mixed(docs: DataFrame, weights: tuple[float, ...] = (1, 2, 3), cap: int = 3,
     rows = rows.join(sums.hint("merge"), (F.col(source) == F.col(s1)) & (F.col(stretch) == F.col(st))).drop(s1, st)
     inside = W.partitionBy(source, stretch).orderBy(place, "doc_id", size)
     rows = rows.withColumn("before", F.col(prior) + F.sum(size).over(inside.rowsBetween(W.unboundedPreceding, 0)) - F.col(size))
-    middle = F.col("before") + F.col(size) / 2.0
-    copies = F.when(F.col(size) == 0, 0).otherwise(F.greatest(F.lit(0), F.least(F.lit(cap), F.floor((F.col("target") - middle) / F.col("source_size")) + 1))).cast("int")
-    rows = rows.withColumn("copies", copies).withColumnRenamed(size, "size").drop(source, place, stretch, prior)
-    return rows.withColumns({"first_position": F.when(F.col("copies") > 0, copy_position(F.lit(0))), "last_position": F.when(F.col("copies") > 0, copy_position(F.col("copies") - 1))})
+    rows = rows.withColumnRenamed(size, "size").drop(source, place, stretch, prior)
+    rows = rows.withColumn("positions", F.array_compact(F.array(*(copy_position(F.lit(k)) for k in range(cap)))))
+    rows = rows.withColumn("copies", F.size("positions"))
+    return rows.withColumns({"first_position": F.get("positions", F.lit(0)), "last_position": F.get("positions", F.col("copies") - 1)})
+
+
+def mixed(docs: DataFrame, **options) -> DataFrame:
+    """The columns of docs and size, source_size, target, before (size of the source's earlier documents), tilt,
+    positions (where the inverted schedule puts each copy that it reaches), copies (how many), first_position and
+    last_position (null without copies). Rows are range-sorted by first_position, those without copies last.
+
+    One row for each row of docs, none dropped; copies may be 0. Null texts have size 0 and are never taken; null
+    sources are one source, the last. Repeated rows follow each other. Columns of docs that have one of these names are
+    replaced, any others stay. An empty table gives no rows. Options are those of _placed().
+    """
+    return _placed(docs, **options).orderBy(F.col("first_position").asc_nulls_last(), "doc_id", "before")
 
 
 def copy_position(copy: Column) -> Column:
-    """The training position of a row's copy, counted from 0: where its source's cumulative demand reaches the middle of it."""
-    return _position(F.least(F.lit(1.0), (copy * F.col("source_size") + F.col("before") + F.col("size") / 2.0) / F.col("target")), F.col("tilt"))
+    """The training position of a row's copy, counted from 0: where its source's cumulative demand reaches the middle of it;
+    null where it does not, and for texts without words."""
+    return F.when(F.col("size") > 0, _position((copy * F.col("source_size") + F.col("before") + F.col("size") / 2.0) / F.col("target"), F.col("tilt")))
 
 
 def curriculum(docs: DataFrame, **options) -> DataFrame:
@@ -82,9 +93,9 @@ def curriculum(docs: DataFrame, **options) -> DataFrame:
     Positions come from mixed(); rows are range-sorted by position, then doc_id and copy. Documents that the mix does
     not take are absent; edge cases are as in mixed().
     """
-    rows = mixed(docs.drop("copy", "position"), **options).where("copies > 0").withColumn("copy", F.explode(F.sequence(F.lit(0), F.col("copies") - 1)))
-    rows = rows.withColumn("position", copy_position(F.col("copy")))
-    return rows.drop("size", "source_size", "target", "copies", "before", "tilt", "first_position", "last_position").orderBy("position", "doc_id", "copy")
+    rows = _placed(docs.drop("copy", "position"), **options)
+    rows = rows.select("*", F.posexplode("positions").alias("copy", "position"))
+    return rows.drop(*ADDED).orderBy("position", "doc_id", "copy")
 
 
 MIX_SQL = """

@@ -417,6 +417,19 @@ def test_curriculum(spark):
     assert [r["position"] for r in order] == sorted(r["position"] for r in order) and all(0 <= r["position"] <= 1 for r in order)
 
 
+def test_taken_words_come_from_the_inverted_schedules(spark, monkeypatch):
+    rows = docs(spark, [(k, "w " * (3 + k % 11)) for k in range(60)])
+    key = lambda r: (r["first_position"] is None, r["first_position"] or 0, r["doc_id"])
+    out = curriculum.mixed(rows).collect()
+    assert [r["doc_id"] for r in out] == [r["doc_id"] for r in sorted(out, key=key)]
+    copies = sorted((r["position"], r["doc_id"], r["copy"]) for r in curriculum.curriculum(rows).collect())
+    assert copies == sorted((p, r["doc_id"], k) for r in out for k, p in enumerate(r["positions"])) and copies
+    own = curriculum._position
+    monkeypatch.setattr(curriculum, "_position", lambda share, tilt: F.when(own(share, tilt) <= 0.5, own(share, tilt)))  # training ends half-way
+    half = {r["doc_id"]: r["copies"] for r in curriculum.mixed(rows).collect()}
+    assert half == {r["doc_id"]: sum(p <= 0.5 for p in r["positions"]) for r in out}
+
+
 def test_empty_tables(spark):
     none = docs(spark, [], EXTRA)
     labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
