@@ -262,6 +262,22 @@ def test_copies_of_a_view_that_holds_pairs_already(spark):
         assert u.sizes["met", False] == len(met(r | more) - met(r))  # two literals read it
 
 
+def test_a_view_composed_of_one_derived_label_twice(spark, monkeypatch):
+    """The label is staged, so its size is known and pairs come from classes, not from all ways to meet."""
+    from pathloom.operators import engine
+
+    rng = random.Random(7)
+    r, s = {(rng.randrange(30), 100 + rng.randrange(9)) for _ in range(60)}, {(100 + rng.randrange(9), 200 + rng.randrange(3)) for _ in range(12)}
+    e = {(x, z) for x, a in r for b, z in s if a == b}
+    made, by_classes = [], engine.by_classes
+    monkeypatch.setattr(engine, "KEPT_ROWS", 0)
+    monkeypatch.setattr(engine, "BLOCK_NODES", 2)
+    monkeypatch.setattr(engine, "by_classes", lambda *a: made.append(by_classes(*a)) or made[-1])
+    full = materialize(program({"e": "r/s", "v": "e/~e"}), LabeledGraph.from_relations(spark, {"r": pairs(spark, r), "s": pairs(spark, s)}), ["v"])
+    assert full.sizes["e", False] == len(e) and made[-1] is not None
+    assert got(full.rel("v")) == {(x, y) for x, a in e for y, b in e if a == b}
+
+
 def test_symmetric_views_are_made_once(spark):
     from pathloom.operators.engine import symmetric, without_repeats
 
