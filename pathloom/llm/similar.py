@@ -36,6 +36,8 @@ NEAR, WIDE = 20, 32
 SLOTS = 1 << 20
 #: Shingles that one task counts at a time, about.
 COUNTED = 2_000_000
+#: Bytes of a batch, to Python and from it, about: rows hold whole sets or a bucket's shingles, so a bound in rows is none.
+BATCH = 4_000_000
 
 
 def shingle_sets(texts: list[bytes], shingle: int) -> tuple[np.ndarray, np.ndarray]:
@@ -195,30 +197,56 @@ def _owners(owners: bytes, n: int) -> np.ndarray:
     return np.frombuffer(owners, dtype=f"u{len(owners) // n}").astype(np.int64)
 
 
+def _counted(hashes: np.ndarray) -> np.ndarray:
+    """How often each of the hashes comes among them; they are sorted an eighth at a time."""
+    counts, part = np.empty(len(hashes), dtype=np.uint32), hashes.view(np.uint8)[7::8] >> 5
+    for k in range(8):
+        order = np.flatnonzero(part == k)
+        order = order[np.argsort(hashes[order])]
+        ordered = hashes[order]
+        begin = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]])) if len(ordered) else order
+        times = np.diff(np.concatenate([begin, [len(ordered)]]))
+        counts[order] = np.repeat(times, times)
+    return counts
+
+
 def _shared(batches):
     """Batches sorted by bucket to rows (chunk, listed, shingles, owners, counts) of the shingles that come more than once."""
     import pyarrow as pa
 
     names = ["chunk", "listed", "shingles", "owners", "counts"]
-    for g in _grouped(batches, "bucket"):
-        out = [(c, True, s, o, b"") for c, lead, s, o in zip(g["chunk"], g["listed"], g["shingles"], g["owners"], strict=True) if lead]
+    types = [pa.int64(), pa.bool_(), pa.binary(), pa.binary(), pa.binary()]
+
+    def rows_of(g):
+        for c, lead, s, o in zip(g["chunk"], g["listed"], g["shingles"], g["owners"], strict=True):
+            if lead:
+                yield c, True, s, o, b""
         rows = [k for k, lead in enumerate(g["listed"]) if not lead]
         if rows:
-            parts = [np.frombuffer(g["shingles"][k], dtype=U) for k in rows]
-            hashes, at = np.concatenate(parts), np.concatenate([[0], np.cumsum([len(x) for x in parts])])
-            order = np.argsort(hashes)
-            ordered = hashes[order]
-            begin = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]]))
-            times = np.diff(np.concatenate([begin, [len(ordered)]]))
-            counts = np.empty(len(hashes), dtype=np.int64)
-            counts[order] = np.repeat(times, times)
+            at = np.concatenate([[0], np.cumsum([len(g["shingles"][k]) // 8 for k in rows])])
+            hashes = np.empty(at[-1], dtype=U)
+            for k, i, j in zip(rows, at, at[1:], strict=False):
+                hashes[i:j] = np.frombuffer(g["shingles"][k], dtype=U)
+                g["shingles"][k] = None  # the bytes go as they are read
+            counts = _counted(hashes)
             for k, i, j in zip(rows, at, at[1:], strict=False):
                 if len(hit := np.flatnonzero(counts[i:j] > 1)):
                     owner = _owners(g["owners"][k], j - i)[hit].astype(np.uint32)
-                    out.append((g["chunk"][k], False, hashes[i:j][hit].tobytes(), owner.tobytes(), counts[i:j][hit].tobytes()))
+                    yield g["chunk"][k], False, hashes[i:j][hit].tobytes(), owner.tobytes(), counts[i:j][hit].tobytes()
+
+    def batch(rows):
+        return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), types, strict=True)], names=names)
+
+    for g in _grouped(batches, "bucket"):
+        out, size = [], 0
+        for row in rows_of(g):
+            out.append(row)
+            size += sum(map(len, row[2:]))
+            if size > BATCH:
+                yield batch(out)
+                out, size = [], 0
         if out:
-            types = [pa.int64(), pa.bool_(), pa.binary(), pa.binary(), pa.binary()]
-            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out, strict=True), types, strict=True)], names=names)
+            yield batch(out)
 
 
 def _first(batches):
@@ -231,7 +259,7 @@ def _first(batches):
         rows = [k for k, x in enumerate(g["listed"]) if not x]
         if not rows:
             continue
-        hashes, owner, counts = (np.concatenate([np.frombuffer(g[c][k], dtype=t) for k in rows]) for c, t in (("shingles", U), ("owners", np.uint32), ("counts", np.int64)))
+        hashes, owner, counts = (np.concatenate([np.frombuffer(g[c][k], dtype=t) for k in rows]) for c, t in (("shingles", U), ("owners", np.uint32), ("counts", np.uint32)))
         order = np.lexsort((hashes, counts, owner))
         hashes, owner = hashes[order], owner[order].astype(np.int64)
         many = np.bincount(owner, minlength=len(ids))
@@ -288,7 +316,7 @@ def similar_components(docs: DataFrame, shingle: int = 5) -> DataFrame:
     has no other. Other columns are ignored. An empty table gives no rows.
     """
     spark = docs.sparkSession
-    scratch = Scratch(spark, "similar")
+    scratch = Scratch(spark, "similar", BATCH)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     words = ", ".join(f"{c} long" for c in (*SKETCH, *PRINT))
     ids = scratch.stage(_over(docs, f"doc_id long, sid long, n long, {words}", _fingerprints(shingle)), "ids")

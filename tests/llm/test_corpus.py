@@ -3,8 +3,10 @@
 import hashlib
 import random
 import re
+import tracemalloc
 import zlib
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -335,6 +337,61 @@ def test_similar_where_fingerprints_miss(spark, monkeypatch, hot):
     assert got == root and len(pairs) >= 120
 
 
+def test_similar_in_batches_of_bounded_bytes(spark, monkeypatch):
+    def watched(run):
+        def out(batches):
+            def each():
+                for batch in batches:
+                    assert batch.slice(0, batch.num_rows - 1).nbytes <= 120_000, (batch.schema.names, batch.num_rows, batch.nbytes)
+                    yield batch
+
+            return run(each())
+
+        return out
+
+    monkeypatch.setattr(similar, "BATCH", 100_000, raising=False)
+    monkeypatch.setattr(similar, "freeing", watched)
+    rng = random.Random(5)
+    rows = [(k, prose(rng, 1_500)) for k in range(60)]
+    rows += [(100 + k, " ".join(w if i % 97 else "zz" for i, w in enumerate(t.split()))) for k, t in rows[:30]]
+    got = {r["doc_id"]: r["component_id"] for r in similar.similar_components(docs(spark, rows).coalesce(1)).collect()}
+    assert got == {d: d % 100 for d, _ in rows}
+
+
+def test_counting_shingles_takes_little_memory():
+    import pyarrow as pa
+
+    rng, n, chunks = np.random.default_rng(6), 1_000_000, 10
+    hashes = segments.mix(rng.integers(0, 2 * n, n, dtype=np.uint64) + np.uint64(1))
+    owners = rng.integers(0, 300, n).astype(np.uint16)
+    split = lambda x: [p.tobytes() for p in np.split(x, chunks)]
+
+    def batches():
+        for k, (s, o) in enumerate(zip(split(hashes), split(owners), strict=True)):
+            cells = [[0, 0], [k, k], [True, False], [b"", s], [b"", o]]
+            yield pa.RecordBatch.from_arrays([*map(pa.array, cells[:3]), *(pa.array(c, pa.binary()) for c in cells[3:])], names=["bucket", "chunk", "listed", "shingles", "owners"])
+
+    _, back, times = np.unique(hashes, return_inverse=True, return_counts=True)
+    times, at = times[back], 0
+    listed, most = [], 0
+    tracemalloc.start()
+    for out in similar._shared(batches()):
+        most = max(most, out.nbytes)
+        for r in out.to_pylist():
+            if r["listed"]:
+                listed.append(r["chunk"])
+                continue
+            own = slice(r["chunk"] * n // chunks, (r["chunk"] + 1) * n // chunks)
+            hit = times[own] > 1
+            assert r["shingles"] == hashes[own][hit].tobytes() and r["owners"] == owners[own][hit].astype(np.uint32).tobytes()
+            assert np.frombuffer(r["counts"], dtype=f"u{len(r['counts']) // int(hit.sum())}").tolist() == times[own][hit].tolist()
+            at += n // chunks
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert sorted(listed) == list(range(chunks)) and at == n
+    assert most <= 6_000_000 and peak <= 45 * n, (most, peak)  # bytes
+
+
 def test_similar_in_large_groups(spark, monkeypatch):
     monkeypatch.setattr(simhash, "SMALL", 4)
     monkeypatch.setattr(simhash, "HOT", 20)
