@@ -278,6 +278,20 @@ def test_a_view_composed_of_one_derived_label_twice(spark, monkeypatch):
     assert got(full.rel("v")) == {(x, y) for x, a in e for y, b in e if a == b}
 
 
+def test_edges_of_a_closure_are_made_once(spark, monkeypatch):
+    """Edges of larger inputs are staged before they are counted; those that cannot follow each other are their closure."""
+    from pathloom.operators import closure as closures
+
+    read, made, compose = [], [], closures.compose
+    monkeypatch.setattr(closures, "STAGED_BYTES", 0)
+    monkeypatch.setattr(closures, "SMALL_EDGES", 4)
+    monkeypatch.setattr(closures, "collected", lambda e: read.append(1))
+    monkeypatch.setattr(closures, "compose", lambda *a: made.append(1) or compose(*a))
+    assert got(closures.closure(pairs(spark, [(k, 100 + k % 3) for k in range(9)]))) == {(k, 100 + k % 3) for k in range(9)} and not made
+    assert got(closures.closure(pairs(spark, [(k, k + 1) for k in range(9)]))) == {(a, b) for a in range(10) for b in range(a + 1, 10)} and made
+    assert not read and got(closures.closure(pairs(spark, []))) == set()
+
+
 def test_symmetric_views_are_made_once(spark):
     from pathloom.operators.engine import symmetric, without_repeats
 
