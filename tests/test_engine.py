@@ -278,6 +278,24 @@ def test_a_view_composed_of_one_derived_label_twice(spark, monkeypatch):
     assert got(full.rel("v")) == {(x, y) for x, a in e for y, b in e if a == b}
 
 
+@pytest.mark.parametrize("held", [True, False])
+def test_a_composition_with_many_ways_to_meet_joins_no_classes(spark, monkeypatch, held):
+    """Nodes with few neighbours in common are as many classes; their blocks find the far nodes in each task, if those fit."""
+    from pathloom.operators import engine
+
+    rng = random.Random(11)
+    r, s = ({(rng.randrange(base, base + 40), 100 + rng.randrange(k, k + 25)) for _ in range(n)} for base, k, n in ((0, 0, 150), (500, 8, 90)))
+    want = sorted({(x, y) for x, a in r for y, b in s if a == b})
+    joined, by_join = [], engine._met_by_join
+    for name, value in {"KEPT_ROWS": 0, "JOINED_WAYS": 0, "FOUND_PAIRS": 50, "ROW_PAIRS": 5, "BLOCK_NODES": 2, "HELD_NODES": 1_000 if held else 0}.items():
+        monkeypatch.setattr(engine, name, value)
+    monkeypatch.setattr(engine, "_met_by_join", lambda *a: joined.append(1) or by_join(*a))
+    graph = LabeledGraph.from_relations(spark, {"r": pairs(spark, r), "s": pairs(spark, s)})
+    graph.sizes = {("r", False): len(r), ("s", False): len(s)}
+    out = engine.derive(complete(parse_rules("v(X, Y) :- r(X, Z), s(Y, Z).")).clauses["v"], graph)
+    assert sorted(map(tuple, out.collect())) == want and bool(joined) != held
+
+
 def test_edges_of_a_closure_are_made_once(spark, monkeypatch):
     """Edges of larger inputs are staged before they are counted; those that cannot follow each other are their closure."""
     from pathloom.operators import closure as closures
